@@ -7,6 +7,7 @@ from collections.abc import Iterator
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from ..functions import curves, grid
 from ..operators import matrices
@@ -170,7 +171,7 @@ def x_table_function(spark: Spark, sf_dir: str) -> DataFrame:
     return spark.sql("SELECT * FROM slices_of(105, 8)")
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def exact_sum(v: pd.Series) -> float:
     """Compensated sum of a group."""
     import math
