@@ -66,12 +66,13 @@ def repeats(docs: DataFrame, window: int = 3, long_words: int = 50) -> DataFrame
 
 def dedup_lines(docs: DataFrame, window: int = 3, long_words: int = 50) -> DataFrame:
     """The documents without the lines of later repeated runs, and with n_gone, the number of lines cut."""
-    gone = repeats(docs, window, long_words).withColumnRenamed("doc_id", "_id").withColumnRenamed("gone", "_gone")
-    both = docs.withColumn("_id", F.col("doc_id").cast("long")).join(gone, "_id", "left")
+    gone = repeats(docs, window, long_words).withColumnRenamed("doc_id", "id")
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc"), F.col("text").cast("string").alias("text"), F.struct("*").alias("row"))
+    both = rows.join(gone, rows["doc"] == gone["id"], "left")
 
     def rest(every: Column) -> Column:
         worded = F.filter(F.transform(every, lambda x, i: F.when(F.rlike(x, F.lit(WORD)), i)), lambda i: i.isNotNull())
-        cut_at = let(worded, lambda w: F.transform("_gone", lambda i: F.element_at(w, i + 1)))
+        cut_at = let(worded, lambda w: F.transform("gone", lambda i: F.element_at(w, i + 1)))
         # Pieces between the lines cut; each line is touched once.
         ends = F.concat(cut_at, F.array(F.size(every)))
         pieces = let(ends, lambda e: F.transform(e, lambda x, k: F.slice(
@@ -80,9 +81,13 @@ def dedup_lines(docs: DataFrame, window: int = 3, long_words: int = 50) -> DataF
         return F.array_join(F.flatten(pieces), "\n")
 
     left = let(F.split("text", "\n", -1), rest)
-    text = F.when(F.col("_gone").isNull(), F.col("text")).otherwise(left)
-    out = both.withColumn("text", text).withColumn("n_gone", F.coalesce(F.size("_gone"), F.lit(0)))
-    out = out.withColumn("n_gone", F.greatest(F.col("n_gone"), F.lit(0)))
-    if "n_chars" in docs.columns:
-        out = out.withColumn("n_chars", F.when(F.col("_gone").isNull(), F.col("n_chars")).otherwise(F.length("text").cast("long")))
-    return out.select(*docs.columns, "n_gone")
+    kept = F.col("gone").isNull()
+    out = both.select("row", F.when(kept, F.col("text")).otherwise(left).alias("text"), F.coalesce(F.size("gone"), F.lit(0)).alias("n"), kept.alias("kept"))
+
+    def column(name: str) -> Column:
+        if name == "text":
+            return F.col("text")
+        old = F.col("row").getField(name)
+        return F.when(F.col("kept"), old).otherwise(F.length("text").cast("long")).alias(name) if name == "n_chars" else old.alias(name)
+
+    return out.select(*[column(c) for c in docs.columns], F.greatest(F.col("n"), F.lit(0)).alias("n_gone"))

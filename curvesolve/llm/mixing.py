@@ -127,13 +127,16 @@ def mix(docs: DataFrame, seed: int = 11, domain: Column | None = None, path: tup
     plan = leaf_cutoffs(docs, seed=seed, domain=domain, path=path, **options)
     few = plan.count() <= FEW
     plan = plan.drop("tokens", "given")
-    both = docs.select("*", *leaves(docs, domain, path)).join(F.broadcast(plan) if few else plan, cols)
+    rows = docs.select(F.struct("*").alias("row"), F.col("doc_id"), *leaves(docs, domain, path)).select("row", "doc_id", *cols)
+    both = rows.join(F.broadcast(plan) if few else plan, cols)
     signed = order_key(seed, F.col("full")).bitwiseXOR(F.lit(-(1 << 63)))
     copies = F.col("full") + F.coalesce((signed <= F.col("cutoff")).cast("int"), F.lit(0))
     return both.withColumn("copies", copies).where("copies > 0").select(
-        *docs.columns, F.concat_ws("/", *cols).alias("leaf"), "copies")
+        *[F.col("row").getField(c).alias(c) for c in docs.columns], F.concat_ws("/", *cols).alias("leaf"), "copies")
 
 
 def mixed_documents(docs: DataFrame, **options) -> DataFrame:
     """The mixture itself: each document as many times as the mixture takes it, columns unchanged."""
-    return mix(docs, **options).withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("copies")))).select(*docs.columns)
+    packed = docs.select("doc_id", "text", *[c for c in ("lang", "source") if c in docs.columns], F.struct("*").alias("row"))
+    taken = mix(packed, **options).select("row", F.explode(F.sequence(F.lit(1), F.col("copies"))))
+    return taken.select(*[F.col("row").getField(c).alias(c) for c in docs.columns])

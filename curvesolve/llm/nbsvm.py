@@ -148,7 +148,8 @@ def train(docs: DataFrame, labels: DataFrame, sample: int = 6000) -> Model:
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(rows, pa.binary())], names=["id", "y", "x"])
 
     # At most ``sample`` narrow rows are broadcast.
-    picked = docs.join(F.broadcast(chosen), F.col("doc_id").cast("long") == F.col("_id")).select("_id", "_y", F.col("text").cast("string").alias("text"))
+    src = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
+    picked = src.join(F.broadcast(chosen), F.col("doc_id") == F.col("_id")).select("_id", "_y", "text")
     got = sorted(picked.mapInArrow(run, "id long, y int, x binary").collect(), key=lambda r: (r["id"], r["y"], bytes(r["x"])))
     return fit([np.frombuffer(r["x"], np.int32) for r in got], np.array([r["y"] for r in got], float))
 

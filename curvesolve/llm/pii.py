@@ -223,14 +223,16 @@ def redact(docs: DataFrame, found: DataFrame, mask: str = "[{}]") -> DataFrame:
     """The documents with their spans replaced by the kind's mask; ``found``: rows of find_personal_data, one per doc_id."""
     names = F.array(*[F.lit(mask.format(k)) for k in KINDS])
     marks = F.array_sort(F.transform(F.concat(*BASE, "added"), lambda x: F.struct(x["s"].alias("s"), x["e"].alias("e"), x["kind"].alias("k"))))
-    both = docs.join(found.select(F.col("doc_id").alias("_id"), marks.alias("_marks")), F.col("doc_id") == F.col("_id"), "left")
+    hits = found.select(F.col("doc_id").alias("id"), marks.alias("marks"))
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc"), F.col("text").cast("string").alias("text"), F.struct("*").alias("row"))
+    both = rows.join(hits, rows["doc"] == hits["id"], "left")
 
     def step(acc: Column, x: Column) -> Column:
         fresh = x["s"] >= acc["at"]
         return F.struct(F.when(fresh, x["e"]).otherwise(F.greatest(acc["at"], x["e"])).alias("at"), F.when(fresh, F.concat(
             acc["out"], F.array(F.substring("text", acc["at"] + 1, x["s"] - acc["at"]), F.element_at(names, x["k"] + 1)))).otherwise(acc["out"]).alias("out"))
 
-    cleaned = F.aggregate("_marks", F.struct(F.lit(0).alias("at"), F.array().cast("array<string>").alias("out")), step, lambda acc: F.concat(
+    cleaned = F.aggregate("marks", F.struct(F.lit(0).alias("at"), F.array().cast("array<string>").alias("out")), step, lambda acc: F.concat(
         F.array_join(acc["out"], ""), F.substring("text", acc["at"] + 1, F.length("text") - acc["at"])))
-    text = F.when(F.size("_marks") > 0, cleaned).otherwise(F.col("text"))
-    return both.withColumn("text", text).select(*docs.columns)
+    text = F.when(F.size("marks") > 0, cleaned).otherwise(F.col("text"))
+    return both.select(*[text.alias("text") if c == "text" else F.col("row").getField(c).alias(c) for c in docs.columns])

@@ -166,4 +166,4 @@ def near_duplicates(docs: DataFrame, radius: int = 2, width: int = 3, seed: int
 def keep_one(docs: DataFrame, **options) -> DataFrame:
     """The documents, one of each near-duplicate class: that of the smallest doc_id. Rows without doc_id stay."""
     gone = near_duplicates(docs, **options).where("component_id <> doc_id").select(F.col("doc_id").alias("_gone")).distinct()
-    return docs.join(gone, F.col("doc_id").cast("long") == F.col("_gone"), "left_anti").select(*docs.columns)
+    return docs.join(gone, docs["doc_id"].cast("long") == gone["_gone"], "left_anti")
