@@ -67,7 +67,7 @@ def repeats(docs: DataFrame, window: int = 3, long_words: int = 50) -> DataFrame
 def dedup_lines(docs: DataFrame, window: int = 3, long_words: int = 50) -> DataFrame:
     """The documents without the lines of later repeated runs, and with n_gone, the number of lines cut."""
     gone = repeats(docs, window, long_words).withColumnRenamed("doc_id", "id")
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc"), F.col("text").cast("string").alias("text"), F.struct("*").alias("row"))
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc"), F.col("text").cast("string").alias("text"), F.struct(*[c for c in docs.columns if c != "text"]).alias("row"))
     both = rows.join(gone, rows["doc"] == gone["id"], "left")
 
     def rest(every: Column) -> Column:

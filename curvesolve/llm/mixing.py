@@ -121,8 +121,8 @@ def leaf_cutoffs(docs: DataFrame, share: float = 0.8, weights: dict[str, dict[st
     return cut(given.join(at.select(*cols, "cutoff"), cols))
 
 
-def mix(docs: DataFrame, seed: int = 11, domain: Column | None = None, path: tuple[str, ...] = LEVELS, **options) -> DataFrame:
-    """The documents with their leaf and the number of copies the mixture takes; none taken: not returned."""
+def _taken(docs: DataFrame, seed: int = 11, domain: Column | None = None, path: tuple[str, ...] = LEVELS, **options) -> DataFrame:
+    """(row, leaf, copies): the documents taken, packed, so that names inside and outside cannot clash."""
     cols = [f"_{p}" for p in path]
     plan = leaf_cutoffs(docs, seed=seed, domain=domain, path=path, **options)
     few = plan.count() <= FEW
@@ -131,12 +131,15 @@ def mix(docs: DataFrame, seed: int = 11, domain: Column | None = None, path: tup
     both = rows.join(F.broadcast(plan) if few else plan, cols)
     signed = order_key(seed, F.col("full")).bitwiseXOR(F.lit(-(1 << 63)))
     copies = F.col("full") + F.coalesce((signed <= F.col("cutoff")).cast("int"), F.lit(0))
-    return both.withColumn("copies", copies).where("copies > 0").select(
-        *[F.col("row").getField(c).alias(c) for c in docs.columns], F.concat_ws("/", *cols).alias("leaf"), "copies")
+    return both.select("row", F.concat_ws("/", *cols).alias("leaf"), copies.alias("copies")).where("copies > 0")
+
+
+def mix(docs: DataFrame, **options) -> DataFrame:
+    """The documents with their leaf and the number of copies the mixture takes; none taken: not returned."""
+    return _taken(docs, **options).select(*[F.col("row").getField(c).alias(c) for c in docs.columns], "leaf", "copies")
 
 
 def mixed_documents(docs: DataFrame, **options) -> DataFrame:
     """The mixture itself: each document as many times as the mixture takes it, columns unchanged."""
-    packed = docs.select("doc_id", "text", *[c for c in ("lang", "source") if c in docs.columns], F.struct("*").alias("row"))
-    taken = mix(packed, **options).select("row", F.explode(F.sequence(F.lit(1), F.col("copies"))))
+    taken = _taken(docs, **options).select("row", F.explode(F.sequence(F.lit(1), F.col("copies"))))
     return taken.select(*[F.col("row").getField(c).alias(c) for c in docs.columns])

@@ -224,7 +224,7 @@ def redact(docs: DataFrame, found: DataFrame, mask: str = "[{}]") -> DataFrame:
     names = F.array(*[F.lit(mask.format(k)) for k in KINDS])
     marks = F.array_sort(F.transform(F.concat(*BASE, "added"), lambda x: F.struct(x["s"].alias("s"), x["e"].alias("e"), x["kind"].alias("k"))))
     hits = found.select(F.col("doc_id").alias("id"), marks.alias("marks"))
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc"), F.col("text").cast("string").alias("text"), F.struct("*").alias("row"))
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc"), F.col("text").cast("string").alias("text"), F.struct(*[c for c in docs.columns if c != "text"]).alias("row"))
     both = rows.join(hits, rows["doc"] == hits["id"], "left")
 
     def step(acc: Column, x: Column) -> Column:

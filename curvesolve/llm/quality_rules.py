@@ -1,9 +1,11 @@
 """Quality rules whose cutoffs are chosen under risk control.
 
-Each document gets text signals. For every stratum (language) and rule, a cutoff is chosen on
-labelled documents of good quality: the strictest grid point for which the exact binomial
-(Clopper-Pearson) upper bound on the share of good documents it rejects stays within the risk. The
-confidence is corrected for all strata, rules and grid points tested (Bonferroni).
+Each document gets text signals. For every stratum (language) and rule, grid points are tested on
+labelled documents from the most lenient to stricter ones: a point is certified while the exact
+binomial (Clopper-Pearson) upper bound on the share of good documents it rejects stays within the
+risk, and testing stops at the first point that fails. Such a fixed sequence needs no correction
+among its own points; the confidence is corrected for all strata and rules (Bonferroni). Of the
+certified points the one is taken that rejects most bad documents net of a price for good ones.
 
 Defined results: a null text has no words; an empty table gives an empty result; null languages are
 a stratum of their own; labels that are null or repeated rows count as they stand; other columns of
@@ -93,31 +95,33 @@ def bins() -> list[Column]:
     return [F.least(F.lit(GRID), F.floor(x * GRID)).cast("int").alias(r) for r, x in zip(RULES, raw)]
 
 
-def fit_cutoffs(labelled: DataFrame, risk: float = 0.005, delta: float = 0.05) -> dict[tuple[str, str], int]:
-    """{(stratum, rule): cutoff}: reject above it. ``labelled``: signals of documents labelled good.
+def fit_cutoffs(labelled: DataFrame, risk: float = 0.02, delta: float = 0.05, price: float = 20.0) -> dict[tuple[str, str], int]:
+    """{(stratum, rule): cutoff}: reject above it. ``labelled``: signals and ``good`` of labelled documents.
 
     ``risk`` bounds the share of good documents that all rules together reject in a stratum, with
-    probability 1 - ``delta`` over all strata. Only histograms (strata x rules x grid) reach the driver.
+    probability 1 - ``delta`` over all strata; a good document rejected costs as much as ``price`` bad
+    ones gain. Only histograms (strata x rules x grid) reach the driver.
     """
     per = F.explode(F.array(*[F.struct(F.lit(r).alias("rule"), b.alias("bin")) for r, b in zip(RULES, bins())]))
-    hist = labelled.select("stratum", per.alias("x")).groupBy("stratum", "x.rule", "x.bin").count().collect()
-    counts: dict[tuple[str, str], Counter] = {}
+    hist = labelled.select("stratum", "good", per.alias("x")).groupBy("stratum", "good", "x.rule", "x.bin").count().collect()
+    counts: dict[tuple[str, str], dict[bool, Counter]] = {}
     for r in hist:
-        counts.setdefault((r["stratum"], r["rule"]), Counter())[r["bin"]] += r["count"]
-    each = delta / max(1, len(counts) * (GRID + 1))
+        counts.setdefault((r["stratum"], r["rule"]), {True: Counter(), False: Counter()})[r["good"]][r["bin"]] += r["count"]
+    each = delta / max(1, len(counts))
     cutoffs = {}
     for key, c in counts.items():
-        n, rejected, best = sum(c.values()), 0, GRID
+        n, good, bad, best, gain = sum(c[True].values()), 0, 0, GRID, 0.0
         for point in range(GRID - 1, -1, -1):
-            rejected += c[point + 1]
-            if binomial_upper(rejected, n, each) > risk / len(RULES):
+            good, bad = good + c[True][point + 1], bad + c[False][point + 1]
+            if binomial_upper(good, n, each) > risk / len(RULES):
                 break
-            best = point
+            if bad - price * good > gain:
+                best, gain = point, bad - price * good
         cutoffs[key] = best
     return cutoffs
 
 
-def apply_rules(docs: DataFrame, labels: DataFrame, risk: float = 0.005, delta: float = 0.05,
+def apply_rules(docs: DataFrame, labels: DataFrame, risk: float = 0.02, delta: float = 0.05,
                 min_words: int = 50, repeat_pct: int = 50, max_strata: int = 5000) -> DataFrame:
     """One row per document with its counts, base_failed, the rules it breaks, and kept.
 
@@ -125,8 +129,8 @@ def apply_rules(docs: DataFrame, labels: DataFrame, risk: float = 0.005, delta:
     table is sent to every executor.
     """
     got = cut(signals(docs))
-    good = labels.where("quality = 1").select(F.col("doc_id").cast("long").alias("doc_id"))
-    cutoffs = fit_cutoffs(got.join(good, "doc_id"), risk, delta)
+    known = labels.where("quality is not null").select(F.col("doc_id").cast("long").alias("doc_id"), (F.col("quality") == 1).alias("good"))
+    cutoffs = fit_cutoffs(got.join(known, "doc_id"), risk, delta)
     strata = sorted({s for s, _ in cutoffs})
     if len(strata) > max_strata:
         raise ValueError(f"{len(strata)} strata; at most {max_strata} are supported")

@@ -71,11 +71,14 @@ def test_binomial_bound_is_exact():
 
 def test_cutoffs_keep_the_risk(spark):
     rng = np.random.default_rng(3)
-    rows = [(i, "en", 100, 500, int(s), 10, 0, 0) for i, s in enumerate(rng.integers(0, 20, 6000))]
-    sig = spark.createDataFrame(rows, "doc_id long, stratum string, n_words long, word_chars long, n_symbols long, n_lines long, n_dup_lines long, n_repeat_words long")
+    rows = [(i, "en", 100, 500, int(s), 10, 0, 0, i % 6 > 0) for i, s in enumerate(rng.integers(0, 20, 9000))]
+    rows = [(*r[:4], r[4] + (0 if r[8] else 100), *r[5:]) for r in rows]
+    sig = spark.createDataFrame(rows, "doc_id long, stratum string, n_words long, word_chars long, n_symbols long, n_lines long, n_dup_lines long, n_repeat_words long, good boolean")
     cut = quality_rules.fit_cutoffs(sig, 0.01, 0.05)[("en", "symbols")]
-    share = np.mean([int(r[4] / 500 * 200) > cut for r in rows])
-    assert share <= 0.002 and cut < quality_rules.GRID
+    share = {g: np.mean([int(r[4] / 500 * 200) > cut for r in rows if r[8] is g]) for g in (True, False)}
+    assert share[True] <= 0.002 and share[False] == 1.0
+    few = quality_rules.fit_cutoffs(sig.limit(300), 0.01, 0.05)[("en", "symbols")]
+    assert few == quality_rules.GRID  # too few documents to certify anything
 
 
 # 2
