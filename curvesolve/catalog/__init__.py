@@ -6,9 +6,9 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import faulting, grids, solves, streams, surface, workloads
+from . import faulting, grids, measured, solves, streams, surface, workloads
 
-_AREAS = (grids, solves, faulting, workloads, streams, surface)
+_AREAS = (grids, solves, faulting, workloads, measured, streams, surface)
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
