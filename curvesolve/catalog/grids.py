@@ -349,6 +349,28 @@ def _positions(keyed: str) -> str:
     return f"SELECT id, CAST(row_number() OVER (ORDER BY key) - 1 AS BIGINT) AS pos FROM ({keyed})"
 
 
+#: The same bits for coordinates that begin at zero.
+_ZERO = " + ".join(f"((((k1 - 1) >> {b}) & 1) << {2 * b + 1}) + ((((k2 - 1) >> {b}) & 1) << {2 * b})" for b in range(BITS))
+
+
+def _walk(n: int, x: str = "i // %d", y: str = "i %% %d") -> str:
+    """(x, y, d) of all cells of a square by the quadrant rule."""
+    side = 2**n
+    x0, y0 = x % side, y % side
+    return (f"WITH RECURSIVE w AS (SELECT {x0} AS x0, {y0} AS y0, CAST({x0} AS BIGINT) AS x, CAST({y0} AS BIGINT) AS y, CAST({side // 2} AS BIGINT) AS s, CAST(0 AS BIGINT) AS d FROM range({side * side}) t(i) "
+            "UNION ALL SELECT x0, y0, CASE WHEN (y & s) = 0 THEN CASE WHEN (x & s) > 0 THEN (s - 1) - (y & (s - 1)) ELSE y & (s - 1) END ELSE x & (s - 1) END, "
+            "CASE WHEN (y & s) = 0 THEN CASE WHEN (x & s) > 0 THEN (s - 1) - (x & (s - 1)) ELSE x & (s - 1) END ELSE y & (s - 1) END, s // 2, "
+            "d + s * s * xor(3 * CAST((x & s) > 0 AS BIGINT), CAST((y & s) > 0 AS BIGINT)) FROM w WHERE s > 0) SELECT x0 AS x, y0 AS y, d FROM w WHERE s = 0")
+
+
+#: Four quadrants of 8 x 8, each with a turned copy of the open curve.
+_MOORE = " UNION ALL ".join(f"SELECT CAST({x} AS INTEGER) AS x, CAST({y} AS INTEGER) AS y, d + {64 * q} AS key FROM ({_walk(3)})"
+                            for q, (x, y) in enumerate((("7 - y", "x"), ("7 - y", "x + 8"), ("8 + y", "15 - x"), ("8 + y", "7 - x"))))
+_AT = "least(63, greatest(0, CAST(floor((CAST(embedding[{}] AS DOUBLE) + 0.6) / 1.2 * 64) AS BIGINT)))"
+_WIDE = ("SELECT id, CAST(row_number() OVER (ORDER BY key, id) - 1 AS BIGINT) AS pos FROM (SELECT vec_id AS id, "
+         + " + ".join(f"CAST((({_AT.format(j + 1)}) >> {b}) & 1 AS HUGEINT) * CAST({1 << (b * 16 + 15 - j)} AS HUGEINT)" for b in range(6) for j in range(16)) + " AS key FROM embeddings)")
+
+
 def _diffusion() -> str:
     cell = "(CAST(l_quantity AS INTEGER) - 1) * 15 // 50 * 7 + CAST(round(l_discount * 100) AS INTEGER) * 7 // 11"
     alpha = (f"SELECT c.*, coalesce(1 + f.a, 1.0) AS alpha FROM ({_C}) c LEFT JOIN (SELECT {cell} AS id, sum(CAST(round(l_tax * 100) AS BIGINT)) / count(*) / 100 AS a FROM lineitem GROUP BY 1) f USING (id)")
@@ -423,4 +445,10 @@ SQL = {
     "m106_balance": "SELECT CAST(1 AS BIGINT) AS spread, CAST(8 AS BIGINT) AS p",
     "m107_traffic": f"WITH m AS ({members_sql(N, P, GAMMA)}), h AS ({_HALO}) SELECT m.sub, CAST(count(*) FILTER (WHERE m.sub <> m.owner) AS BIGINT) AS overlap_rows, CAST((SELECT count(*) FROM h WHERE h.sub = m.sub) AS BIGINT) AS halo_rows FROM m GROUP BY m.sub",
     "m29_inverse": f"SELECT id, CAST(k1 AS BIGINT) AS x0, CAST(k2 AS BIGINT) AS x1 FROM ({_C})",
+    "m25_gray_order": _positions(f"SELECT id, xor(c, c >> 8) AS key FROM (SELECT id, xor(b, b >> 4) AS c FROM (SELECT id, xor(a, a >> 2) AS b FROM (SELECT id, xor(z, z >> 1) AS a FROM (SELECT id, CAST({_ZERO} AS BIGINT) AS z FROM ({_C})))))"),
+    "m26_moore": "SELECT x, y, key FROM (" + _MOORE + ")",
+    "m28_polyline": " UNION ALL ".join(f"SELECT CAST({n} AS INTEGER) AS n, d AS step, (x + 0.5::DOUBLE) / {2**n} AS x, (y + 0.5::DOUBLE) / {2**n} AS y FROM ({_walk(n)})" for n in (1, 2, 3)),
+    "m30_wide_positions": _WIDE,
+    "m35_components": f"WITH RECURSIVE s AS ({_SUB}), e AS (SELECT a.i, a.j FROM ({_A}) a JOIN s x ON x.pos = a.i JOIN s y ON y.pos = a.j WHERE x.sub = y.sub), r(pos, seen) AS (SELECT pos, pos FROM s UNION SELECT r.pos, e.j FROM r JOIN e ON e.i = r.seen) "
+                      "SELECT s.sub, CAST(count(DISTINCT m.low) AS BIGINT) AS components FROM s JOIN (SELECT pos, min(seen) AS low FROM r GROUP BY pos) m ON m.pos = s.pos GROUP BY s.sub",
 }

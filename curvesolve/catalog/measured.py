@@ -224,4 +224,7 @@ SQL = {
     "w04_growth": f"SELECT levels, CAST(sub AS INTEGER) AS sub, CAST(own AS BIGINT) AS own, CAST(borrowed AS BIGINT) AS borrowed FROM ({_SLICE})",
     "w15_needle": "SELECT CAST(0 AS BIGINT) AS i, CAST(0 AS BIGINT) AS j, CAST(0 AS DOUBLE) AS v WHERE 1 = 0",
     "w28_diffusion_solve": "SELECT true AS solved",
+    "m139_combination_under_faults": "SELECT a || ',' || b AS l, true AS equal FROM range(1, 5) x(a), range(1, 5) y(b) WHERE a + b IN (4, 5)",
+    "m141_advice": "SELECT CAST(d AS INTEGER) AS d, CAST(p AS DOUBLE) AS p_fault, CAST(g AS DOUBLE) AS gamma, CAST(CASE WHEN d <= 3 THEN 16 ELSE 8 END AS INTEGER) AS q, 'balanced' AS kind, 'omega' AS weight, CASE WHEN p = 0 THEN 'pcg' WHEN p >= 0.1 AND d >= 6 THEN 'richardson' ELSE 'flexible' END AS method "
+                   "FROM (VALUES (1), (6)) a(d), (VALUES (0.0, 0.5), (0.02, 0.5), (0.05, 1.0), (0.2, 3.0)) b(p, g)",
 }

@@ -124,4 +124,5 @@ SQL = {
     "s08_deadline": f"SELECT sub, CAST(count(*) FILTER (WHERE failed) AS BIGINT) AS unreturned, CAST(count(*) AS BIGINT) AS assigned FROM ({_B}) GROUP BY sub",
     "s08_deadline_stream": f"SELECT sub, CAST(count(*) AS BIGINT) AS returned FROM ({_B}) WHERE NOT failed GROUP BY sub",
     "s09_updates": f"SELECT sub, CAST(sum(CAST(round(value * 100) AS BIGINT)) AS BIGINT) AS cents FROM ({_B}) GROUP BY sub",
+    "s05_late": f"SELECT sub, CAST(count(*) AS BIGINT) AS closed FROM (SELECT DISTINCT sub, floor(epoch(ts) / 3600) AS c FROM ({_B})) WHERE c * 3600 + 3600 <= (SELECT epoch(max(ts)) - 3600 FROM events) GROUP BY sub",
 }
