@@ -7,7 +7,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..config import SolveConfig
-from ..functions.grid import GridSpec, extents_for_budget, levels_for
+from ..functions.grid import GridSpec, extents_for_budget
 from ..operators import combine, faults
 from ..operators.partition import q_rule
 from ..plans import measures, spectra, sweeps

@@ -5,7 +5,7 @@ from __future__ import annotations
 import numpy as np
 
 from ..config import SolveConfig
-from ..kernels import Outcome, Sparse, System, agg_of, fault_table, rates, recoverable, solve
+from ..kernels import Outcome, Sparse, System, fault_table, rates, recoverable, solve
 
 
 def restart_from_snapshot(cfg: SolveConfig, every: int = 5) -> Outcome:
@@ -101,4 +101,4 @@ def table(name: str, cfg: SolveConfig) -> dict:
     return {"baseline": name, "p_fault": cfg.p_fault, "k_iter": rates(out.errors, cfg.tol)["k_iter"], "lost": int(out.lost), "last": out.errors[-1] / out.errors[0]}
 
 
-__all__ = ["Nested", "agg_of", "norm_ratio", "restart_from_snapshot", "restart_from_zero", "table", "without_recovery"]
+__all__ = ["Nested", "norm_ratio", "restart_from_snapshot", "restart_from_zero", "table", "without_recovery"]

@@ -1,6 +1,5 @@
 """Compare a registered query with its SQL run by DuckDB on the same files."""
 
-import glob
 import math
 import os
 
