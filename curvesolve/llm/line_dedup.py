@@ -1,12 +1,12 @@
 """Line deduplication by winnowing over line hashes, in DataFrame expressions only.
 
 A line is a stretch between newlines; lines without a word are left alone and skipped in the
-sequence of hashes. A run of ``window`` lines, or one line of at least ``long_words`` words, is a
-repeat if the same content occurs earlier: at a smaller (doc_id, position). Every line of a repeat
-goes. Winnowing finds them: within each window the line of the smallest hash is a fingerprint (a
-long line is its own), so equal windows have equal fingerprints. Fingerprints that occur once are
-dropped; around the others the windows they stand for are compared, which extends matches both ways,
-since overlapping repeated windows join into one longer run.
+sequence of hashes. A run of ``window`` lines, or a shorter run (down to one line) that holds at least
+``long_words`` words, is a repeat if the same content occurs earlier: at a smaller (doc_id, position).
+Every line of a repeat goes. Winnowing finds them: within each window the line of the smallest hash is
+a fingerprint (a line alone is its own), so equal windows have equal fingerprints. Fingerprints that
+occur once are dropped; around the others the windows they stand for are compared, which extends
+matches both ways, since overlapping repeated windows join into one longer run.
 
 Defined results: a null text stays null; an empty text stays; documents whose lines all go keep an
 empty text; rows without a doc_id are returned as they are; of repeated rows with one doc_id each
@@ -24,28 +24,36 @@ from ._common import WORD, cut, let
 _TRIM = r"^[\x20\x09-\x0D]+|[\x20\x09-\x0D]+$"
 
 
-def line_marks(text: Column, long_words: int) -> Column:
-    """array<struct<h, long>> of the lines with a word: hash, and whether long."""
+def line_marks(text: Column) -> Column:
+    """array<struct<h, words>> of the lines with a word: hash and number of words."""
     every = F.transform(F.split(text, "\n", -1), lambda x: F.struct(
-        F.xxhash64(F.regexp_replace(x, _TRIM, "")).alias("h"),
-        (F.regexp_count(x, F.lit(WORD)) >= long_words).alias("long"), F.rlike(x, F.lit(WORD)).alias("word")))
-    return F.transform(F.filter(every, lambda x: x["word"]), lambda x: F.struct(
-        x["h"].alias("h"), x["long"].alias("long")))
+        F.xxhash64(F.regexp_replace(x, _TRIM, "")).alias("h"), F.regexp_count(x, F.lit(WORD)).alias("words")))
+    return F.filter(every, lambda x: x["words"] > 0)
+
+
+def _runs(marks: Column, n: int, window: int, long_words: int) -> Column:
+    """array<struct<i, f, g, n>> of the runs of n lines that count.
+
+    Runs below the window count if they hold many words. Runs of several lines that all count alone
+    are left out: if such a run repeats, so does each of its lines.
+    """
+    starts = F.when(F.size(marks) >= n, F.sequence(F.lit(0), F.size(marks) - n)).otherwise(F.array().cast("array<int>"))
+
+    def counts(i: Column) -> Column:
+        words = [F.get(marks, i + k)["words"] for k in range(n)]
+        some_short = F.least(*words) < long_words if n > 1 else F.lit(True)
+        return some_short & (sum(words[1:], words[0]) >= long_words) if n < window else some_short
+
+    return let(F.transform(marks, lambda x: x["h"]), lambda h: F.transform(F.filter(starts, counts), lambda i: F.struct(
+        i.alias("i"), F.array_min(F.slice(h, i + 1, n)).alias("f"), F.xxhash64(F.slice(h, i + 1, n)).alias("g"), F.lit(n).alias("n"))))
 
 
 def fingerprints(docs: DataFrame, window: int = 3, long_words: int = 50) -> DataFrame:
-    """(doc_id, i, f, g, n): windows beginning at the i-th worded line, fingerprint f, content g, n lines."""
+    """(doc_id, i, f, g, n): runs beginning at the i-th worded line, fingerprint f, content g, n lines."""
     lines = docs.where("doc_id is not null and text is not null").select(
-        F.col("doc_id").cast("long").alias("doc_id"), line_marks(F.col("text"), long_words).alias("m"))
-    starts = F.when(F.size("m") >= window, F.sequence(F.lit(0), F.size("m") - window)).otherwise(
-        F.array().cast("array<int>"))
-    runs = let(F.transform("m", lambda x: x["h"]), lambda hashes: F.transform(starts, lambda i: F.struct(
-        i.alias("i"), F.array_min(F.slice(hashes, i + 1, window)).alias("f"),
-        F.xxhash64(F.slice(hashes, i + 1, window)).alias("g"), F.lit(window).alias("n"))))
-    alone = F.transform(
-        F.filter(F.transform("m", lambda x, i: F.struct(i.alias("i"), x["h"].alias("h"), x["long"].alias("long"))), lambda x: x["long"]),
-        lambda x: F.struct(x["i"].alias("i"), x["h"].alias("f"), F.xxhash64(x["h"]).alias("g"), F.lit(1).alias("n")))
-    return lines.select("doc_id", F.explode(F.concat(runs, alone)).alias("w")).select("doc_id", "w.i", "w.f", "w.g", "w.n")
+        F.col("doc_id").cast("long").alias("doc_id"), line_marks(F.col("text")).alias("m"))
+    every = F.concat(*[_runs(F.col("m"), n, window, long_words) for n in range(1, window + 1)])
+    return lines.select("doc_id", F.explode(every).alias("w")).select("doc_id", "w.i", "w.f", "w.g", "w.n")
 
 
 def repeats(docs: DataFrame, window: int = 3, long_words: int = 50) -> DataFrame:

@@ -93,7 +93,7 @@ def embedding_links(rows, cosine=0.98):
 
 
 def line_repeats(texts, window=3, long_words=50):
-    """Texts without later repeated runs: every window of lines, and every long line, against all earlier ones."""
+    """Texts without later repeated runs: every window of lines, and every shorter run of many words, against all earlier ones."""
     worded = [[(p, line.strip(" \t\n\x0b\x0c\r")) for p, line in enumerate(t.split("\n")) if WORDS.search(line)] if t is not None else [] for t in texts]
     seen, out = set(), []
     for t, lines in zip(texts, worded):
@@ -102,8 +102,9 @@ def line_repeats(texts, window=3, long_words=50):
             keys = []
             if i + window <= len(lines):
                 keys.append((i, window))
-            if len(WORDS.findall(lines[i][1])) >= long_words:
-                keys.append((i, 1))
+            for n in range(1, min(window, len(lines) - i + 1)):
+                if sum(len(WORDS.findall(x)) for _, x in lines[i:i + n]) >= long_words:
+                    keys.append((i, n))
             for at, n in keys:
                 key = tuple(x for _, x in lines[at:at + n])
                 if key in seen:

@@ -106,6 +106,22 @@ def test_line_dedup_on_random_runs(spark):
     assert [got[i] for i, _ in rows] == B.line_repeats([t for _, t in rows])
 
 
+@pytest.mark.parametrize("window", [1, 2, 3, 4])
+def test_line_dedup_weighs_short_runs_by_words(spark, window):
+    rng = np.random.default_rng(window)
+    lines = [" ".join(f"l{x}w{k}" for k in range(x + 1)) for x in range(9)]
+    rows = [(i, "\n".join(lines[x] for x in rng.integers(0, 9, rng.integers(0, 9)))) for i in range(60)]
+    got = {r["doc_id"]: r["text"] for r in line_dedup.dedup_lines(spark.createDataFrame(rows, "doc_id long, text string"), window, 8).collect()}
+    assert [got[i] for i, _ in rows] == B.line_repeats([t for _, t in rows], window, 8)
+
+
+def test_line_dedup_cuts_a_passage_of_two_lines(spark):
+    passage = " ".join(f"a{k}" for k in range(30)) + "\n" + " ".join(f"b{k}" for k in range(30))
+    rows = [(1, f"one\n{passage}\nother"), (2, f"two\n{passage}\nrest"), (3, "two\nrest")]
+    got = {r["doc_id"]: r["text"] for r in line_dedup.dedup_lines(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got == {1: rows[0][1], 2: "two\nrest", 3: "two\nrest"}
+
+
 # 3
 
 
