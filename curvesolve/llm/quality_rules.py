@@ -15,7 +15,7 @@ the input are ignored.
 from __future__ import annotations
 
 import math
-from collections import Counter
+from collections import Counter, defaultdict
 from collections.abc import Iterator
 
 import pyarrow as pa
@@ -100,15 +100,20 @@ def fit_cutoffs(labelled: DataFrame, risk: float = 0.02, delta: float = 0.05, pr
 
     ``risk`` bounds the share of good documents that all rules together reject in a stratum, with
     probability 1 - ``delta`` over all strata; a good document rejected costs as much as ``price`` bad
-    ones gain. Only histograms (strata x rules x grid) reach the driver.
+    ones gain. A stratum with too few good documents to certify any point rejects nothing and stays out;
+    only the histograms (rules x grid) of the others reach the driver, one per ``needed`` documents at most.
     """
+    each = delta / max(1, len(RULES) * labelled.select("stratum").distinct().count())
+    # With no good document rejected, the exact bound is 1 - each ** (1 / n).
+    needed = math.floor(math.log(each) / math.log1p(-risk / len(RULES)))
+    ample = labelled.where("good").groupBy("stratum").count().where(F.col("count") >= needed).select("stratum")
+    labelled = labelled.join(ample, "stratum", "left_semi")
     per = F.explode(F.array(*[F.struct(F.lit(r).alias("rule"), b.alias("bin")) for r, b in zip(RULES, bins())]))
     hist = labelled.select("stratum", "good", per.alias("x")).groupBy("stratum", "good", "x.rule", "x.bin").count().collect()
     counts: dict[tuple[str, str], dict[bool, Counter]] = {}
     for r in hist:
         counts.setdefault((r["stratum"], r["rule"]), {True: Counter(), False: Counter()})[r["good"]][r["bin"]] += r["count"]
-    each = delta / max(1, len(counts))
-    cutoffs = {}
+    cutoffs: dict[tuple[str, str], int] = defaultdict(lambda: GRID)
     for key, c in counts.items():
         n, good, bad, best, gain = sum(c[True].values()), 0, 0, GRID, 0.0
         for point in range(GRID - 1, -1, -1):
@@ -122,21 +127,19 @@ def fit_cutoffs(labelled: DataFrame, risk: float = 0.02, delta: float = 0.05, pr
 
 
 def apply_rules(docs: DataFrame, labels: DataFrame, risk: float = 0.02, delta: float = 0.05,
-                min_words: int = 50, repeat_pct: int = 50, max_strata: int = 5000) -> DataFrame:
+                min_words: int = 50, repeat_pct: int = 50, few: int = 5000) -> DataFrame:
     """One row per document with its counts, base_failed, the rules it breaks, and kept.
 
-    The cutoff table has a row per stratum; more than ``max_strata`` strata are an error, since the
-    table is sent to every executor.
+    The cutoff table has a row per stratum that has cutoffs; up to ``few`` rows it is broadcast, beyond
+    that it is joined by shuffle.
     """
     got = cut(signals(docs))
     known = labels.where("quality is not null").select(F.col("doc_id").cast("long").alias("doc_id"), (F.col("quality") == 1).alias("good"))
     cutoffs = fit_cutoffs(got.join(known, "doc_id"), risk, delta)
     strata = sorted({s for s, _ in cutoffs})
-    if len(strata) > max_strata:
-        raise ValueError(f"{len(strata)} strata; at most {max_strata} are supported")
     rows = [(s, *(cutoffs.get((s, r), GRID) for r in RULES)) for s in strata]
     limits = docs.sparkSession.createDataFrame(rows, "stratum string, " + ", ".join(f"max_{r} int" for r in RULES))
-    scored = got.select("*", *bins()).join(F.broadcast(limits), "stratum", "left")
+    scored = got.select("*", *bins()).join(F.broadcast(limits) if len(strata) <= few else limits, "stratum", "left")
     broken = F.filter(F.array(*[F.when(F.col(r) > F.col(f"max_{r}"), F.lit(r)) for r in RULES]), lambda x: x.isNotNull())
     failed = (F.col("n_words") < min_words) | (100 * F.col("n_repeat_words") > repeat_pct * F.col("n_words"))
     return scored.select("doc_id", *[c for c in COUNTS if c != "n_lines"], failed.alias("base_failed"),
