@@ -103,13 +103,13 @@ def fit_cutoffs(labelled: DataFrame, risk: float = 0.02, delta: float = 0.05, pr
     ones gain. A stratum with too few good documents to certify any point rejects nothing and stays out;
     only the histograms (rules x grid) of the others reach the driver, one per ``needed`` documents at most.
     """
-    each = delta / max(1, len(RULES) * labelled.select("stratum").distinct().count())
+    per = F.explode(F.array(*[F.struct(F.lit(r).alias("rule"), b.alias("bin")) for r, b in zip(RULES, bins())]))
+    hist = cut(labelled.select("stratum", "good", per.alias("x")).groupBy("stratum", "good", "x.rule", "x.bin").count())
+    each = delta / max(1, len(RULES) * hist.select("stratum").distinct().count())
     # With no good document rejected, the exact bound is 1 - each ** (1 / n).
     needed = math.floor(math.log(each) / math.log1p(-risk / len(RULES)))
-    ample = labelled.where("good").groupBy("stratum").count().where(F.col("count") >= needed).select("stratum")
-    labelled = labelled.join(ample, "stratum", "left_semi")
-    per = F.explode(F.array(*[F.struct(F.lit(r).alias("rule"), b.alias("bin")) for r, b in zip(RULES, bins())]))
-    hist = labelled.select("stratum", "good", per.alias("x")).groupBy("stratum", "good", "x.rule", "x.bin").count().collect()
+    ample = hist.where(F.col("good") & (F.col("rule") == RULES[0])).groupBy("stratum").agg(F.sum("count").alias("n")).where(F.col("n") >= needed)
+    hist = hist.join(ample, "stratum", "left_semi").collect()
     counts: dict[tuple[str, str], dict[bool, Counter]] = {}
     for r in hist:
         counts.setdefault((r["stratum"], r["rule"]), {True: Counter(), False: Counter()})[r["good"]][r["bin"]] += r["count"]
