@@ -6,7 +6,7 @@ import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 
-from curvesolve.llm import bpe, line_dedup, mixing, nbsvm, queries, simhash
+from curvesolve.llm import bpe, line_dedup, mixing, nbsvm, near_copies, queries
 from curvesolve.llm._common import ensure_checkpoint_dir
 
 
@@ -21,8 +21,8 @@ def cut_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def drop_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each near-duplicate group."""
-    return simhash.keep_one(docs)
+    """One document of each group linked by five-word shingle similarity of at least 0.8."""
+    return near_copies.keep_one(docs)
 
 
 def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
