@@ -16,8 +16,8 @@ def classify(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def cut_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents without the lines of repeated runs."""
-    return line_dedup.dedup_lines(docs).drop("n_gone")
+    """Documents without repeated lines and sentences."""
+    return line_dedup.dedup_corpus(docs).drop("n_gone")
 
 
 def drop_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -1,6 +1,7 @@
 """Line deduplication by winnowing over line hashes, in DataFrame expressions only.
 
-A line is a stretch between newlines; lines without a word are left alone and skipped in the
+A line is a stretch between newlines, or with ``sentences`` a sentence of it: lines are then also cut
+at each blank after a full stop, question or exclamation mark. Lines without a word are left alone and skipped in the
 sequence of hashes. A run of ``window`` lines, or a shorter run (down to one line) that holds at least
 ``long_words`` words, is a repeat if the same content occurs earlier: at a smaller (doc_id, position).
 Every line of a repeat goes. Winnowing finds them: within each window the line of the smallest hash is
@@ -24,9 +25,27 @@ from ._common import WORD, cut, let
 _TRIM = r"^[\x20\x09-\x0D]+|[\x20\x09-\x0D]+$"
 
 
-def line_marks(text: Column) -> Column:
+#: The blank after which a sentence begins.
+_STOP = r"(?<=[.!?])\x20"
+
+
+def units(text: Column, sentences: bool = False) -> Column:
+    """The text's lines, or the sentences of its lines."""
+    lines = F.split(text, "\n", -1)
+    return F.flatten(F.transform(lines, lambda x: F.split(x, _STOP, -1))) if sentences else lines
+
+
+def _joined(text: Column, kept) -> Column:
+    """The sentences that ``kept`` leaves of array<struct<t, line>>, blanks between those of one line, newlines between lines."""
+    every = F.flatten(F.transform(F.split(text, "\n", -1), lambda x, i: F.transform(
+        F.split(x, _STOP, -1), lambda t: F.struct(t.alias("t"), i.alias("line")))))
+    return let(let(every, kept), lambda k: F.array_join(F.transform(k, lambda x, i: F.concat(
+        F.when(i == 0, "").when(F.get(k, i - 1)["line"] < x["line"], "\n").otherwise(" "), x["t"])), ""))
+
+
+def line_marks(text: Column, sentences: bool = False) -> Column:
     """array<struct<h, words>> of the lines with a word: hash and number of words."""
-    every = F.transform(F.split(text, "\n", -1), lambda x: F.struct(
+    every = F.transform(units(text, sentences), lambda x: F.struct(
         F.xxhash64(F.regexp_replace(x, _TRIM, "")).alias("h"), F.regexp_count(x, F.lit(WORD)).alias("words")))
     return F.filter(every, lambda x: x["words"] > 0)
 
@@ -48,17 +67,17 @@ def _runs(marks: Column, n: int, window: int, long_words: int) -> Column:
         i.alias("i"), F.array_min(F.slice(h, i + 1, n)).alias("f"), F.xxhash64(F.slice(h, i + 1, n)).alias("g"), F.lit(n).alias("n"))))
 
 
-def fingerprints(docs: DataFrame, window: int = 3, long_words: int = 50) -> DataFrame:
+def fingerprints(docs: DataFrame, window: int = 3, long_words: int = 50, sentences: bool = False) -> DataFrame:
     """(doc_id, i, f, g, n): runs beginning at the i-th worded line, fingerprint f, content g, n lines."""
     lines = docs.where("doc_id is not null and text is not null").select(
-        F.col("doc_id").cast("long").alias("doc_id"), line_marks(F.col("text")).alias("m"))
+        F.col("doc_id").cast("long").alias("doc_id"), line_marks(F.col("text"), sentences).alias("m"))
     every = F.concat(*[_runs(F.col("m"), n, window, long_words) for n in range(1, window + 1)])
     return lines.select("doc_id", F.explode(every).alias("w")).select("doc_id", "w.i", "w.f", "w.g", "w.n")
 
 
-def repeats(docs: DataFrame, window: int = 3, long_words: int = 50) -> DataFrame:
+def repeats(docs: DataFrame, window: int = 3, long_words: int = 50, sentences: bool = False) -> DataFrame:
     """(doc_id, gone): the worded lines, by their order, that repeated runs cover; sorted, per document."""
-    found = cut(fingerprints(docs, window, long_words))
+    found = cut(fingerprints(docs, window, long_words, sentences))
     # Positions of equal fingerprints are joined; windows at fingerprints that one place holds cannot repeat.
     hidden = F.bitwise_not(F.col("f")).alias("k")
     common = found.groupBy(hidden).agg(F.min(F.struct("doc_id", "i")).alias("a"), F.max(F.struct("doc_id", "i")).alias("b")) \
@@ -72,23 +91,24 @@ def repeats(docs: DataFrame, window: int = 3, long_words: int = 50) -> DataFrame
     return later.select("doc_id", F.explode(lines).alias("i")).groupBy("doc_id").agg(F.sort_array(F.collect_set("i")).alias("gone"))
 
 
-def dedup_lines(docs: DataFrame, window: int = 3, long_words: int = 50) -> DataFrame:
+def dedup_lines(docs: DataFrame, window: int = 3, long_words: int = 50, sentences: bool = False) -> DataFrame:
     """The documents without the lines of later repeated runs, and with n_gone, the number of lines cut."""
-    gone = repeats(docs, window, long_words).withColumnRenamed("doc_id", "id")
+    gone = repeats(docs, window, long_words, sentences).withColumnRenamed("doc_id", "id")
     rows = docs.select(F.col("doc_id").cast("long").alias("doc"), F.col("text").cast("string").alias("text"), F.struct(*[c for c in docs.columns if c != "text"]).alias("row"))
     both = rows.join(gone, rows["doc"] == gone["id"], "left")
 
     def rest(every: Column) -> Column:
-        worded = F.filter(F.transform(every, lambda x, i: F.when(F.rlike(x, F.lit(WORD)), i)), lambda i: i.isNotNull())
+        line = (lambda x: x["t"]) if sentences else (lambda x: x)
+        worded = F.filter(F.transform(every, lambda x, i: F.when(F.rlike(line(x), F.lit(WORD)), i)), lambda i: i.isNotNull())
         cut_at = let(worded, lambda w: F.transform("gone", lambda i: F.element_at(w, i + 1)))
         # Pieces between the lines cut; each line is touched once.
         ends = F.concat(cut_at, F.array(F.size(every)))
         pieces = let(ends, lambda e: F.transform(e, lambda x, k: F.slice(
             every, F.when(k > 0, F.element_at(e, F.greatest(k, F.lit(1))) + 2).otherwise(1),
             x - F.when(k > 0, F.element_at(e, F.greatest(k, F.lit(1))) + 1).otherwise(0))))
-        return F.array_join(F.flatten(pieces), "\n")
+        return F.flatten(pieces)
 
-    left = let(F.split("text", "\n", -1), rest)
+    left = _joined(F.col("text"), rest) if sentences else F.array_join(let(F.split("text", "\n", -1), rest), "\n")
     kept = F.col("gone").isNull()
     out = both.select("row", F.when(kept, F.col("text")).otherwise(left).alias("text"), F.coalesce(F.size("gone"), F.lit(0)).alias("n"), kept.alias("kept"))
 
@@ -99,3 +119,8 @@ def dedup_lines(docs: DataFrame, window: int = 3, long_words: int = 50) -> DataF
         return F.when(F.col("kept"), old).otherwise(F.length("text").cast("long")).alias(name) if name == "n_chars" else old.alias(name)
 
     return out.select(*[column(c) for c in docs.columns], F.greatest(F.col("n"), F.lit(0)).alias("n_gone"))
+
+
+def dedup_corpus(docs: DataFrame, few_words: int = 5) -> DataFrame:
+    """As ``dedup_lines``, by sentences: each one, or run of up to three, of at least ``few_words`` words counts, and any run of three."""
+    return dedup_lines(docs, long_words=few_words, sentences=True)

@@ -26,7 +26,7 @@ def op1_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op2_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     """doc_id, lines cut, and the length and digest of what is left of each document."""
-    out = line_dedup.dedup_lines(table(spark, sf_dir, "documents"))
+    out = line_dedup.dedup_corpus(table(spark, sf_dir, "documents"))
     return out.select("doc_id", "n_gone", F.length("text").alias("n_left"), F.sha2(F.col("text").cast("binary"), 256).alias("text_sha256"))
 
 
