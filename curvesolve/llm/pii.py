@@ -16,6 +16,8 @@ from __future__ import annotations
 
 import math
 from dataclasses import dataclass
+from functools import reduce
+from operator import or_
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -25,23 +27,23 @@ from ._common import cut, marks_of, span_text, spans
 
 @dataclass(frozen=True)
 class Generator:
-    """``scan`` matches what ``pattern`` does, written for linear time; texts without ``hint`` are not scanned."""
+    """``scan`` matches what ``pattern`` does, written for linear time; texts without any of ``hints`` are not scanned, every match holds one."""
 
     kind: str
     scan: str
-    hint: str
+    hints: tuple[str, ...]
 
 
 #: The base kinds, then looser forms of them.
 BASE = ("email", "ip", "card", "phone")
 GENERATORS = (
-    Generator("email", r"(?:\G|(?<![A-Za-z0-9._%+-]))[A-Za-z0-9._%+-]++@[A-Za-z0-9-]++(?:\.[A-Za-z0-9-]++)++", "@"),
-    Generator("ip", r"(?:\G|(?<![0-9]))[0-9]++\.[0-9]++\.[0-9]++\.[0-9]++", "."),
-    Generator("card", r"(?<![0-9])(?<![0-9][\x20-])[0-9](?:[\x20-]?[0-9]){13,18}+(?![\x20-]?[0-9])", ""),
-    Generator("phone", r"\+[0-9][\x20().0-9-]+[0-9]", "+"),
-    Generator("loose_email", r"(?<![A-Za-z0-9._%+-])[A-Za-z0-9._%+-]{1,64}+\x20?(?:@|\(at\)|\[at\])\x20?[A-Za-z0-9-]++\x20?(?:\.|\(dot\)|\[dot\])\x20?[A-Za-z]{2,12}", "at"),
-    Generator("loose_phone", r"\([0-9]{2,4}\)\x20?[0-9]{3,4}[\x20.-]?[0-9]{3,4}(?![0-9])", "("),
-    Generator("loose_card", r"(?<![0-9.])[0-9]{4}(?:[\x20.-][0-9]{4}){3}(?![0-9.])", ""),
+    Generator("email", r"(?:\G|(?<![A-Za-z0-9._%+-]))[A-Za-z0-9._%+-]++@[A-Za-z0-9-]++(?:\.[A-Za-z0-9-]++)++", ("@",)),
+    Generator("ip", r"(?:\G|(?<![0-9]))[0-9]++\.[0-9]++\.[0-9]++\.[0-9]++", (".",)),
+    Generator("card", r"(?<![0-9])(?<![0-9][\x20-])[0-9](?:[\x20-]?[0-9]){13,18}+(?![\x20-]?[0-9])", ()),
+    Generator("phone", r"\+[0-9][\x20().0-9-]+[0-9]", ("+",)),
+    Generator("loose_email", r"(?<![A-Za-z0-9._%+-])[A-Za-z0-9._%+-]{1,64}+\x20?(?:@|\(at\)|\[at\])\x20?[A-Za-z0-9-]++\x20?(?:\.|\(dot\)|\[dot\])\x20?[A-Za-z]{2,12}", ("@", "at")),
+    Generator("loose_phone", r"\([0-9]{2,4}\)\x20?[0-9]{3,4}[\x20.-]?[0-9]{3,4}(?![0-9])", ("(",)),
+    Generator("loose_card", r"(?<![0-9.])[0-9]{4}(?:[\x20.-][0-9]{4}){3}(?![0-9.])", ()),
 )
 KINDS = tuple(g.kind for g in GENERATORS)
 #: Bins of each feature: name and number of values.
@@ -77,7 +79,9 @@ def _generated(text: Column, number: int, g: Generator) -> Column:
     found = F.transform(spans(text, g.scan), lambda x: F.struct(
         F.lit(number).alias("kind"), x["s"].alias("s"), x["e"].alias("e"), x["t"].alias("t"), passes(g.kind, x["t"]).alias("base"),
         F.rlike(F.substring(text, F.greatest(x["s"] - NEAR + 1, F.lit(1)), F.least(x["s"], F.lit(NEAR))), F.lit(CONTEXT)).alias("context")))
-    likely = F.rlike(text, F.lit(g.scan)) if not g.hint else F.contains(text, F.lit(g.hint)) & F.rlike(text, F.lit(g.scan))
+    likely = F.rlike(text, F.lit(g.scan))
+    if g.hints:
+        likely = reduce(or_, [F.contains(text, F.lit(h)) for h in g.hints]) & likely
     return F.when(likely, found).otherwise(F.array().cast(CANDIDATES))
 
 
