@@ -1,13 +1,18 @@
 """Line deduplication by winnowing over line hashes, in DataFrame expressions only.
 
 A line is a stretch between newlines, or with ``sentences`` a sentence of it: lines are then also cut
-at each blank after a full stop, question or exclamation mark. Lines without a word are left alone and skipped in the
-sequence of hashes. A run of ``window`` lines, or a shorter run (down to one line) that holds at least
-``long_words`` words, is a repeat if the same content occurs earlier: at a smaller (doc_id, position).
-Every line of a repeat goes. Winnowing finds them: within each window the line of the smallest hash is
-a fingerprint (a line alone is its own), so equal windows have equal fingerprints. Fingerprints that
-occur once are dropped; around the others the windows they stand for are compared, which extends
-matches both ways, since overlapping repeated windows join into one longer run.
+at the space after a full stop, question or exclamation mark. Runs of blanks count as one, blanks at
+the ends as none; lines without a word are left alone and skipped in the sequence of hashes.
+
+The window that begins at a line is the shortest run of lines that holds ``long_words`` words, or
+``window`` lines if that is shorter; it depends on its own lines alone, so equal runs have equal
+windows. Of each window the leftmost line of the smallest hash is selected: a fingerprint, with its
+position. Equal windows thus have equal fingerprints, and fingerprints that one place holds cannot be
+part of a repeat; positions of the others are joined. Around a joined position the windows it stands
+for are compared line by line with the earliest place that holds the same lines, and a match is
+extended to both sides as long as the lines there are equal too. More than ``window`` - 1 equal lines
+beyond an end hold a window of their own, so that many neighbours make an extension complete.
+Lines of matched runs that come later than their source, by (doc_id, position), go.
 
 Defined results: a null text stays null; an empty text stays; documents whose lines all go keep an
 empty text; rows without a doc_id are returned as they are; of repeated rows with one doc_id each
@@ -16,79 +21,140 @@ row is treated alike, as one document. Other columns pass through; n_chars is re
 
 from __future__ import annotations
 
+from functools import reduce
+from operator import or_
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ._common import WORD, cut, let
+from ._common import cut, let
 
-#: Blank for the patterns below: ASCII white space.
-_TRIM = r"^[\x20\x09-\x0D]+|[\x20\x09-\x0D]+$"
+#: Blanks within a line, those that make a run of them or are no space, and the ends after which a space begins a sentence.
+_BLANKS, _UNEVEN, _STOPS = r"[\x20\x09\x0B-\x0D]+", ("  ", "\t", "\x0b", "\x0c", "\r"), ".!?"
 
 
-#: The blank after which a sentence begins.
-_STOP = r"(?<=[.!?])\x20"
+def _stopped(text: Column) -> Column:
+    """The text with a newline after each sentence, in place of the space there."""
+    for end in _STOPS:
+        text = F.replace(text, F.lit(f"{end} "), F.lit(f"{end}\n"))
+    return text
 
 
 def units(text: Column, sentences: bool = False) -> Column:
-    """The text's lines, or the sentences of its lines."""
-    lines = F.split(text, "\n", -1)
-    return F.flatten(F.transform(lines, lambda x: F.split(x, _STOP, -1))) if sentences else lines
-
-
-def _joined(text: Column, kept) -> Column:
-    """The sentences that ``kept`` leaves of array<struct<t, line>>, blanks between those of one line, newlines between lines."""
-    every = F.flatten(F.transform(F.split(text, "\n", -1), lambda x, i: F.transform(
-        F.split(x, _STOP, -1), lambda t: F.struct(t.alias("t"), i.alias("line")))))
-    return let(let(every, kept), lambda k: F.array_join(F.transform(k, lambda x, i: F.concat(
-        F.when(i == 0, "").when(F.get(k, i - 1)["line"] < x["line"], "\n").otherwise(" "), x["t"])), ""))
+    """The text's lines, or the sentences of its lines, with single blanks and none at their ends."""
+    cut_up = _stopped(text) if sentences else text
+    uneven = reduce(or_, [F.contains(text, F.lit(x)) for x in _UNEVEN])
+    even = F.when(uneven, F.regexp_replace(cut_up, _BLANKS, " ")).otherwise(cut_up)
+    return F.transform(F.split(even, "\n", -1), lambda x: F.trim(x))
 
 
 def line_marks(text: Column, sentences: bool = False) -> Column:
     """array<struct<h, words>> of the lines with a word: hash and number of words."""
-    every = F.transform(units(text, sentences), lambda x: F.struct(
-        F.xxhash64(F.regexp_replace(x, _TRIM, "")).alias("h"), F.regexp_count(x, F.lit(WORD)).alias("words")))
-    return F.filter(every, lambda x: x["words"] > 0)
-
-
-def _runs(marks: Column, n: int, window: int, long_words: int) -> Column:
-    """array<struct<i, f, g, n>> of the runs of n lines that count.
-
-    Runs below the window count if they hold many words. Runs of several lines that all count alone
-    are left out: if such a run repeats, so does each of its lines.
-    """
-    starts = F.when(F.size(marks) >= n, F.sequence(F.lit(0), F.size(marks) - n)).otherwise(F.array().cast("array<int>"))
+    worded = F.filter(units(text, sentences), lambda x: x != "")
+    return F.transform(worded, lambda x: F.struct(F.xxhash64(x).alias("h"), (F.length(x) - F.length(F.replace(x, F.lit(" "), F.lit(""))) + 1).alias("words")))
+
+
+def _at(lines: Column, i: Column) -> Column:
+    """The i-th element, null outside the array."""
+    return F.when(i >= 0, F.get(lines, F.greatest(i, F.lit(0))))
+
+
+def _extent(words: Column, i: Column, window: int, long_words: int) -> Column:
+    """Lines of the window that begins at i; null if the text ends before it is complete."""
+    total, size = _at(words, i), F.when(_at(words, i) >= long_words, 1)
+    for n in range(2, window + 1):
+        total = total + _at(words, i + n - 1)
+        size = F.coalesce(size, F.when(total.isNotNull() if n == window else total >= long_words, n))
+    return size if window > 1 else F.when(_at(words, i).isNotNull(), 1)
+
+
+def _selected(hashes: Column, i: Column, n: Column, window: int) -> Column:
+    """The position of the leftmost smallest hash in the window of n lines at i."""
+    best, at = _at(hashes, i), i
+    for k in range(1, window):
+        h = _at(hashes, i + k)
+        less = (n > k) & (h < best)
+        best, at = F.when(less, h).otherwise(best), F.when(less, i + k).otherwise(at)
+    return at
+
+
+def fingerprints(docs: DataFrame, window: int = 3, long_words: int = 50, sentences: bool = False) -> tuple[DataFrame, DataFrame]:
+    """(doc_id, h, words): hashes and words of each document's lines; and (doc_id, pos, f): the selected positions."""
+    marks = docs.where("doc_id is not null and text is not null").select(F.col("doc_id").cast("long").alias("doc_id"), line_marks(F.col("text"), sentences).alias("m"))
+    lines = cut(marks.where(F.size("m") > 0).select("doc_id", F.col("m.h").alias("h"), F.col("m.words").alias("words")))
+
+    def select(h: Column, words: Column) -> Column:
+        def place(_: Column, i: Column) -> Column:
+            n = _extent(words, i, window, long_words)
+            return F.when(n == 1, i).when(n > 1, _selected(h, i, n, window))
+        return F.array_distinct(F.filter(F.transform(h, place), lambda p: p.isNotNull()))
+
+    chosen = lines.select("doc_id", F.explode(F.transform(select(F.col("h"), F.col("words")), lambda p: F.struct(p.alias("pos"), F.get("h", p).alias("f")))).alias("x"))
+    return lines, chosen.select("doc_id", "x.pos", "x.f")
+
+
+def matches(lines: DataFrame, chosen: DataFrame, window: int = 3, long_words: int = 50) -> DataFrame:
+    """(doc_id, first, last): runs of lines that occur earlier, extended to both sides."""
+    # Joined positions: fingerprints that more than one place holds. The key is complemented so that the join gets
+    # exchanges of its own, whose partitions adaptive execution may split where a fingerprint is hot.
+    places = chosen.groupBy(F.bitwise_not("f").alias("k")).agg(F.min(F.struct("doc_id", "pos")).alias("a"), F.max(F.struct("doc_id", "pos")).alias("b"))
+    common = places.where("a <> b").select(F.bitwise_not("k").alias("f"))
+    near = chosen.join(common, "f", "left_semi").groupBy("doc_id").agg(F.collect_set("pos").alias("at"))
+    held = lines.join(near.withColumnRenamed("doc_id", "_id"), F.col("doc_id") == F.col("_id"))
+    h, words, reach = F.col("h"), F.col("words"), window - 1
+
+    def windows(p: Column) -> Column:
+        """The windows that select position p, with the lines beside them, nearest first."""
+        def one(back: Column) -> Column:
+            i = p - back
+            n = F.when(_at(words, i).isNotNull(), _extent(words, i, window, long_words))
+            return F.when((n > back) & (_selected(h, i, n, window) == p), F.struct(
+                i.alias("i"), n.alias("n"), F.xxhash64(n, *[F.when(n > k, _at(h, i + k)) for k in range(window)]).alias("g"),
+                F.array(*[_at(h, i - k) for k in range(1, reach + 1)]).cast("array<bigint>").alias("before"),
+                F.array(*[_at(h, i + n + k) for k in range(reach)]).cast("array<bigint>").alias("after")))
+        return F.filter(F.array(*[one(F.lit(b)) for b in range(window)]), lambda x: x.isNotNull())
+
+    found = held.select("doc_id", h, words, F.explode("at").alias("p")).select("doc_id", F.explode(windows(F.col("p"))).alias("w"))
+    found = cut(found.select("doc_id", "w.*"))
+    # The earliest place of each window's lines; a later one is matched with it.
+    source = found.groupBy(F.bitwise_not("g").alias("k")).agg(
+        F.min(F.struct("doc_id", "i", "before", "after")).alias("a"), F.max(F.struct("doc_id", "i")).alias("b"))
+    source = source.where("a.doc_id <> b.doc_id or a.i <> b.i").select(F.bitwise_not("k").alias("g"), "a")
+    later = found.join(source, "g").where((F.col("doc_id") > F.col("a.doc_id")) | ((F.col("doc_id") == F.col("a.doc_id")) & (F.col("i") > F.col("a.i"))))
+
+    def extension(side: str) -> Column:
+        same, count = F.lit(True), F.lit(0)
+        for k in range(reach):
+            same = same & F.coalesce(F.get(side, F.lit(k)) == F.get(F.col(f"a.{side}"), F.lit(k)), F.lit(False))
+            count = count + same.cast("int")
+        return count
+
+    return later.select("doc_id", (F.col("i") - extension("before")).alias("first"), (F.col("i") + F.col("n") - 1 + extension("after")).alias("last"))
 
-    def counts(i: Column) -> Column:
-        words = [F.get(marks, i + k)["words"] for k in range(n)]
-        some_short = F.least(*words) < long_words if n > 1 else F.lit(True)
-        return some_short & (sum(words[1:], words[0]) >= long_words) if n < window else some_short
 
-    return let(F.transform(marks, lambda x: x["h"]), lambda h: F.transform(F.filter(starts, counts), lambda i: F.struct(
-        i.alias("i"), F.array_min(F.slice(h, i + 1, n)).alias("f"), F.xxhash64(F.slice(h, i + 1, n)).alias("g"), F.lit(n).alias("n"))))
+def repeats(docs: DataFrame, window: int = 3, long_words: int = 50, sentences: bool = False) -> DataFrame:
+    """(doc_id, gone): the worded lines, by their order, that later repeats cover; sorted, per document."""
+    runs = matches(*fingerprints(docs, window, long_words, sentences), window, long_words)
+    return runs.select("doc_id", F.explode(F.sequence("first", "last")).alias("i")).groupBy("doc_id").agg(F.sort_array(F.collect_set("i")).alias("gone"))
 
 
-def fingerprints(docs: DataFrame, window: int = 3, long_words: int = 50, sentences: bool = False) -> DataFrame:
-    """(doc_id, i, f, g, n): runs beginning at the i-th worded line, fingerprint f, content g, n lines."""
-    lines = docs.where("doc_id is not null and text is not null").select(
-        F.col("doc_id").cast("long").alias("doc_id"), line_marks(F.col("text"), sentences).alias("m"))
-    every = F.concat(*[_runs(F.col("m"), n, window, long_words) for n in range(1, window + 1)])
-    return lines.select("doc_id", F.explode(every).alias("w")).select("doc_id", "w.i", "w.f", "w.g", "w.n")
+def _rest(text: Column, gone: Column, sentences: bool) -> Column:
+    """The text without the worded lines whose numbers are in ``gone``, an ascending array."""
+    every = F.transform(F.split(text, "\n", -1), lambda x, i: F.struct(x.alias("t"), i.alias("line")))
+    if sentences:
+        every = F.flatten(F.transform(F.split(text, "\n", -1), lambda x, i: F.transform(F.split(_stopped(x), "\n", -1), lambda t: F.struct(t.alias("t"), i.alias("line")))))
 
+    def pieces(e: Column) -> Column:
+        worded = F.filter(F.transform(e, lambda x, i: F.when(F.rlike(x["t"], F.lit(r"[^\x20\x09-\x0D]")), i)), lambda i: i.isNotNull())
+        cut_at = let(worded, lambda w: F.transform(gone, lambda i: F.get(w, i)))
+        # Pieces between the lines cut; each line is touched once.
+        ends = F.concat(cut_at, F.array(F.size(e)))
+        return F.flatten(let(ends, lambda s: F.transform(s, lambda x, k: F.slice(
+            e, F.when(k > 0, F.element_at(s, F.greatest(k, F.lit(1))) + 2).otherwise(1),
+            x - F.when(k > 0, F.element_at(s, F.greatest(k, F.lit(1))) + 1).otherwise(0)))))
 
-def repeats(docs: DataFrame, window: int = 3, long_words: int = 50, sentences: bool = False) -> DataFrame:
-    """(doc_id, gone): the worded lines, by their order, that repeated runs cover; sorted, per document."""
-    found = cut(fingerprints(docs, window, long_words, sentences))
-    # Positions of equal fingerprints are joined; windows at fingerprints that one place holds cannot repeat.
-    hidden = F.bitwise_not(F.col("f")).alias("k")
-    common = found.groupBy(hidden).agg(F.min(F.struct("doc_id", "i")).alias("a"), F.max(F.struct("doc_id", "i")).alias("b")) \
-        .where("a <> b").select(F.bitwise_not(F.col("k")).alias("f"))
-    near = found.join(common, "f", "left_semi")
-    first = near.groupBy(F.bitwise_not(F.col("g")).alias("k"), F.col("n").alias("n")) \
-        .agg(F.min(F.struct("doc_id", "i")).alias("first"), F.max(F.struct("doc_id", "i")).alias("last")) \
-        .where("first <> last").select(F.bitwise_not(F.col("k")).alias("g"), "n", "first")
-    later = near.join(first, ["g", "n"]).where(F.struct("doc_id", "i") > F.col("first"))
-    lines = F.sequence(F.col("i"), F.col("i") + F.col("n") - 1)
-    return later.select("doc_id", F.explode(lines).alias("i")).groupBy("doc_id").agg(F.sort_array(F.collect_set("i")).alias("gone"))
+    return let(let(every, pieces), lambda k: F.array_join(F.transform(k, lambda x, i: F.concat(
+        F.when(i == 0, "").when(F.get(k, i - 1)["line"] < x["line"], "\n").otherwise(" "), x["t"])), ""))
 
 
 def dedup_lines(docs: DataFrame, window: int = 3, long_words: int = 50, sentences: bool = False) -> DataFrame:
@@ -96,21 +162,9 @@ def dedup_lines(docs: DataFrame, window: int = 3, long_words: int = 50, sentence
     gone = repeats(docs, window, long_words, sentences).withColumnRenamed("doc_id", "id")
     rows = docs.select(F.col("doc_id").cast("long").alias("doc"), F.col("text").cast("string").alias("text"), F.struct(*[c for c in docs.columns if c != "text"]).alias("row"))
     both = rows.join(gone, rows["doc"] == gone["id"], "left")
-
-    def rest(every: Column) -> Column:
-        line = (lambda x: x["t"]) if sentences else (lambda x: x)
-        worded = F.filter(F.transform(every, lambda x, i: F.when(F.rlike(line(x), F.lit(WORD)), i)), lambda i: i.isNotNull())
-        cut_at = let(worded, lambda w: F.transform("gone", lambda i: F.element_at(w, i + 1)))
-        # Pieces between the lines cut; each line is touched once.
-        ends = F.concat(cut_at, F.array(F.size(every)))
-        pieces = let(ends, lambda e: F.transform(e, lambda x, k: F.slice(
-            every, F.when(k > 0, F.element_at(e, F.greatest(k, F.lit(1))) + 2).otherwise(1),
-            x - F.when(k > 0, F.element_at(e, F.greatest(k, F.lit(1))) + 1).otherwise(0))))
-        return F.flatten(pieces)
-
-    left = _joined(F.col("text"), rest) if sentences else F.array_join(let(F.split("text", "\n", -1), rest), "\n")
-    kept = F.col("gone").isNull()
-    out = both.select("row", F.when(kept, F.col("text")).otherwise(left).alias("text"), F.coalesce(F.size("gone"), F.lit(0)).alias("n"), kept.alias("kept"))
+    kept = F.col("gone").isNull() | F.col("text").isNull()
+    out = both.select("row", F.when(kept, F.col("text")).otherwise(_rest(F.col("text"), F.col("gone"), sentences)).alias("text"),
+                      F.when(kept, 0).otherwise(F.size("gone")).alias("n"), kept.alias("kept"))
 
     def column(name: str) -> Column:
         if name == "text":
@@ -118,9 +172,9 @@ def dedup_lines(docs: DataFrame, window: int = 3, long_words: int = 50, sentence
         old = F.col("row").getField(name)
         return F.when(F.col("kept"), old).otherwise(F.length("text").cast("long")).alias(name) if name == "n_chars" else old.alias(name)
 
-    return out.select(*[column(c) for c in docs.columns], F.greatest(F.col("n"), F.lit(0)).alias("n_gone"))
+    return out.select(*[column(c) for c in docs.columns], F.col("n").alias("n_gone"))
 
 
 def dedup_corpus(docs: DataFrame, few_words: int = 5) -> DataFrame:
-    """As ``dedup_lines``, by sentences: each one, or run of up to three, of at least ``few_words`` words counts, and any run of three."""
+    """As ``dedup_lines``, by sentences: a window is the shortest run that holds ``few_words`` words, of three at most."""
     return dedup_lines(docs, long_words=few_words, sentences=True)

@@ -93,22 +93,20 @@ def embedding_links(rows, cosine=0.98):
 
 
 def line_repeats(texts, window=3, long_words=50):
-    """Texts without later repeated runs: every window of lines, and every shorter run of many words, against all earlier ones."""
-    worded = [[(p, line.strip(" \t\n\x0b\x0c\r")) for p, line in enumerate(t.split("\n")) if WORDS.search(line)] if t is not None else [] for t in texts]
-    seen, out = set(), []
+    """Texts without later repeats: each window of lines against all earlier places, then line by line to both sides."""
+    worded = [[(p, " ".join(WORDS.findall(line))) for p, line in enumerate(t.split("\n")) if WORDS.search(line)] if t is not None else [] for t in texts]
+    source, out = {}, []
     for t, lines in zip(texts, worded):
-        gone = set()
-        for i in range(len(lines)):
-            keys = []
-            if i + window <= len(lines):
-                keys.append((i, window))
-            for n in range(1, min(window, len(lines) - i + 1)):
-                if sum(len(WORDS.findall(x)) for _, x in lines[i:i + n]) >= long_words:
-                    keys.append((i, n))
-            for at, n in keys:
-                key = tuple(x for _, x in lines[at:at + n])
-                if key in seen:
-                    gone.update(p for p, _ in lines[at:at + n])
-                seen.add(key)
+        said, gone = [x for _, x in lines], set()
+        for i in range(len(said)):
+            n = next((n for n in range(1, window + 1) if i + n <= len(said) and (n == window or sum(len(x.split(" ")) for x in said[i:i + n]) >= long_words)), None)
+            if n is None:
+                continue
+            before, after = said[max(0, i - window + 1):i][::-1], said[i + n:i + n + window - 1]
+            if (key := tuple(said[i:i + n])) not in source:
+                source[key] = before, after
+                continue
+            same = [next((k for k, (a, b) in enumerate(zip(x, y)) if a != b), min(len(x), len(y))) for x, y in zip(source[key], (before, after))]
+            gone.update(p for p, _ in lines[i - same[0]:i + n + same[1]])
         out.append(None if t is None else "\n".join(x for p, x in enumerate(t.split("\n")) if p not in gone))
     return out
