@@ -9,9 +9,9 @@ The window that begins at a line is the shortest run of lines that holds ``long_
 windows. Of each window the leftmost line of the smallest hash is selected: a fingerprint, with its
 position. Equal windows thus have equal fingerprints, and fingerprints that one place holds cannot be
 part of a repeat; positions of the others are joined. Around a joined position the windows it stands
-for are compared line by line with the earliest place that holds the same lines, and a match is
-extended to both sides as long as the lines there are equal too. More than ``window`` - 1 equal lines
-beyond an end hold a window of their own, so that many neighbours make an extension complete.
+for are matched with the earliest place that holds the same lines, and a match is extended to both sides,
+line by line, over short lines that are equal too: a long line, or ``window`` short ones, is a window of
+its own, so that short lines beyond an end, fewer than ``window``, are all that is left to compare.
 Lines of matched runs that come later than their source, by (doc_id, position), go.
 
 Defined results: a null text stays null; an empty text stays; documents whose lines all go keep an
@@ -59,72 +59,58 @@ def _at(lines: Column, i: Column) -> Column:
     return F.when(i >= 0, F.get(lines, F.greatest(i, F.lit(0))))
 
 
-def _extent(words: Column, i: Column, window: int, long_words: int) -> Column:
-    """Lines of the window that begins at i; null if the text ends before it is complete."""
-    total, size = _at(words, i), F.when(_at(words, i) >= long_words, 1)
-    for n in range(2, window + 1):
-        total = total + _at(words, i + n - 1)
-        size = F.coalesce(size, F.when(total.isNotNull() if n == window else total >= long_words, n))
-    return size if window > 1 else F.when(_at(words, i).isNotNull(), 1)
-
-
-def _selected(hashes: Column, i: Column, n: Column, window: int) -> Column:
-    """The position of the leftmost smallest hash in the window of n lines at i."""
-    best, at = _at(hashes, i), i
-    for k in range(1, window):
-        h = _at(hashes, i + k)
-        less = (n > k) & (h < best)
-        best, at = F.when(less, h).otherwise(best), F.when(less, i + k).otherwise(at)
-    return at
-
-
-def fingerprints(docs: DataFrame, window: int = 3, long_words: int = 50, sentences: bool = False) -> tuple[DataFrame, DataFrame]:
-    """(doc_id, h, words): hashes and words of each document's lines; and (doc_id, pos, f): the selected positions."""
+def _window(h: Column, words: Column, i: Column, window: int, long_words: int) -> Column:
+    """The window that begins at line i: n lines, the selected one at i + o, its hash f, a hash g of all; null if the text ends before."""
+    total, n = F.get(words, i), F.when(F.get(words, i) >= long_words, 1)
+    for k in range(2, window + 1):
+        total = total + F.get(words, i + k - 1)
+        n = F.coalesce(n, F.when(total.isNotNull() if k == window else total >= long_words, k))
+    n = n if window > 1 else F.lit(1)
+
+    def beside(at: list[Column]) -> Column:
+        """Hashes of the short lines beside an end, nearest first, as far as they go."""
+        near, go = [], F.lit(True)
+        for j in at:
+            go = go & F.coalesce(_at(words, j) < long_words, F.lit(False))
+            near.append(F.when(go, _at(h, j)))
+        return F.when(near[0].isNotNull(), F.array(*near)) if near else F.lit(None).cast("array<bigint>")
+
+    def whole(n: Column) -> Column:
+        f, o = F.get(h, i), F.lit(0)
+        for k in range(1, window):
+            less = (n > k) & (F.get(h, i + k) < f)
+            f, o = F.when(less, F.get(h, i + k)).otherwise(f), F.when(less, F.lit(k)).otherwise(o)
+        g = F.when(n > 1, F.xxhash64(n, *[F.when(n > k, F.get(h, i + k)) for k in range(window)])).otherwise(F.get(h, i))
+        return F.struct(i.alias("i"), n.alias("n"), F.when(n > 1, o).otherwise(0).alias("o"), F.when(n > 1, f).otherwise(F.get(h, i)).alias("f"), g.alias("g"),
+                        beside([i - k for k in range(1, window)]).alias("before"), beside([i + n + k for k in range(window - 1)]).alias("after"))
+
+    return F.when(n.isNotNull(), let(n, whole))
+
+
+def fingerprints(docs: DataFrame, window: int = 3, long_words: int = 50, sentences: bool = False) -> DataFrame:
+    """(doc_id, i, n, o, f, g, before, after): the windows of each document with their selected lines."""
     marks = docs.where("doc_id is not null and text is not null").select(F.col("doc_id").cast("long").alias("doc_id"), line_marks(F.col("text"), sentences).alias("m"))
     lines = cut(marks.where(F.size("m") > 0).select("doc_id", F.col("m.h").alias("h"), F.col("m.words").alias("words")))
-
-    def select(h: Column, words: Column) -> Column:
-        def place(_: Column, i: Column) -> Column:
-            n = _extent(words, i, window, long_words)
-            return F.when(n == 1, i).when(n > 1, _selected(h, i, n, window))
-        return F.array_distinct(F.filter(F.transform(h, place), lambda p: p.isNotNull()))
-
-    chosen = lines.select("doc_id", F.explode(F.transform(select(F.col("h"), F.col("words")), lambda p: F.struct(p.alias("pos"), F.get("h", p).alias("f")))).alias("x"))
-    return lines, chosen.select("doc_id", "x.pos", "x.f")
+    every = F.transform("h", lambda _, i: _window(F.col("h"), F.col("words"), i, window, long_words))
+    return lines.select("doc_id", F.explode(every).alias("w")).where("w is not null").select("doc_id", "w.*")
 
 
-def matches(lines: DataFrame, chosen: DataFrame, window: int = 3, long_words: int = 50) -> DataFrame:
+def matches(windows: DataFrame, window: int = 3) -> DataFrame:
     """(doc_id, first, last): runs of lines that occur earlier, extended to both sides."""
     # Joined positions: fingerprints that more than one place holds. The key is complemented so that the join gets
     # exchanges of its own, whose partitions adaptive execution may split where a fingerprint is hot.
-    places = chosen.groupBy(F.bitwise_not("f").alias("k")).agg(F.min(F.struct("doc_id", "pos")).alias("a"), F.max(F.struct("doc_id", "pos")).alias("b"))
-    common = places.where("a <> b").select(F.bitwise_not("k").alias("f"))
-    near = chosen.join(common, "f", "left_semi").groupBy("doc_id").agg(F.collect_set("pos").alias("at"))
-    held = lines.join(near.withColumnRenamed("doc_id", "_id"), F.col("doc_id") == F.col("_id"))
-    h, words, reach = F.col("h"), F.col("words"), window - 1
-
-    def windows(p: Column) -> Column:
-        """The windows that select position p, with the lines beside them, nearest first."""
-        def one(back: Column) -> Column:
-            i = p - back
-            n = F.when(_at(words, i).isNotNull(), _extent(words, i, window, long_words))
-            return F.when((n > back) & (_selected(h, i, n, window) == p), F.struct(
-                i.alias("i"), n.alias("n"), F.xxhash64(n, *[F.when(n > k, _at(h, i + k)) for k in range(window)]).alias("g"),
-                F.array(*[_at(h, i - k) for k in range(1, reach + 1)]).cast("array<bigint>").alias("before"),
-                F.array(*[_at(h, i + n + k) for k in range(reach)]).cast("array<bigint>").alias("after")))
-        return F.filter(F.array(*[one(F.lit(b)) for b in range(window)]), lambda x: x.isNotNull())
-
-    found = held.select("doc_id", h, words, F.explode("at").alias("p")).select("doc_id", F.explode(windows(F.col("p"))).alias("w"))
-    found = cut(found.select("doc_id", "w.*"))
+    place = F.xxhash64("doc_id", F.col("i") + F.col("o"))
+    places = windows.groupBy(F.bitwise_not("f").alias("k")).agg(F.min(place).alias("a"), F.max(place).alias("b"))
+    near = windows.join(places.where("a <> b").select(F.bitwise_not("k").alias("f")), "f", "left_semi")
     # The earliest place of each window's lines; a later one is matched with it.
-    source = found.groupBy(F.bitwise_not("g").alias("k")).agg(
+    source = near.groupBy(F.bitwise_not("g").alias("k")).agg(
         F.min(F.struct("doc_id", "i", "before", "after")).alias("a"), F.max(F.struct("doc_id", "i")).alias("b"))
     source = source.where("a.doc_id <> b.doc_id or a.i <> b.i").select(F.bitwise_not("k").alias("g"), "a")
-    later = found.join(source, "g").where((F.col("doc_id") > F.col("a.doc_id")) | ((F.col("doc_id") == F.col("a.doc_id")) & (F.col("i") > F.col("a.i"))))
+    later = near.join(source, "g").where((F.col("doc_id") > F.col("a.doc_id")) | ((F.col("doc_id") == F.col("a.doc_id")) & (F.col("i") > F.col("a.i"))))
 
     def extension(side: str) -> Column:
         same, count = F.lit(True), F.lit(0)
-        for k in range(reach):
+        for k in range(window - 1):
             same = same & F.coalesce(F.get(side, F.lit(k)) == F.get(F.col(f"a.{side}"), F.lit(k)), F.lit(False))
             count = count + same.cast("int")
         return count
@@ -134,7 +120,7 @@ def matches(lines: DataFrame, chosen: DataFrame, window: int = 3, long_words: in
 
 def repeats(docs: DataFrame, window: int = 3, long_words: int = 50, sentences: bool = False) -> DataFrame:
     """(doc_id, gone): the worded lines, by their order, that later repeats cover; sorted, per document."""
-    runs = matches(*fingerprints(docs, window, long_words, sentences), window, long_words)
+    runs = matches(fingerprints(docs, window, long_words, sentences), window)
     return runs.select("doc_id", F.explode(F.sequence("first", "last")).alias("i")).groupBy("doc_id").agg(F.sort_array(F.collect_set("i")).alias("gone"))
 
 

@@ -1,6 +1,7 @@
 """Plain Python versions of the corpus operators' contracts, for comparison in tests."""
 
 import hashlib
+import itertools
 import re
 
 import numpy as np
@@ -102,7 +103,8 @@ def line_repeats(texts, window=3, long_words=50):
             n = next((n for n in range(1, window + 1) if i + n <= len(said) and (n == window or sum(len(x.split(" ")) for x in said[i:i + n]) >= long_words)), None)
             if n is None:
                 continue
-            before, after = said[max(0, i - window + 1):i][::-1], said[i + n:i + n + window - 1]
+            short = lambda x: len(x.split(" ")) < long_words
+            before, after = (list(itertools.takewhile(short, x)) for x in (said[max(0, i - window + 1):i][::-1], said[i + n:i + n + window - 1]))
             if (key := tuple(said[i:i + n])) not in source:
                 source[key] = before, after
                 continue
@@ -110,3 +112,44 @@ def line_repeats(texts, window=3, long_words=50):
             gone.update(p for p, _ in lines[i - same[0]:i + n + same[1]])
         out.append(None if t is None else "\n".join(x for p, x in enumerate(t.split("\n")) if p not in gone))
     return out
+
+
+def pour(budget, caps, weights):
+    """Whole-number shares of a budget by weight, none beyond its cap; what a full child leaves goes to the rest."""
+    full = set()
+    while True:
+        room = max(0, budget - sum(caps[c] for c in full))
+        left = sum(weights[c] for c in caps if c not in full)
+        more = {c for c in caps if c not in full and weights[c] > 0 and caps[c] * left <= weights[c] * room}
+        if not more:
+            return {c: caps[c] if c in full else weights[c] * room // left if left else 0 for c in caps}
+        full |= more
+
+
+def mixture(rows, share, weights, epochs, key):
+    """{doc_id: copies} of rows (doc_id, tokens, path); ``key``: (epoch, doc_id) -> order within a leaf."""
+    leaves = {}
+    for i, n, path in rows:
+        if n:
+            leaves.setdefault(path, []).append((i, n))
+    total = sum(n for _, n, _ in rows)
+
+    def cap(prefix):
+        return epochs * sum(n for p, docs in leaves.items() if p[:len(prefix)] == prefix for _, n in docs)
+
+    given = {(): min(int(total * share), cap(()))}
+    for depth in range(len(next(iter(leaves), ()))):
+        below = {}
+        for prefix, budget in given.items():
+            kids = sorted({p[:depth + 1] for p in leaves if p[:depth] == prefix})
+            below |= pour(budget, {k: cap(k) for k in kids}, {k: round(1e6 * weights[depth].get(k[-1], 1)) for k in kids})
+        given = below
+    copies = {}
+    for path, docs in leaves.items():
+        tokens = sum(n for _, n in docs)
+        full, used = given[path] // tokens, 0
+        room = given[path] - full * tokens
+        for at, (i, n) in enumerate(sorted(docs, key=lambda d: key(full, d[0]))):
+            used += n
+            copies[i] = full + (used <= room)
+    return {i: c for i, c in copies.items() if c}
