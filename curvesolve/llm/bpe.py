@@ -12,9 +12,10 @@ from __future__ import annotations
 
 import hashlib
 import json
+import os
 import unicodedata
 from array import array
-from collections.abc import Iterator
+from collections.abc import Iterable, Iterator
 from functools import lru_cache
 
 import pyarrow as pa
@@ -25,8 +26,8 @@ from pyspark.sql import functions as F
 NONE = 1 << 62
 #: Children of a node of the segment tree.
 FAN = 32
-#: Words kept in a worker's memory; beyond that the memory is emptied and filled anew.
-CACHE = 600_000
+#: Chunks kept in a worker's memory, and characters of the longest one kept; beyond that the memory is emptied and filled anew.
+CACHE, KEPT = 600_000, 64
 
 
 def byte_chars() -> list[str]:
@@ -97,24 +98,28 @@ class Codec:
         split = next(p for p in spec["pre_tokenizer"]["pretokenizers"] if p["type"] == "Split")
         self.words = regex.compile(split["pattern"]["Regex"].replace(r"\s", r"\p{White_Space}")).findall
         self.stops = regex.compile("|".join(map(regex.escape, self.special)) or "(?!)")
+        #: What every special token begins with; texts without it hold none.
+        self.mark = os.path.commonprefix([*self.special])
+        steps = [n["type"] for n in (spec["normalizer"] or {"normalizers": []})["normalizers"]]
+        if steps not in (["NFC", "Replace", "Lowercase"], ["NFC", "Lowercase"]):
+            raise ValueError(f"a vocabulary with the normal form {steps} is not supported")
         self.odd = regex.compile("[\x1c-\x1f]").search
         self.chars = byte_chars()
-        self.cache: dict[str, tuple[bytes, bytes]] = {}
+        self.cache: dict[str, bytes] = {}
 
-    def word(self, word: str) -> tuple[bytes, bytes]:
-        """A word's ids as little-endian 32-bit integers, and its tokens joined by blanks."""
+    def word(self, word: str) -> bytes:
+        """A word's ids as little-endian 32-bit integers."""
         symbols = [self.chars[b] for b in word.encode()]
         symbols[-1] += self.end
-        found = merge([self.ids[s] for s in symbols], self.pairs)
-        return array("I", found).tobytes(), " ".join([self.tokens[t] for t in found]).encode()
+        return array("I", merge([self.ids[s] for s in symbols], self.pairs)).tobytes()
 
-    def chunk(self, chunk: str) -> tuple[bytes, bytes]:
+    def chunk(self, chunk: str) -> bytes:
         """The same for a stretch without white space, kept in memory while there is room."""
-        parts = [self.word(w) for w in self.words(chunk)]
-        got = parts[0] if len(parts) == 1 else (b"".join([p[0] for p in parts]), b" ".join([p[1] for p in parts]))
-        if len(self.cache) >= CACHE:
-            self.cache.clear()
-        self.cache[chunk] = got
+        got = b"".join([self.word(w) for w in self.words(chunk)])
+        if len(chunk) <= KEPT:
+            if len(self.cache) >= CACHE:
+                self.cache.clear()
+            self.cache[chunk] = got
         return got
 
     @staticmethod
@@ -123,23 +128,24 @@ class Codec:
         text = unicodedata.normalize("NFC", text)
         return text.lower() if "Σ" not in text else "".join(c.lower() for c in text)
 
-    def encode(self, text: str | None) -> tuple[bytes, bytes]:
-        """(ids as bytes, decoded text as UTF-8)."""
+    def encode(self, text: str | None) -> bytes:
+        """The ids as little-endian 32-bit integers."""
         text, at, parts = text or "", 0, []
         get, chunk = self.cache.get, self.chunk
-        for m in [*self.stops.finditer(text), None] if "<|" in text else [None]:
+        for m in [*self.stops.finditer(text), None] if self.special and self.mark in text else [None]:
             piece = text[at:m.start()] if m else text[at:]
             # No word crosses white space; control characters that only Python counts as such need the full pattern.
             piece = self.normal(piece)
             parts += [get(w) or chunk(w) for w in (piece.split() if not self.odd(piece) else self.words(piece))]
             if m:
-                parts.append((self.special[m[0]].to_bytes(4, "little"), m[0].encode()))
+                parts.append(self.special[m[0]].to_bytes(4, "little"))
                 at = m.end()
-        return b"".join([p[0] for p in parts]), b" ".join([p[1] for p in parts])
+        return b"".join(parts)
 
-    def decode(self, ids: list[int]) -> str:
+    def decode(self, ids: Iterable[int]) -> str:
         """Tokens of known ids, joined by blanks, as a tokenizer without decoder does; special ones stay."""
-        return " ".join(self.tokens[i] for i in ids if i in self.tokens)
+        known = map(self.tokens.get, ids)
+        return " ".join([t for t in known if t is not None])
 
 
 @lru_cache(maxsize=2)
@@ -153,7 +159,7 @@ def encode_documents(docs: DataFrame, path: str) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         enc = codec(path)
         for b in batches:
-            ids = [memoryview(enc.encode(t.as_py())[0]).cast("I").tolist() for t in b.column(1)]
+            ids = [memoryview(enc.encode(t.as_py())).cast("I").tolist() for t in b.column(1)]
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(ids, pa.list_(pa.int32()))], names=["doc_id", "ids"])
     return _source(docs).mapInArrow(run, "doc_id long, ids array<int>")
 
@@ -175,7 +181,8 @@ def digest_documents(docs: DataFrame, path: str) -> DataFrame:
         for b in batches:
             rows = []
             for t in b.column(1):
-                ids, text = enc.encode(t.as_py())
+                ids = enc.encode(t.as_py())
+                text = enc.decode(memoryview(ids).cast("I")).encode("utf-8", "surrogatepass")
                 rows.append((len(ids) // 4, hashlib.sha256(ids).hexdigest(), hashlib.sha256(text).hexdigest()))
             n, i, d = zip(*rows) if rows else ((), (), ())
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(n, pa.int64()), pa.array(i, pa.string()), pa.array(d, pa.string())],

@@ -10,7 +10,7 @@ A linked result is placed right after its call: rows sort by (conv_id, at_turn,
 conversation is gathered in one task.
 
 Defined results: null roles become "user" and null texts ""; text that is no JSON object is plain
-text; arguments that are no JSON object are invalid and kept as a string; a call's result is the first
+text; arguments that are no JSON object are invalid, and kept as a string if they are no JSON; a call's result is the first
 one in a later turn; calls on a cycle of names keep step 0 and are marked; repeated rows are formatted
 alike; an empty table gives an empty result; other columns are ignored.
 """
@@ -28,6 +28,8 @@ TYPES = {"string": "^STRING$", "integer": "^BIGINT$", "number": "^(BIGINT|DOUBLE
 MESSAGE = "tool_calls array<struct<id string, name string, arguments string>>, tool_call_id string, content string"
 #: A schema: {tool: {argument: (type, required)}}.
 Schemas = dict[str, dict[str, tuple[str, bool]]]
+#: The tools that the registered queries validate against.
+TOOLS: Schemas = {"lookup": {"after": ("string", False), "words": ("integer", True)}, "search": {"limit": ("integer", False), "query": ("string", True)}}
 
 
 def canonical(text: Column) -> Column:
@@ -35,6 +37,12 @@ def canonical(text: Column) -> Column:
     return F.to_json(F.try_parse_json(text))
 
 
+def _quoted(text: Column) -> Column:
+    """JSON text of a string."""
+    listed = F.to_json(F.array(text))
+    return F.substring(listed, F.lit(2), F.length(listed) - 2)
+
+
 def problems(name: Column, arguments: Column, schemas: Schemas | None) -> Column:
     """array<string> of what is wrong with a call's arguments; empty: valid."""
     value = F.try_parse_json(arguments)
@@ -66,10 +74,10 @@ def parse(turns: DataFrame) -> DataFrame:
 def tool_calls(messages: DataFrame, schemas: Schemas | None = None) -> DataFrame:
     """One row per call: rid, conv_id, turn, idx, id, name, arguments (canonical), problems, depends on, result_turn."""
     calls = messages.where("m.tool_calls is not null").select("rid", "conv_id", "turn", F.posexplode("m.tool_calls").alias("idx", "c")).distinct()
-    calls = calls.select("rid", "conv_id", "turn", "idx", "c.id", "c.name", F.coalesce(canonical(F.col("c.arguments")), F.to_json(F.struct(F.col("c.arguments").alias("raw")))).alias("arguments"),
+    calls = calls.select("rid", "conv_id", "turn", "idx", "c.id", "c.name", F.coalesce(canonical(F.col("c.arguments")), _quoted(F.coalesce("c.arguments", F.lit("")))).alias("arguments"),
                          problems(F.col("c.name"), F.col("c.arguments"), schemas).alias("problems"),
                          F.array_distinct(F.regexp_extract_all(F.coalesce("c.arguments", F.lit("")), F.lit(r"\{\{([A-Za-z0-9_.-]+)\}\}"), F.lit(1))).alias("needs"))
-    results = messages.where("m.tool_call_id is not null").select(F.col("conv_id").alias("_conv"), F.col("turn").alias("_turn"), F.col("m.tool_call_id").alias("_id"))
+    results = messages.where("m.tool_call_id is not null").select(F.col("conv_id").alias("_conv"), F.col("turn").alias("_turn"), F.col("m.tool_call_id").alias("_id")).distinct()
     met = calls.select("rid", "idx", "conv_id", "turn", "id").join(results.hint("shuffle_hash"), (F.col("conv_id") == F.col("_conv")) & (F.col("id") == F.col("_id")) & (F.col("_turn") > F.col("turn")))
     first = met.groupBy("rid", "idx").agg(F.min("_turn").alias("result_turn"))
     return calls.join(first, ["rid", "idx"], "left")
@@ -106,8 +114,7 @@ def format_turns(turns: DataFrame, schemas: Schemas | None = None) -> DataFrame:
     placed = calls.join(order, ["conv_id", "id"], "left")
     cyclic = F.col("step").isNull() & F.col("id").isNotNull()
     per_turn = placed.groupBy(F.col("rid").alias("_rid")).agg(
-        F.array_sort(F.collect_list(F.struct(F.coalesce("step", F.lit(0)).alias("step"), "idx", F.to_json(F.struct(
-            F.col("arguments"), F.col("id"), F.col("name"), F.when(F.size("problems") > 0, F.col("problems")).alias("problems"))).alias("json")))).alias("calls"),
+        F.array_sort(F.collect_list(F.struct(F.coalesce("step", F.lit(0)).alias("step"), "idx", "arguments", "id", "name", F.when(F.size("problems") > 0, F.col("problems")).alias("problems")))).alias("calls"),
         F.count("result_turn").alias("n_linked"), F.count_if(F.size("problems") > 0).alias("n_invalid"), F.count_if(cyclic).alias("n_cyclic"))
     # Where a linked result goes: after its call, by the call's turn, step and number.
     target = placed.where("result_turn is not null").select(
@@ -118,9 +125,21 @@ def format_turns(turns: DataFrame, schemas: Schemas | None = None) -> DataFrame:
         target.withColumnRenamed("k", "_k"), F.col("is_result") & (F.col("k") == F.col("_k")), "left")
     content = F.when(F.col("m").isNull(), F.col("text")).otherwise(F.coalesce("m.content", F.lit("")))
     json = F.to_json(F.struct(content.alias("content"), F.col("role"), F.col("m.tool_call_id").alias("tool_call_id"),
-                              F.transform("calls", lambda c: c["json"]).alias("tool_calls")))
+                              F.transform("calls", lambda c: F.struct(F.try_parse_json(c["arguments"]).alias("arguments"), c["id"].alias("id"), c["name"].alias("name"), c["problems"].alias("problems"))).alias("tool_calls")))
     zero = F.lit(0).cast("long")
     return both.select(
         "conv_id", "turn", "role", F.coalesce("to.at", "turn").alias("at_turn"), F.coalesce("to.step", F.lit(0)).alias("step"),
         F.greatest(F.coalesce(F.size("calls"), F.lit(0)), F.lit(0)).cast("long").alias("n_calls"), F.coalesce("n_linked", zero).alias("n_linked"),
         F.coalesce("n_invalid", zero).alias("n_invalid"), F.coalesce("n_cyclic", zero).alias("n_cyclic"), json.alias("json"))
+
+
+def as_tool_calls(turns: DataFrame) -> DataFrame:
+    """Conversations in which every odd turn is a call of ``lookup`` that needs the one two turns before, and every even
+    turn but the first the result of the call before it; a third of the conversations give a word count as text."""
+    words = F.size(F.split(F.col("text"), " ", -1))
+    arguments = F.struct(F.when(F.col("turn") > 1, F.concat(F.lit("{{c"), (F.col("turn") - 2).cast("string"), F.lit("}}"))).alias("after"),
+                         F.when(F.col("conv_id") % 3 == 0, F.try_parse_json(F.concat(F.lit('"'), words.cast("string"), F.lit('"')))).otherwise(F.try_parse_json(words.cast("string"))).alias("words"))
+    call = F.struct(F.array(F.struct(F.concat(F.lit("c"), F.col("turn").cast("string")).alias("id"), F.lit("lookup").alias("name"), arguments.alias("arguments"))).alias("tool_calls"))
+    result = F.struct(F.concat(F.lit("c"), (F.col("turn") - 1).cast("string")).alias("tool_call_id"), F.col("text").alias("content"))
+    text = F.when(F.col("turn") % 2 == 1, F.to_json(call)).when(F.col("turn") > 0, F.to_json(result)).otherwise(F.col("text"))
+    return turns.select("conv_id", "turn", "role", text.alias("text"))

@@ -10,7 +10,7 @@ The order within a leaf and epoch is that of a seeded hash of doc_id, so a prefi
 It is found by radix selection: token sums per 8-bit digit, then within the digit that the budget
 ends in, and so on; no task orders a whole leaf.
 
-Defined results: null and empty texts hold no tokens; null names are the name ""; rows with equal
+Defined results: documents without a token, such as null and empty texts, are not taken; null names are the name ""; rows with equal
 order keys (repeated rows, null ids) enter or stay out together; a budget beyond what all leaves can
 supply is cut to it; an empty table gives an empty result; other columns pass through.
 """
@@ -18,7 +18,6 @@ supply is cut to it; an empty table gives an empty result; other columns pass th
 from __future__ import annotations
 
 import math
-
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -27,6 +26,9 @@ from ._common import WORD, cut
 LEVELS = ("domain", "lang", "source")
 #: Leaves up to which a table of leaves is broadcast; beyond that it is joined by shuffle.
 FEW = 50_000
+MILLION = 1_000_000
+#: Target weights of the registered query and the pipeline: languages, and the stand-in domains; sources share alike.
+TARGETS = {"domain": {"domain0": 4.0, "domain1": 3.0, "domain2": 2.0, "domain3": 1.0}, "lang": {"en": 5.0, "de": 2.0, "fr": 2.0, "es": 1.0}}
 #: Rows of the last radix bucket to aim at.
 BUCKET = 64
 
@@ -50,27 +52,37 @@ def leaves(docs: DataFrame, domain: Column | None, path: tuple[str, ...]) -> lis
     return [F.coalesce(names.get(p, F.col(p)).cast("string"), F.lit("")).alias(f"_{p}") for p in path]
 
 
-def pour(nodes: DataFrame, parent: list[str], name: str, budget: str, weights: dict[str, float]) -> DataFrame:
-    """Share each parent's budget among its children: by weight, none beyond its supply ``cap``.
+def weight_of(name: str, weights: dict[str, float]) -> Column:
+    """A child's weight in millionths, as a whole number, so that sums do not depend on their order; 1 unless given."""
+    w = F.lit(MILLION)
+    for k, v in weights.items():
+        w = F.when(F.col(name) == k, F.lit(round(v * MILLION))).otherwise(w)
+    return w.cast("decimal(38,0)")
+
 
-    Children are ordered by supply over weight; those that cannot meet the common level are full, and
-    the first that can sets the level for the rest. Adds the column ``given``.
+def pour(nodes: DataFrame, parent: list[str], name: str, weights: dict[str, float]) -> DataFrame:
+    """Share each parent's ``budget`` among its children: by weight, none beyond its supply ``cap``.
+
+    Children whose supply is no more than their share are filled; what they leave is shared among the
+    rest, until none is filled any more. Each round is one sum by parent, pre-aggregated before its
+    exchange, so a parent may have any number of children. Adds the column ``given``; shares are whole
+    tokens, rounded down.
     """
-    w = F.lit(1.0)
-    for k, v in weights.items():
-        w = F.when(F.col(name) == k, F.lit(float(v))).otherwise(w)
-    by = Window.partitionBy(*parent) if parent else Window.partitionBy(F.lit(0))
-    ranked = by.orderBy("ratio", name)
-    whole = ranked.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
-    before = ranked.rowsBetween(Window.unboundedPreceding, -1)
-    out = nodes.withColumn("w", w).withColumn("ratio", F.when(F.col("w") > 0, F.col("cap") / F.col("w")).otherwise(F.lit(float("inf"))))
-    out = out.withColumn("full_before", F.coalesce(F.sum("cap").over(before), F.lit(0))).withColumn(
-        "w_left", F.sum("w").over(by) - F.coalesce(F.sum("w").over(before), F.lit(0.0)))
-    out = out.withColumn("level", F.when(F.col("w_left") > 1e-12, (F.col(budget) - F.col("full_before")) / F.col("w_left")))
-    out = out.withColumn("is_full", (F.col("ratio") <= F.col("level")) & (F.col("w") > 0))
-    out = out.withColumn("common", F.first(F.when(~F.col("is_full"), F.col("level")), ignorenulls=True).over(whole))
-    given = F.when(F.col("is_full"), F.col("cap")).when(F.col("w") > 0, F.least(F.col("cap"), F.floor(F.col("w") * F.greatest(F.col("common"), F.lit(0.0)))))
-    return out.withColumn("given", F.coalesce(given, F.lit(0)).cast("long")).drop("w", "ratio", "full_before", "w_left", "level", "is_full", "common")
+    rows = cut(nodes.withColumn("_w", weight_of(name, weights)).withColumn("_full", F.col("_w") < 0).withColumn("_all", F.lit(0)))
+    keys = [*parent, "_all"]
+    while True:
+        sums = rows.groupBy(*[F.col(p).alias(f"_of{p}") for p in keys]).agg(
+            F.sum(F.when(F.col("_full"), F.col("cap")).otherwise(0)).cast("decimal(38,0)").alias("_used"),
+            F.sum(F.when(~F.col("_full"), F.col("_w")).otherwise(0)).cast("decimal(38,0)").alias("_left"))
+        shared = rows.join(sums, [F.col(p) == F.col(f"_of{p}") for p in keys])
+        room = F.greatest(F.col("budget").cast("decimal(38,0)") - F.col("_used"), F.lit(0)).cast("decimal(19,0)")
+        share = F.col("_w").cast("decimal(19,0)") * room
+        fills = ~F.col("_full") & (F.col("_w") > 0) & (F.col("cap").cast("decimal(19,0)") * F.col("_left").cast("decimal(19,0)") <= share)
+        shared = cut(shared.select(*rows.columns, fills.alias("_fills"), F.when(F.col("_full"), F.col("cap")).when(
+            F.col("_left") > 0, F.call_function("div", share, F.col("_left"))).otherwise(0).cast("long").alias("given")))
+        if shared.where("_fills").isEmpty():
+            return shared.drop("_w", "_full", "_fills", "_all")
+        rows = shared.withColumn("_full", F.col("_full") | F.col("_fills")).select(*rows.columns)
 
 
 def budgets(sums: DataFrame, total: Column, weights: dict[str, dict[str, float]], epochs: int, path: tuple[str, ...]) -> DataFrame:
@@ -84,7 +96,7 @@ def budgets(sums: DataFrame, total: Column, weights: dict[str, dict[str, float]]
         parent = cols[:depth]
         level = nodes.groupBy(*cols[:depth + 1]).agg(F.sum("cap").alias("cap"))
         level = level.withColumn("budget", F.lit(whole)) if above is None else level.join(above, parent)
-        above = pour(level, parent, name, "budget", weights.get(path[depth], {})).select(*cols[:depth + 1], F.col("given").alias("budget"))
+        above = pour(level, parent, name, weights.get(path[depth], {})).select(*cols[:depth + 1], F.col("given").alias("budget"))
     return nodes.join(above.withColumnRenamed("budget", "given"), cols).select(*cols, "tokens", "given")
 
 
@@ -98,7 +110,7 @@ def leaf_cutoffs(docs: DataFrame, share: float = 0.8, weights: dict[str, dict[st
     size = sums.agg(F.max("docs").alias("most"), F.count("*").alias("n")).first()
     most, small = size["most"] or 0, F.broadcast if size["n"] <= FEW else (lambda df: df)
     given = cut(budgets(sums.drop("docs"), F.col("tokens") * F.lit(float(share)), weights or {}, epochs, path).select(
-        *cols, "tokens", "given", F.when(F.col("tokens") > 0, F.floor(F.col("given") / F.col("tokens"))).otherwise(F.lit(epochs)).cast("int").alias("full")))
+        *cols, "tokens", "given", F.when(F.col("tokens") > 0, F.call_function("div", F.col("given"), F.col("tokens"))).otherwise(0).cast("int").alias("full")))
     at = given.select(*cols, "full", (F.col("given") - F.col("full") * F.col("tokens")).alias("room"), F.lit(0).cast("long").alias("prefix"), F.lit(None).cast("long").alias("cutoff"))
     levels = 1 + max(0, math.ceil(math.log2(max(1, most) / BUCKET) / 8))
     by = Window.partitionBy(*cols).orderBy("d")
@@ -126,8 +138,10 @@ def _taken(docs: DataFrame, seed: int = 11, domain: Column | None = None, path:
     cols = [f"_{p}" for p in path]
     plan = leaf_cutoffs(docs, seed=seed, domain=domain, path=path, **options)
     few = plan.count() <= FEW
-    plan = plan.drop("tokens", "given")
-    rows = docs.select(F.struct("*").alias("row"), F.col("doc_id"), *leaves(docs, domain, path)).select("row", "doc_id", *cols)
+    plan = plan.where("tokens > 0").drop("tokens", "given")
+    count = options.get("tokens")
+    worded = F.rlike(F.coalesce(F.col("text"), F.lit("")), F.lit(r"[^\x20\x09-\x0D]")) if count is None else count > 0
+    rows = docs.where(worded).select(F.struct("*").alias("row"), F.col("doc_id"), *leaves(docs, domain, path)).select("row", "doc_id", *cols)
     both = rows.join(F.broadcast(plan) if few else plan, cols)
     signed = order_key(seed, F.col("full")).bitwiseXOR(F.lit(-(1 << 63)))
     copies = F.col("full") + F.coalesce((signed <= F.col("cutoff")).cast("int"), F.lit(0))

@@ -10,7 +10,7 @@ Training takes at most ``sample`` labelled rows, those of smallest hash; scoring
 Inputs of a score are the text alone.
 
 Defined results: null and empty texts get the score of a row without features; labels that are null
-are not learned from; without labels of both classes every score is 1; repeated rows count as they
+are not learned from; with labels of one class every score is about that class's, without labels 1; repeated rows count as they
 stand; other columns are ignored.
 """
 
@@ -107,7 +107,7 @@ def descend(rows: list[np.ndarray], y: np.ndarray, ratio: np.ndarray, cost: floa
 def fit(rows: list[np.ndarray], y: np.ndarray, seed: int = 3) -> Model:
     """``y``: 1 or -1. A fifth of the rows calibrates the score."""
     if len(set(y.tolist())) < 2:
-        return Model(np.zeros(COLUMNS), np.zeros(COLUMNS), 0.0, 0.0, 30.0)
+        return Model(np.zeros(COLUMNS), np.zeros(COLUMNS), 0.0, 0.0, 30.0 if not len(y) or y[0] > 0 else -30.0)
     kept = np.random.default_rng(seed).random(len(rows)) < 0.8
     if len(set(y[kept].tolist())) < 2:
         kept[:] = True

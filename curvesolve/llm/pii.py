@@ -1,15 +1,18 @@
 """Personal data by candidate gradient boosting, in DataFrame expressions only.
 
 Generators propose spans with high recall, overlapping each other: the four base kinds without their
-checks, and looser forms. Each candidate gets binned format and context features. Boosted trees are
-trained on the table of distinct feature combinations with their counts, whose size is bounded by the
-bins: a candidate is a positive example if it is a checked base span, a negative one if it has a base
-form and fails its check. As features are binned, the trees are tabulated over all combinations, and
-a cutoff calibrated on held-out documents selects the combinations whose candidates are added. Base spans always stay.
-
-Defined results: a null text is an empty one; spans added never overlap a base span; without
-candidates of both classes nothing is added; repeated rows count as they stand; other columns are
-ignored.
+checks, and a looser form of each. Candidates get binned format and context features, and boosted
+trees score the loose ones. Labels come from elsewhere than the candidate itself: each span of a base
+form is rewritten to the loose form, with its surroundings as they stand, and is a positive example if
+the span passed its base check, a negative one if it failed; loose candidates met in the texts count as
+negative, as nothing vouches for them. Examples are counted by feature combination, a table bounded by
+the bins. A cutoff per kind is calibrated on held-out documents: the smallest score from which on the
+lower confidence bound of precision holds. As features are binned, the trees are tabulated over all
+combinations, and candidates of selected combinations are added. Base spans always stay.
+
+Defined results: a null text is an empty one; spans added never overlap a base span; a kind without
+enough examples to vouch for the precision adds nothing; repeated rows count as they stand; other
+columns are ignored.
 """
 
 from __future__ import annotations
@@ -27,28 +30,33 @@ from ._common import cut, marks_of, span_text, spans
 
 @dataclass(frozen=True)
 class Generator:
-    """``scan`` matches what ``pattern`` does, written for linear time; texts without any of ``hints`` are not scanned, every match holds one."""
+    """``scan`` matches what ``pattern`` does, written for linear time; texts without any of ``hints`` are not scanned, every match
+    holds one. ``loosen``: (pattern, replacement) pairs that rewrite a span of the base form to this loose form of it."""
 
     kind: str
     scan: str
     hints: tuple[str, ...]
+    digits: bool = True
+    loosen: tuple[tuple[str, str], ...] = ()
 
 
-#: The base kinds, then looser forms of them.
+#: The base kinds, then a looser form of each, in the same order.
 BASE = ("email", "ip", "card", "phone")
 GENERATORS = (
-    Generator("email", r"(?:\G|(?<![A-Za-z0-9._%+-]))[A-Za-z0-9._%+-]++@[A-Za-z0-9-]++(?:\.[A-Za-z0-9-]++)++", ("@",)),
+    Generator("email", r"(?:\G|(?<![A-Za-z0-9._%+-]))[A-Za-z0-9._%+-]++@[A-Za-z0-9-]++(?:\.[A-Za-z0-9-]++)++", ("@",), False),
     Generator("ip", r"(?:\G|(?<![0-9]))[0-9]++\.[0-9]++\.[0-9]++\.[0-9]++", (".",)),
     Generator("card", r"(?<![0-9])(?<![0-9][\x20-])[0-9](?:[\x20-]?[0-9]){13,18}+(?![\x20-]?[0-9])", ()),
     Generator("phone", r"\+[0-9][\x20().0-9-]+[0-9]", ("+",)),
-    Generator("loose_email", r"(?<![A-Za-z0-9._%+-])[A-Za-z0-9._%+-]{1,64}+\x20?(?:@|\(at\)|\[at\])\x20?[A-Za-z0-9-]++\x20?(?:\.|\(dot\)|\[dot\])\x20?[A-Za-z]{2,12}", ("@", "at")),
-    Generator("loose_phone", r"\([0-9]{2,4}\)\x20?[0-9]{3,4}[\x20.-]?[0-9]{3,4}(?![0-9])", ("(",)),
-    Generator("loose_card", r"(?<![0-9.])[0-9]{4}(?:[\x20.-][0-9]{4}){3}(?![0-9.])", ()),
+    Generator("loose_email", r"(?<![A-Za-z0-9._%+-])[A-Za-z0-9._%+-]{1,64}+\x20?(?:@|\(at\)|\[at\])\x20?[A-Za-z0-9-]++\x20?(?:\.|\(dot\)|\[dot\])\x20?[A-Za-z]{2,12}", ("@", "at"), False,
+              (("@", "(at)"), (r"^(.*\(at\))[^.]*\.(?:.*\.)?([^.]+\.[^.]+)$", "$1$2"), (r"\.([^.]+)$", "(dot)$1"))),
+    Generator("loose_ip", r"(?<![0-9.])[0-9]{1,3}(?:\x20?(?:\[\.\]|\(\.\)|\[dot\]|\(dot\))\x20?[0-9]{1,3}){3}(?![0-9])", ("[.]", "(.)", "[dot]", "(dot)"), True, ((r"\.", "[.]"),)),
+    Generator("loose_card", r"(?<![0-9.])[0-9]{4}(?:[./_][0-9]{4}){3}(?![0-9.])", (".", "/", "_"), True, (("[^0-9]", ""), ("^(.{4})(.{4})(.{4})(.{4})$", "$1.$2.$3.$4"))),
+    Generator("loose_phone", r"\([0-9]{2,4}\)\x20?[0-9]{3,4}[\x20.-]?[0-9]{3,4}(?![0-9])", ("(",), True, ((r"^\+[0-9]+[\x20.-]*(?=\()", ""),)),
 )
 KINDS = tuple(g.kind for g in GENERATORS)
-#: Bins of each feature: name and number of values.
-FEATURES = (("kind", len(KINDS)), ("digits", 8), ("luhn", 2), ("marks", 4), ("context", 2), ("range", 2))
-CONTEXT = r"(?i)(mail|phone|tel|call|card|visa|account|address|contact|fax|mobile|kontakt|correo|tél)"
+#: Bins of each feature: name and number of values. The kind is that of the loose form.
+FEATURES = (("kind", len(BASE)), ("digits", 8), ("luhn", 2), ("marks", 4), ("context", 2), ("range", 2), ("ending", 4))
+CONTEXT = r"(?i)(mail|phone|tel|call|card|visa|account|address|contact|fax|mobile|kontakt|correo|tél|host|server)"
 NEAR = 24
 CANDIDATES = "array<struct<kind:int,s:int,e:int,t:string,base:boolean,context:boolean>>"
 
@@ -80,6 +88,8 @@ def _generated(text: Column, number: int, g: Generator) -> Column:
         F.lit(number).alias("kind"), x["s"].alias("s"), x["e"].alias("e"), x["t"].alias("t"), passes(g.kind, x["t"]).alias("base"),
         F.rlike(F.substring(text, F.greatest(x["s"] - NEAR + 1, F.lit(1)), F.least(x["s"], F.lit(NEAR))), F.lit(CONTEXT)).alias("context")))
     likely = F.rlike(text, F.lit(g.scan))
+    if g.digits:
+        likely = F.rlike(text, F.lit("[0-9]{2}|[0-9][^0-9][0-9]")) & likely
     if g.hints:
         likely = reduce(or_, [F.contains(text, F.lit(h)) for h in g.hints]) & likely
     return F.when(likely, found).otherwise(F.array().cast(CANDIDATES))
@@ -93,12 +103,30 @@ def candidates(docs: DataFrame) -> DataFrame:
     return src.select("doc_id", F.concat(*parts).cast(CANDIDATES).alias("c"))
 
 
-def features(c: Column) -> list[Column]:
-    n = F.length(digits_of(c["t"]))
-    marks = F.length(c["t"]) - F.length(F.regexp_replace(c["t"], r"[\x20().@+-]", ""))
-    return [c["kind"].alias("kind"), F.least(F.lit(7), (n / 3).cast("int")).alias("digits"), luhn(c["t"]).cast("int").alias("luhn"),
-            F.least(F.lit(3), (marks / 2).cast("int")).alias("marks"), c["context"].cast("int").alias("context"),
-            F.coalesce(in_range(c["t"]), F.lit(False)).cast("int").alias("range")]
+def features(kind: Column, t: Column, context: Column) -> list[Column]:
+    """Binned features of a loose candidate's text and surroundings."""
+    plain = F.regexp_replace(t, r"\[\.\]|\(\.\)|\[dot\]|\(dot\)", ".")
+    marks = F.length(plain) - F.length(F.regexp_replace(plain, r"[\x20().@+-]", ""))
+    ending = F.length(F.regexp_extract(t, "([A-Za-z]*)$", 1))
+    return [kind.alias("kind"), F.least(F.lit(7), (F.length(digits_of(t)) / 3).cast("int")).alias("digits"), luhn(t).cast("int").alias("luhn"),
+            F.least(F.lit(3), (marks / 2).cast("int")).alias("marks"), context.cast("int").alias("context"),
+            F.coalesce(in_range(F.regexp_replace(plain, " ", "")), F.lit(False)).cast("int").alias("range"),
+            F.when(ending < 2, 0).otherwise(F.least(F.lit(3), ending - 1)).cast("int").alias("ending")]
+
+
+def examples(found: DataFrame) -> DataFrame:
+    """(held, good, t, kind, context): spans of base forms rewritten to loose ones, and the loose candidates met."""
+    each = found.select((F.pmod(F.xxhash64("doc_id"), F.lit(5)) == 0).alias("held"), F.explode("c").alias("c"))
+    text, form = F.lit(None).cast("string"), F.lit(None).cast("boolean")
+    for k in range(len(BASE)):
+        loose, g = F.col("c.t"), GENERATORS[len(BASE) + k]
+        for pattern, new in g.loosen:
+            loose = F.regexp_replace(loose, pattern, new)
+        text = F.when(F.col("c.kind") == k, loose).otherwise(text)
+        form = F.when(F.col("c.kind") == k, F.rlike(loose, F.lit(f"^{g.scan}$"))).otherwise(form)
+    met = F.col("c.kind") >= len(BASE)
+    return each.where(met | form).select("held", (~met & F.col("c.base")).alias("good"), F.when(met, F.col("c.t")).otherwise(text).alias("t"),
+                                         (F.col("c.kind") % len(BASE)).alias("kind"), F.col("c.context").alias("context"))
 
 
 @dataclass(frozen=True)
@@ -168,35 +196,40 @@ def calibrate(rows: list[dict], prior: float, trees: list[Tree], precision: floa
     return cutoff
 
 
-def find_personal_data(docs: DataFrame, precision: float = 0.98, rounds: int = 20) -> DataFrame:
-    """One row per document: doc_id, base spans per kind, and ``added`` spans; array<struct<s, e, ...>> each."""
-    found = cut(candidates(docs))
-    each = found.select(F.pmod(F.xxhash64("doc_id"), F.lit(5)).alias("part"), F.explode("c").alias("c")).where(F.col("c.kind") < len(BASE))
+def fit(found: DataFrame, precision: float, rounds: int) -> tuple[float, list[Tree], dict[int, float]]:
+    """Prior, trees, and the cutoff of each loose kind, from the candidates of all documents."""
     names = [f for f, _ in FEATURES]
-    seen = each.select("part", F.col("c.base").alias("base"), *features(F.col("c"))).groupBy((F.col("part") == 0).alias("held"), *names).agg(
-        F.count_if("base").alias("pos"), F.count_if(~F.col("base")).alias("neg")).collect()  # as many rows as bins at most
+    seen = examples(found).select("held", "good", *features(F.col("kind"), F.col("t"), F.col("context"))).groupBy("held", *names).agg(
+        F.count_if("good").alias("pos"), F.count_if(~F.col("good")).alias("neg")).collect()  # as many rows as bins at most
     rows = [r.asDict() for r in seen]
     prior, trees = boost([r for r in rows if not r["held"]], rounds)
-    cutoff = calibrate([r for r in rows if r["held"]], prior, trees, precision)
+    return prior, trees, {k: calibrate([r for r in rows if r["held"] and r["kind"] == k], prior, trees, precision) for k in range(len(BASE))}
+
+
+def find_personal_data(docs: DataFrame, precision: float = 0.98, rounds: int = 20) -> DataFrame:
+    """One row per document: doc_id, base spans per kind, and ``added`` spans; array<struct<s, e, ...>> each."""
+    found = cut(candidates(docs))
+    prior, trees, cutoffs = fit(found, precision, rounds)
+
     def base(kind: int) -> Column:
         return F.filter("c", lambda x: (x["kind"] == kind) & x["base"])
 
-    out = found.select("doc_id", *[base(k).alias(kind) for k, kind in enumerate(BASE)], F.filter("c", lambda x: ~x["base"]).alias("rest"))
-    if not trees or math.isinf(cutoff):
-        return out.select("doc_id", *BASE, F.filter("rest", lambda x: F.lit(False)).alias("added"))
+    out = found.select("doc_id", *[base(k).alias(kind) for k, kind in enumerate(BASE)], F.filter("c", lambda x: x["kind"] >= len(BASE)).alias("rest"))
+    names = [f for f, _ in FEATURES]
     table = [dict(zip(names, x)) for x in _combinations()]
-    chosen = [r for r in table if prior + sum(t.score(r) for t in trees) >= cutoff]
     # The trees as the set of selected feature combinations: one membership test per candidate.
-    keys = [_code(r) for r in chosen]
+    keys = [_code(r) for r in table if prior + sum(t.score(r) for t in trees) >= cutoffs[r["kind"]]] if trees else []
+    if not keys:
+        return out.select("doc_id", *BASE, F.filter("rest", lambda x: F.lit(False)).alias("added"))
     known = F.concat(*BASE)
 
     def selected(x: Column) -> Column:
         code, factor = F.lit(0), 1
-        for (_, n), f in zip(FEATURES, features(x)):
+        for (_, n), f in zip(FEATURES, features(x["kind"] % len(BASE), x["t"], x["context"])):
             code, factor = code + f * factor, factor * n
         return F.array_contains(F.lit(keys), code)
 
-    added = F.filter("rest", lambda x: selected(x) & ~F.exists(known, lambda b: (b["s"] < x["e"]) & (x["s"] < b["e"])))
+    added = F.filter("rest", lambda x: ~F.exists(known, lambda b: (b["s"] < x["e"]) & (x["s"] < b["e"])) & selected(x))
     return out.select("doc_id", *BASE, added.alias("added"))
 
 

@@ -1,11 +1,18 @@
 """Quality rules whose cutoffs are chosen under risk control.
 
-Each document gets text signals. For every stratum (language) and rule, grid points are tested on
-labelled documents from the most lenient to stricter ones: a point is certified while the exact
-binomial (Clopper-Pearson) upper bound on the share of good documents it rejects stays within the
-risk, and testing stops at the first point that fails. Such a fixed sequence needs no correction
-among its own points; the confidence is corrected for all strata and rules (Bonferroni). Of the
-certified points the one is taken that rejects most bad documents net of a price for good ones.
+Each document gets text signals, one per rule, on a grid. A quarter of the labelled documents, taken
+by hash, only orders the candidates: per rule and grid point, the share of good ones among those at or
+beyond it is the point's level, and a document's level is the lowest of its rules. Rejecting all
+documents up to a level is thus a vector of cutoffs, one per rule, and levels make one sequence of such
+vectors, from lenient to strict; it ends where good documents outnumber bad ones.
+
+On the other labelled documents of each stratum (language) the vectors are tested in that order: one
+is certified while the exact binomial (Clopper-Pearson) upper bound on the share of good documents that
+all rules together reject stays within the risk, and testing stops at the first that fails. A fixed
+sequence needs no correction among its own steps; the confidence is corrected (Bonferroni) for the
+strata tested: as many as have enough good documents to certify anything at that correction. The last
+certified vector applies. Strata that are not tested reject nothing by the method, which each row of
+theirs says in ``certified``.
 
 Defined results: a null text has no words; an empty table gives an empty result; null languages are
 a stratum of their own; labels that are null or repeated rows count as they stand; other columns of
@@ -95,52 +102,78 @@ def bins() -> list[Column]:
     return [F.least(F.lit(GRID), F.floor(x * GRID)).cast("int").alias(r) for r, x in zip(RULES, raw)]
 
 
-def fit_cutoffs(labelled: DataFrame, risk: float = 0.02, delta: float = 0.05, price: float = 20.0) -> dict[tuple[str, str], int]:
-    """{(stratum, rule): cutoff}: reject above it. ``labelled``: signals and ``good`` of labelled documents.
+def levels(tails: list[tuple[str, int, bool, int]]) -> dict[str, list[int]]:
+    """Level of each rule's grid points, 0..GRID, from (rule, bin, good, documents): the lower, the fewer good ones beyond."""
+    out = {}
+    for rule in RULES:
+        good, bad = [0] * (GRID + 1), [0] * (GRID + 1)
+        for r, b, g, n in tails:
+            if r == rule:
+                (good if g else bad)[b] += n
+        level, up, down = [GRID] * (GRID + 1), sum(good), sum(bad)
+        for b in range(GRID + 1):
+            level[b] = min(level[b - 1] if b else GRID, math.ceil(GRID * (up + 1) / (up + down + 2)))
+            up, down = up - good[b], down - bad[b]
+        out[rule] = level
+    return out
 
-    ``risk`` bounds the share of good documents that all rules together reject in a stratum, with
-    probability 1 - ``delta`` over all strata; a good document rejected costs as much as ``price`` bad
-    ones gain. A stratum with too few good documents to certify any point rejects nothing and stays out;
-    only the histograms (rules x grid) of the others reach the driver, one per ``needed`` documents at most.
+
+def level_columns(of: dict[str, list[int]]) -> list[Column]:
+    return [F.element_at(F.lit(of[r]), b + 1).alias(f"level_{r}") for r, b in zip(RULES, bins())]
+
+
+def needed(risk: float, delta: float, strata: int) -> int:
+    """Good documents from which on a stratum can be certified: with none rejected, the exact bound is 1 - delta ** (1 / n)."""
+    return math.ceil(math.log(delta / strata) / math.log1p(-risk))
+
+
+def fit_cutoffs(labelled: DataFrame, risk: float = 0.02, delta: float = 0.05, fit_parts: int = 4) -> tuple[dict[str, list[int]], dict[str, int]]:
+    """(level of each rule's grid points, {stratum: last certified level}); documents up to it are rejected.
+
+    ``labelled``: signals and ``good`` of labelled documents. ``risk`` bounds the share of good documents
+    rejected in a stratum, with probability 1 - ``delta`` over all strata; one part in ``fit_parts``
+    orders the candidates. Only histograms reach the driver: rules x grid, and for strata of at least
+    ``needed`` good documents their grid.
     """
-    per = F.explode(F.array(*[F.struct(F.lit(r).alias("rule"), b.alias("bin")) for r, b in zip(RULES, bins())]))
-    hist = cut(labelled.select("stratum", "good", per.alias("x")).groupBy("stratum", "good", "x.rule", "x.bin").count())
-    each = delta / max(1, len(RULES) * hist.select("stratum").distinct().count())
-    # With no good document rejected, the exact bound is 1 - each ** (1 / n).
-    needed = math.floor(math.log(each) / math.log1p(-risk / len(RULES)))
-    ample = hist.where(F.col("good") & (F.col("rule") == RULES[0])).groupBy("stratum").agg(F.sum("count").alias("n")).where(F.col("n") >= needed)
-    hist = hist.join(ample, "stratum", "left_semi").collect()
-    counts: dict[tuple[str, str], dict[bool, Counter]] = {}
+    parted = cut(labelled.select("stratum", "good", (F.pmod(F.xxhash64("doc_id", F.lit(17)), F.lit(fit_parts)) == 0).alias("fit"), *bins()))
+    per = F.explode(F.array(*[F.struct(F.lit(r).alias("rule"), F.col(r).alias("bin")) for r in RULES]))
+    tails = parted.where("fit").select("good", per.alias("x")).groupBy("x.rule", "x.bin", "good").count().collect()
+    of = levels([(r["rule"], r["bin"], r["good"], r["count"]) for r in tails])
+    test = parted.where(~F.col("fit"))
+    ample = test.where("good").groupBy("stratum").agg(F.count("*").alias("n")).where(F.col("n") >= needed(risk, delta, 1))
+    sizes = sorted(((r["n"], r["stratum"]) for r in ample.collect()), reverse=True)
+    strata = max((m for m in range(1, len(sizes) + 1) if sizes[m - 1][0] >= needed(risk, delta, m)), default=0)
+    chosen = {s: n for n, s in sizes[:strata]}
+    worst = F.least(*[F.element_at(F.lit(of[r]), F.col(r) + 1) for r in RULES])
+    hist = test.where("good").join(ample.select("stratum"), "stratum", "left_semi").groupBy("stratum", worst.alias("level")).count().collect()
+    rejected: dict[str, Counter] = defaultdict(Counter)
     for r in hist:
-        counts.setdefault((r["stratum"], r["rule"]), {True: Counter(), False: Counter()})[r["good"]][r["bin"]] += r["count"]
-    cutoffs: dict[tuple[str, str], int] = defaultdict(lambda: GRID)
-    for key, c in counts.items():
-        n, good, bad, best, gain = sum(c[True].values()), 0, 0, GRID, 0.0
-        for point in range(GRID - 1, -1, -1):
-            good, bad = good + c[True][point + 1], bad + c[False][point + 1]
-            if binomial_upper(good, n, each) > risk / len(RULES):
+        rejected[r["stratum"]][r["level"]] += r["count"]
+    cutoffs = {}
+    for stratum, n in chosen.items():
+        good, last = 0, -1
+        for level in range(GRID // 2 + 1):
+            good += rejected[stratum][level]
+            if binomial_upper(good, n, delta / strata) > risk:
                 break
-            if bad - price * good > gain:
-                best, gain = point, bad - price * good
-        cutoffs[key] = best
-    return cutoffs
+            last = level
+        cutoffs[stratum] = last
+    return of, cutoffs
 
 
 def apply_rules(docs: DataFrame, labels: DataFrame, risk: float = 0.02, delta: float = 0.05,
                 min_words: int = 50, repeat_pct: int = 50, few: int = 5000) -> DataFrame:
-    """One row per document with its counts, base_failed, the rules it breaks, and kept.
+    """One row per document with its counts, base_failed, the rules it breaks, whether its stratum is certified, and kept.
 
-    The cutoff table has a row per stratum that has cutoffs; up to ``few`` rows it is broadcast, beyond
+    The cutoff table has a row per stratum that is certified; up to ``few`` rows it is broadcast, beyond
     that it is joined by shuffle.
     """
     got = cut(signals(docs))
     known = labels.where("quality is not null").select(F.col("doc_id").cast("long").alias("doc_id"), (F.col("quality") == 1).alias("good"))
-    cutoffs = fit_cutoffs(got.join(known, "doc_id"), risk, delta)
-    strata = sorted({s for s, _ in cutoffs})
-    rows = [(s, *(cutoffs.get((s, r), GRID) for r in RULES)) for s in strata]
-    limits = docs.sparkSession.createDataFrame(rows, "stratum string, " + ", ".join(f"max_{r} int" for r in RULES))
-    scored = got.select("*", *bins()).join(F.broadcast(limits) if len(strata) <= few else limits, "stratum", "left")
-    broken = F.filter(F.array(*[F.when(F.col(r) > F.col(f"max_{r}"), F.lit(r)) for r in RULES]), lambda x: x.isNotNull())
+    of, cutoffs = fit_cutoffs(got.join(known, "doc_id"), risk, delta)
+    limits = docs.sparkSession.createDataFrame(sorted(cutoffs.items()), "stratum string, last int")
+    scored = got.select("*", *level_columns(of)).join(F.broadcast(limits) if len(cutoffs) <= few else limits, "stratum", "left")
+    broken = F.filter(F.array(*[F.when(F.col(f"level_{r}") <= F.col("last"), F.lit(r)) for r in RULES]), lambda x: x.isNotNull())
     failed = (F.col("n_words") < min_words) | (100 * F.col("n_repeat_words") > repeat_pct * F.col("n_words"))
-    return scored.select("doc_id", *[c for c in COUNTS if c != "n_lines"], failed.alias("base_failed"),
-                         F.array_join(broken, ",").alias("broken"), (~failed & (F.size(broken) == 0)).alias("kept"))
+    return scored.select("doc_id", *[c for c in COUNTS if c != "n_lines"], failed.alias("base_failed"), F.array_join(broken, ",").alias("broken"),
+                         F.coalesce(F.col("last") >= 0, F.lit(False)).alias("certified"), (~failed & (F.size(broken) == 0)).alias("kept"))

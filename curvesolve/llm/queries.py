@@ -39,7 +39,12 @@ def op4_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op5_chat_format(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return chat.format_turns(table(spark, sf_dir, "conversations"))
+    return chat.format_turns(table(spark, sf_dir, "conversations"), chat.TOOLS)
+
+
+def chat_tool_calls(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The same over conversations whose turns are made calls and results, as the given ones hold none."""
+    return chat.format_turns(chat.as_tool_calls(table(spark, sf_dir, "conversations")), chat.TOOLS)
 
 
 def op6_personal_data(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -47,7 +52,7 @@ def op6_personal_data(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op7_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return mixing.mix(table(spark, sf_dir, "documents")).select("doc_id", "leaf", "copies")
+    return mixing.mix(table(spark, sf_dir, "documents"), weights=mixing.TARGETS).select("doc_id", "leaf", "copies")
 
 
 def op8_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -71,7 +76,7 @@ def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     found = (op1_quality_rules, op2_line_dedup, op3_bpe, op4_simhash, op5_chat_format, op6_personal_data, op7_mixing,
-             op8_quality_classifier, op9_secrets, op10_embedding_dedup, pipeline)
+             op8_quality_classifier, op9_secrets, op10_embedding_dedup, pipeline, chat_tool_calls)
     return {f.__name__: f for f in found}
 
 

@@ -19,7 +19,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ._common import let, marks_of, span_text, spans
+from ._common import cut, let, marks_of, span_text, spans
 
 
 @dataclass(frozen=True)
@@ -43,8 +43,9 @@ RULES = (
     Rule("pem", r"-----BEGIN [A-Z ]{0,20}PRIVATE KEY-----"),
 )
 BASE = ("assign", "access", "hex")
-#: Strings followed at once while a regex is reduced.
-WIDTH = 64
+#: Strings followed at once while a regex is reduced; cells of the table that tells which documents move.
+WIDTH, CELLS = 64, 1 << 20
+SPANS = "array<struct<s:int,e:int,t:string>>"
 
 Query = frozenset  # of frozensets of trigrams: an "or" of "and"s; {frozenset()} holds for every text
 ANY: Query = frozenset([frozenset()])
@@ -146,21 +147,37 @@ def _holding(found: Column, check: str) -> Column:
     return F.filter(found, lambda x: F.rlike(x["t"], F.lit(check)))
 
 
+def _found(rule: Rule) -> Column:
+    found = spans(F.col("text"), rule.pattern)
+    found = _holding(found, rule.check) if rule.check else found
+    # One scan for any match at all; most texts end there.
+    return F.when(F.rlike("text", F.lit(rule.pattern)), found).otherwise(F.array().cast(SPANS))
+
+
 def find_secrets(docs: DataFrame, rules: tuple[Rule, ...] = RULES) -> DataFrame:
-    """One row per document: doc_id and, per kind, the found spans array<struct<s, e, t>>."""
+    """One row per document: doc_id and, per kind, the found spans array<struct<s, e, t>>.
+
+    Rules without a mandatory trigram scan each text where it lies. For the others only texts whose
+    doc_id falls in a cell that holds a candidate move: a table of at most ``CELLS`` cells is broadcast.
+    """
     src = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
-    likely = candidates(src, rules).withColumnRenamed("doc_id", "_id")
-    both = src.join(likely, F.col("doc_id") == F.col("_id"), "left")
-    none = F.array().cast("array<struct<s:int,e:int,t:string>>")
-    cols = []
-    for r in rules:
-        found = spans(F.col("text"), r.pattern)
-        if r.check:
-            found = _holding(found, r.check)
-        if trigram_query(r.pattern) != ANY:
-            found = F.when(F.col("doc_id").isNull() | F.array_contains("rules", r.kind), found).otherwise(none)
-        cols.append(F.coalesce(found, none).alias(r.kind))
-    return both.select("doc_id", *cols)
+    open_rules = [r for r in rules if trigram_query(r.pattern) == ANY]
+    asked = [r for r in rules if r not in open_rules]
+    none = F.array().cast(SPANS)
+    likely = cut(candidates(src, rules))
+    cells = likely.select(F.pmod(F.xxhash64("doc_id"), F.lit(CELLS)).cast("int").alias("_cell")).distinct()
+    moved = src.withColumn("cell", F.pmod(F.xxhash64("doc_id"), F.lit(CELLS)).cast("int")).join(F.broadcast(cells), F.col("cell") == F.col("_cell"), "left_semi")
+    met = moved.join(likely.withColumnRenamed("doc_id", "_id"), F.col("doc_id") == F.col("_id"))
+    # Repeated rows have equal spans, so rows of one doc_id and text are one here.
+    verified = met.select("doc_id", F.xxhash64("text").alias("h"), *[F.when(F.array_contains("rules", r.kind), _found(r)).otherwise(none).alias(r.kind) for r in asked])
+    hit = cut(verified.where(F.greatest(*[F.size(r.kind) for r in asked], F.lit(0)) > 0)).dropDuplicates(["doc_id", "h"]) if asked else None
+    # Rows that cannot be indexed are scanned with all rules.
+    every = src.select("doc_id", F.xxhash64("text").alias("_h"), *[_found(r).alias(r.kind) for r in open_rules],
+                       *[F.when(F.col("doc_id").isNull(), _found(r)).otherwise(none).alias(f"_{r.kind}") for r in asked])
+    if not asked:
+        return every.select("doc_id", *[r.kind for r in rules])
+    both = every.join(hit.withColumnRenamed("doc_id", "_id"), (F.col("doc_id") == F.col("_id")) & (F.col("_h") == F.col("h")), "left")
+    return both.select("doc_id", *[F.coalesce(r.kind, f"_{r.kind}").alias(r.kind) if r in asked else F.col(r.kind) for r in rules])
 
 
 def digest(found: DataFrame, kinds: tuple[str, ...] = tuple(r.kind for r in RULES), base: tuple[str, ...] = BASE) -> DataFrame:
