@@ -6,10 +6,9 @@ the ends as none; lines without a word are left alone and skipped in the sequenc
 
 The window that begins at a line is the shortest run of lines that holds ``long_words`` words, or
 ``window`` lines if that is shorter; it depends on its own lines alone, so equal runs have equal
-windows. Of each window the leftmost line of the smallest hash is selected: a fingerprint, with its
-position. Equal windows thus have equal fingerprints, and fingerprints that one place holds cannot be
-part of a repeat; positions of the others are joined. Around a joined position the windows it stands
-for are matched with the earliest place that holds the same lines, and a match is extended to both sides,
+windows. Of each window the line of the smallest hash is selected: its fingerprint. Equal windows have
+equal fingerprints, so all places of a repeat meet where positions of equal fingerprints are joined.
+There windows are matched with the earliest place that holds the same lines, and a match is extended to both sides,
 line by line, over short lines that are equal too: a long line, or ``window`` short ones, is a window of
 its own, so that short lines beyond an end, fewer than ``window``, are all that is left to compare.
 Lines of matched runs that come later than their source, by (doc_id, position), go.
@@ -24,11 +23,13 @@ from __future__ import annotations
 from functools import reduce
 from operator import or_
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ._common import cut, let
 
+#: Documents sampled for hot keys, the share of windows and the number from which on a key is hot, and salts. They change no result.
+SAMPLE, SHARE, OFTEN, SALTS = 2000, 0.002, 20, 64
 #: Blanks within a line, those that make a run of them or are no space, and the ends after which a space begins a sentence.
 _BLANKS, _UNEVEN, _STOPS = r"[\x20\x09\x0B-\x0D]+", ("  ", "\t", "\x0b", "\x0c", "\r"), ".!?"
 
@@ -48,10 +49,10 @@ def units(text: Column, sentences: bool = False) -> Column:
     return F.transform(F.split(even, "\n", -1), lambda x: F.trim(x))
 
 
-def line_marks(text: Column, sentences: bool = False) -> Column:
-    """array<struct<h, words>> of the lines with a word: hash and number of words."""
+def line_marks(text: Column, sentences: bool = False, most: int = 50) -> Column:
+    """array<struct<h, words>> of the lines with a word: hash and number of words, counted to ``most`` + 1."""
     worded = F.filter(units(text, sentences), lambda x: x != "")
-    return F.transform(worded, lambda x: F.struct(F.xxhash64(x).alias("h"), (F.length(x) - F.length(F.replace(x, F.lit(" "), F.lit(""))) + 1).alias("words")))
+    return F.transform(worded, lambda x: F.struct(F.xxhash64(x).alias("h"), F.size(F.split(x, " ", most + 1)).alias("words")))
 
 
 def _at(lines: Column, i: Column) -> Column:
@@ -59,8 +60,11 @@ def _at(lines: Column, i: Column) -> Column:
     return F.when(i >= 0, F.get(lines, F.greatest(i, F.lit(0))))
 
 
-def _window(h: Column, words: Column, i: Column, window: int, long_words: int) -> Column:
-    """The window that begins at line i: n lines, the selected one at i + o, its hash f, a hash g of all; null if the text ends before."""
+def _window(h: Column, words: Column, i: Column, window: int, long_words: int, only: list[int] | None) -> Column:
+    """The window that begins at line i: n lines, hash f of the selected one, hash g of all; null if the text ends before.
+
+    ``only``: lines alone are windows if their hash is among these.
+    """
     total, n = F.get(words, i), F.when(F.get(words, i) >= long_words, 1)
     for k in range(2, window + 1):
         total = total + F.get(words, i + k - 1)
@@ -76,37 +80,60 @@ def _window(h: Column, words: Column, i: Column, window: int, long_words: int) -
         return F.when(near[0].isNotNull(), F.array(*near)) if near else F.lit(None).cast("array<bigint>")
 
     def whole(n: Column) -> Column:
-        f, o = F.get(h, i), F.lit(0)
+        f = F.get(h, i)
         for k in range(1, window):
-            less = (n > k) & (F.get(h, i + k) < f)
-            f, o = F.when(less, F.get(h, i + k)).otherwise(f), F.when(less, F.lit(k)).otherwise(o)
-        g = F.when(n > 1, F.xxhash64(n, *[F.when(n > k, F.get(h, i + k)) for k in range(window)])).otherwise(F.get(h, i))
-        return F.struct(i.alias("i"), n.alias("n"), F.when(n > 1, o).otherwise(0).alias("o"), F.when(n > 1, f).otherwise(F.get(h, i)).alias("f"), g.alias("g"),
-                        beside([i - k for k in range(1, window)]).alias("before"), beside([i + n + k for k in range(window - 1)]).alias("after"))
-
-    return F.when(n.isNotNull(), let(n, whole))
-
-
-def fingerprints(docs: DataFrame, window: int = 3, long_words: int = 50, sentences: bool = False) -> DataFrame:
-    """(doc_id, i, n, o, f, g, before, after): the windows of each document with their selected lines."""
-    marks = docs.where("doc_id is not null and text is not null").select(F.col("doc_id").cast("long").alias("doc_id"), line_marks(F.col("text"), sentences).alias("m"))
-    lines = cut(marks.where(F.size("m") > 0).select("doc_id", F.col("m.h").alias("h"), F.col("m.words").alias("words")))
-    every = F.transform("h", lambda _, i: _window(F.col("h"), F.col("words"), i, window, long_words))
-    return lines.select("doc_id", F.explode(every).alias("w")).where("w is not null").select("doc_id", "w.*")
-
-
-def matches(windows: DataFrame, window: int = 3) -> DataFrame:
-    """(doc_id, first, last): runs of lines that occur earlier, extended to both sides."""
-    # Joined positions: fingerprints that more than one place holds. The key is complemented so that the join gets
-    # exchanges of its own, whose partitions adaptive execution may split where a fingerprint is hot.
-    place = F.xxhash64("doc_id", F.col("i") + F.col("o"))
-    places = windows.groupBy(F.bitwise_not("f").alias("k")).agg(F.min(place).alias("a"), F.max(place).alias("b"))
-    near = windows.join(places.where("a <> b").select(F.bitwise_not("k").alias("f")), "f", "left_semi")
-    # The earliest place of each window's lines; a later one is matched with it.
-    source = near.groupBy(F.bitwise_not("g").alias("k")).agg(
-        F.min(F.struct("doc_id", "i", "before", "after")).alias("a"), F.max(F.struct("doc_id", "i")).alias("b"))
-    source = source.where("a.doc_id <> b.doc_id or a.i <> b.i").select(F.bitwise_not("k").alias("g"), "a")
-    later = near.join(source, "g").where((F.col("doc_id") > F.col("a.doc_id")) | ((F.col("doc_id") == F.col("a.doc_id")) & (F.col("i") > F.col("a.i"))))
+            f = F.when((n > k) & (F.get(h, i + k) < f), F.get(h, i + k)).otherwise(f)
+        return row(n, f, F.xxhash64(n, *[F.when(n > k, F.get(h, i + k)) for k in range(window)]))
+
+    def row(n: Column, f: Column, g: Column) -> Column:
+        return F.struct(i.alias("i"), n.alias("n"), f.alias("f"), g.alias("g"), beside([i - k for k in range(1, window)]).alias("before"), beside([i + n + k for k in range(window - 1)]).alias("after"))
+
+    alone = row(F.lit(1), F.get(h, i), F.get(h, i))
+    if only is not None:
+        alone = F.when(F.get(h, i).isin(only), alone)
+    return F.when(F.get(words, i) >= long_words, alone).when(n.isNotNull(), let(n, whole)) if window > 1 else alone
+
+
+def line_hashes(docs: DataFrame, long_words: int = 50, sentences: bool = False) -> DataFrame:
+    """(doc_id, h, words): hashes and numbers of words of each document's lines."""
+    marks = docs.where("doc_id is not null and text is not null").select(F.col("doc_id").cast("long").alias("doc_id"), line_marks(F.col("text"), sentences, long_words).alias("m"))
+    return marks.where(F.size("m") > 0).select("doc_id", F.col("m.h").alias("h"), F.col("m.words").alias("words"))
+
+
+def fingerprints(lines: DataFrame, window: int = 3, long_words: int = 50, only: list[int] | None = None) -> DataFrame:
+    """(doc_id, i, n, f, g, before, after): the windows of each document, f the selected line, g all lines; ``only`` those of contents g."""
+    every = F.transform("h", lambda _, i: _window(F.col("h"), F.col("words"), i, window, long_words, only))
+    out = lines.select("doc_id", F.explode(every).alias("w")).where("w is not null").select("doc_id", "w.*")
+    return out if only is None else out.where(F.col("g").isin(only))
+
+
+def hot_keys(windows: DataFrame, documents: int) -> tuple[list[int], list[int]]:
+    """Fingerprints, and contents, that hold over ``SHARE`` of the windows in a bounded sample of documents: 1 / ``SHARE`` each at most."""
+    some = cut(windows.where(F.pmod(F.xxhash64("doc_id", F.lit(5)), F.lit(max(1, documents // SAMPLE))) == 0).select("f", "g"))
+    least = max(SHARE * some.count(), OFTEN)
+    f, g = ([r["k"] for r in some.groupBy(F.col(k).alias("k")).count().where(F.col("count") > least).collect()] for k in ("f", "g"))
+    return f, g
+
+
+def matches(lines: DataFrame, window: int = 3, long_words: int = 50) -> DataFrame:
+    """(doc_id, first, last): runs of lines that occur earlier, extended to both sides.
+
+    Places of equal fingerprints meet by one exchange; there windows of equal lines are matched with
+    the earliest of them. A hot fingerprint's places are dealt by their window's content; those of hot
+    contents stay where they are, as the earliest place of each is one row of a small table.
+    """
+    windows = fingerprints(lines, window, long_words)
+    hot, hot_contents = hot_keys(windows, lines.count())
+    source = F.struct("doc_id", "i", "before", "after")
+    salt = F.when(F.col("f").isin(hot), F.pmod("g", F.lit(SALTS))).otherwise(0).cast("int") if hot else F.lit(0)
+    cold = windows.where(~F.col("g").isin(hot_contents)) if hot_contents else windows
+    order = Window.partitionBy("f", "salt", "n", "g").orderBy("doc_id", "i").rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    met = cold.withColumn("salt", salt).repartition("f", "salt").withColumn("a", F.first(source).over(order)).drop("salt")
+    if hot_contents:
+        same = fingerprints(lines, window, long_words, hot_contents)
+        top = same.groupBy(F.col("g").alias("_g")).agg(F.min(source).alias("a"))  # one row for each hot content
+        met = met.unionByName(same.join(F.broadcast(top), F.col("g") == F.col("_g")).select(*met.columns))
+    later = met.where((F.col("doc_id") > F.col("a.doc_id")) | ((F.col("doc_id") == F.col("a.doc_id")) & (F.col("i") > F.col("a.i"))))
 
     def extension(side: str) -> Column:
         same, count = F.lit(True), F.lit(0)
@@ -120,7 +147,7 @@ def matches(windows: DataFrame, window: int = 3) -> DataFrame:
 
 def repeats(docs: DataFrame, window: int = 3, long_words: int = 50, sentences: bool = False) -> DataFrame:
     """(doc_id, gone): the worded lines, by their order, that later repeats cover; sorted, per document."""
-    runs = matches(fingerprints(docs, window, long_words, sentences), window)
+    runs = matches(cut(line_hashes(docs, long_words, sentences)), window, long_words)
     return runs.select("doc_id", F.explode(F.sequence("first", "last")).alias("i")).groupBy("doc_id").agg(F.sort_array(F.collect_set("i")).alias("gone"))
 
 
