@@ -1,12 +1,16 @@
-"""Near copies by word shingles: all pairs whose shingle sets have a Jaccard similarity of at least 4/5.
-
-Exact, by prefix filtering: with the shingles of every set in one common order, two sets that similar
-share a shingle among the first n - ceil(4n/5) + 1 of each. The order puts shingles that a bounded
-sample of documents finds frequent last; any order is exact, this one keeps groups of a shingle small.
-Equal sets are one set. Sets that share a prefix shingle are held against each other by size and by
-counts of shingles per hash cell, whose sum of minima bounds the overlap from above; pairs that may
-still reach the similarity are verified on their whole sets. A first round verifies each group's
-smallest set against the others, a second one only pairs which the first has not connected.
+"""Near copies by SimHash and whole shingle sets: links at a Jaccard similarity of at least 4/5.
+
+Fingerprints of five-word shingles are searched by the vantage-point trees of ``simhash``, within the two
+differing bits that those trees can prune for; pairs they connect are verified on whole sets. Two sets of
+similarity 4/5 differ in ten of 64 bits on average, a radius at which triangle bounds prune nothing, as
+random fingerprints differ in 32 with a deviation of 4. The links beyond two bits are therefore found by an
+exact way: with the shingles of every set in one common order, two sets that similar share a shingle among
+the first n - ceil(4n/5) + 1 of each. The order puts shingles that a bounded sample of documents finds
+frequent last; any order is exact, this one keeps groups of a shingle small. Equal sets are one set. Sets
+that share such a shingle are held against each other by size and by counts of shingles per hash cell,
+whose sum of minima bounds the overlap from above; pairs that may still reach the similarity are verified
+on their whole sets. A first round verifies each group's smallest set against the others, a second one only
+pairs which nothing before has connected.
 
 Defined results: null, empty and wordless texts have the empty set and are copies of each other; texts
 of fewer than five words are one shingle; rows without a doc_id link nothing and stay; repeated rows of
@@ -23,6 +27,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from . import simhash
 from ._common import components, cut
 
 SEED, WIDTH = 42, 5
@@ -48,6 +53,14 @@ def cells(hashes: np.ndarray) -> bytes:
     return n.astype(np.uint8).tobytes() if n.max() < 256 else b""
 
 
+def print_of(hashes: np.ndarray) -> int:
+    """SimHash fingerprint of a set of shingles, as a signed number."""
+    ones = np.zeros(64, np.int64)
+    for at in range(0, len(hashes), 1 << 15):
+        ones += np.unpackbits(hashes[at:at + (1 << 15)].astype("<u8").view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(0, dtype=np.int64)
+    return int.from_bytes(np.packbits(ones * 2 > len(hashes), bitorder="little").tobytes(), "little", signed=True)
+
+
 def prefix(hashes: np.ndarray, frequent: np.ndarray, counts: np.ndarray) -> np.ndarray:
     """The shingles of which any set similar enough has one among its own."""
     if not len(hashes):
@@ -84,7 +97,7 @@ def frequent_shingles(texts: DataFrame) -> tuple[np.ndarray, np.ndarray]:
 
 
 def sets(texts: DataFrame) -> DataFrame:
-    """(doc_id, digest, n, cells, keys) of each document's shingle set."""
+    """(doc_id, digest, n, fp, cells, keys) of each document's shingle set."""
     frequent, counts = frequent_shingles(texts)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -92,9 +105,9 @@ def sets(texts: DataFrame) -> DataFrame:
             every = [shingles(t.as_py()) for t in b.column(1)]
             yield pa.RecordBatch.from_arrays([
                 b.column(0), pa.array([xxhash.xxh3_128_digest(h.tobytes()) for h in every], pa.binary()), pa.array([len(h) for h in every], pa.int32()),
-                pa.array([cells(h) for h in every], pa.binary()), pa.array([prefix(h, frequent, counts).view(np.int64) for h in every], pa.list_(pa.int64()))],
-                names=["doc_id", "digest", "n", "cells", "keys"])
-    return texts.mapInArrow(run, "doc_id long, digest binary, n int, cells binary, keys array<long>")
+                pa.array([print_of(h) for h in every], pa.int64()), pa.array([cells(h) for h in every], pa.binary()), pa.array([prefix(h, frequent, counts).view(np.int64) for h in every], pa.list_(pa.int64()))],
+                names=["doc_id", "digest", "n", "fp", "cells", "keys"])
+    return texts.mapInArrow(run, "doc_id long, digest binary, n int, fp long, cells binary, keys array<long>")
 
 
 def _shared(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -112,7 +125,7 @@ def _shared(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def group_pairs(t: pa.Table, first: bool) -> pa.Table:
-    """Pairs of a group that may be similar: those with its smallest set, or those of different roots."""
+    """Pairs of a group that may be similar and have different roots: with its smallest set only, or all."""
     rep, n, root = (t.column(c).to_numpy() for c in ("rep", "n", "root"))
     raw = t.column("cells").to_pylist()
     order = np.lexsort((rep, n))
@@ -123,8 +136,7 @@ def group_pairs(t: pa.Table, first: bool) -> pa.Table:
     for i in range(1 if first else len(n) - 1):
         end = int(np.searchsorted(n, n[i] * DEN // NUM, "right"))
         js = np.arange(i + 1, end)
-        if not first:
-            js = js[root[js] != root[i]]
+        js = js[root[js] != root[i]]
         if not len(js):
             continue
         most = np.minimum(table[js], table[i]).sum(1, dtype=np.int64)
@@ -169,8 +181,11 @@ def near_copies(docs: DataFrame) -> DataFrame:
         rows = keys.join(facts, "rep").join(found, F.col("rep") == F.col("node"), "left").select("key", "rep", "n", "cells", F.coalesce("root", "rep").alias("root"))
         return cut(rows.groupBy("key").applyInArrow(lambda t: group_pairs(t, first), "u long, v long").distinct())
 
-    none = docs.sparkSession.createDataFrame([], "node long, root long")
-    edges = verified(pairs(none, True), texts)
+    prints = cut(alone.where("n > 0").groupBy("fp").agg(F.min("doc_id").alias("rep")))
+    found = simhash.class_edges(prints).select(F.least("u", "v").alias("u"), F.greatest("u", "v").alias("v"))
+    same = alone.where("n > 0").select("doc_id", "fp").join(prints, "fp").where("doc_id <> rep").select(F.col("rep").alias("u"), F.col("doc_id").alias("v"))
+    edges = verified(cut(found.unionByName(same)), texts)
+    edges = edges.unionByName(verified(pairs(components(edges), True), texts))
     edges = edges.unionByName(verified(pairs(components(edges), False), texts))
     return components(exact.unionByName(edges)).select(F.col("node").alias("doc_id"), "root")
 

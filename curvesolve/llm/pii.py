@@ -4,9 +4,8 @@ Generators propose spans with high recall, overlapping each other: the four base
 checks, and a looser form of each. Candidates get binned format and context features, and boosted
 trees score the loose ones. Labels come from elsewhere than the candidate itself: each span of a base
 form is rewritten to the loose form, with its surroundings as they stand, and is a positive example if
-the span passed its base check, a negative one if it failed; loose candidates met in the texts count as
-negative, as nothing vouches for them. Examples are counted by feature combination, a table bounded by
-the bins. A cutoff per kind is calibrated on held-out documents: the smallest score from which on the
+the span passed its base check, a negative one if it failed; loose candidates met in the texts have no
+label and are only scored. Examples are counted by feature combination, a table bounded by the bins. A cutoff per kind is calibrated on held-out documents: the smallest score from which on the
 lower confidence bound of precision holds. As features are binned, the trees are tabulated over all
 combinations, and candidates of selected combinations are added. Base spans always stay.
 
@@ -115,8 +114,8 @@ def features(kind: Column, t: Column, context: Column) -> list[Column]:
 
 
 def examples(found: DataFrame) -> DataFrame:
-    """(held, good, t, kind, context): spans of base forms rewritten to loose ones, and the loose candidates met."""
-    each = found.select((F.pmod(F.xxhash64("doc_id"), F.lit(5)) == 0).alias("held"), F.explode("c").alias("c"))
+    """(held, good, t, kind, context): spans of base forms rewritten to loose ones."""
+    each = found.select((F.pmod(F.xxhash64("doc_id"), F.lit(5)) == 0).alias("held"), F.explode("c").alias("c")).where(F.col("c.kind") < len(BASE))
     text, form = F.lit(None).cast("string"), F.lit(None).cast("boolean")
     for k in range(len(BASE)):
         loose, g = F.col("c.t"), GENERATORS[len(BASE) + k]
@@ -124,9 +123,7 @@ def examples(found: DataFrame) -> DataFrame:
             loose = F.regexp_replace(loose, pattern, new)
         text = F.when(F.col("c.kind") == k, loose).otherwise(text)
         form = F.when(F.col("c.kind") == k, F.rlike(loose, F.lit(f"^{g.scan}$"))).otherwise(form)
-    met = F.col("c.kind") >= len(BASE)
-    return each.where(met | form).select("held", (~met & F.col("c.base")).alias("good"), F.when(met, F.col("c.t")).otherwise(text).alias("t"),
-                                         (F.col("c.kind") % len(BASE)).alias("kind"), F.col("c.context").alias("context"))
+    return each.where(form).select("held", F.col("c.base").alias("good"), text.alias("t"), F.col("c.kind").alias("kind"), F.col("c.context").alias("context"))
 
 
 @dataclass(frozen=True)
