@@ -27,7 +27,7 @@ def drop_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """The mixture at target weights; documents of leaves short of tokens repeat."""
-    return mixing.mixed_documents(docs)
+    return mixing.mixed_documents(docs, weights=mixing.TARGETS)
 
 
 def tokenize(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
