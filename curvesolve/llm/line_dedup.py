@@ -23,7 +23,7 @@ from __future__ import annotations
 from functools import reduce
 from operator import or_
 
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame, Row, Window
 from pyspark.sql import functions as F
 
 from ._common import cut, let
@@ -60,11 +60,8 @@ def _at(lines: Column, i: Column) -> Column:
     return F.when(i >= 0, F.get(lines, F.greatest(i, F.lit(0))))
 
 
-def _window(h: Column, words: Column, i: Column, window: int, long_words: int, only: list[int] | None) -> Column:
-    """The window that begins at line i: n lines, hash f of the selected one, hash g of all; null if the text ends before.
-
-    ``only``: lines alone are windows if their hash is among these.
-    """
+def _window(h: Column, words: Column, i: Column, window: int, long_words: int) -> Column:
+    """The window that begins at line i: n lines, hash f of the selected one, hash g of all; null if the text ends before."""
     total, n = F.get(words, i), F.when(F.get(words, i) >= long_words, 1)
     for k in range(2, window + 1):
         total = total + F.get(words, i + k - 1)
@@ -89,8 +86,6 @@ def _window(h: Column, words: Column, i: Column, window: int, long_words: int, o
         return F.struct(i.alias("i"), n.alias("n"), f.alias("f"), g.alias("g"), beside([i - k for k in range(1, window)]).alias("before"), beside([i + n + k for k in range(window - 1)]).alias("after"))
 
     alone = row(F.lit(1), F.get(h, i), F.get(h, i))
-    if only is not None:
-        alone = F.when(F.get(h, i).isin(only), alone)
     return F.when(F.get(words, i) >= long_words, alone).when(n.isNotNull(), let(n, whole)) if window > 1 else alone
 
 
@@ -100,19 +95,34 @@ def line_hashes(docs: DataFrame, long_words: int = 50, sentences: bool = False)
     return marks.where(F.size("m") > 0).select("doc_id", F.col("m.h").alias("h"), F.col("m.words").alias("words"))
 
 
-def fingerprints(lines: DataFrame, window: int = 3, long_words: int = 50, only: list[int] | None = None) -> DataFrame:
-    """(doc_id, i, n, f, g, before, after): the windows of each document, f the selected line, g all lines; ``only`` those of contents g."""
-    every = F.transform("h", lambda _, i: _window(F.col("h"), F.col("words"), i, window, long_words, only))
-    out = lines.select("doc_id", F.explode(every).alias("w")).where("w is not null").select("doc_id", "w.*")
-    return out if only is None else out.where(F.col("g").isin(only))
+def fingerprints(lines: DataFrame, window: int = 3, long_words: int = 50, starts: list[int] | None = None) -> DataFrame:
+    """(doc_id, i, n, f, g, before, after, h): the windows of each document, f the selected line, g all, h the first; ``starts``: only those that begin so."""
+    def one(x: Column, i: Column) -> Column:
+        made = _window(F.col("h"), F.col("words"), i, window, long_words)
+        return F.struct(x.alias("h"), (made if starts is None else F.when(x.isin(starts), made)).alias("w"))
+    out = lines.select("doc_id", F.explode(F.filter(F.transform("h", one), lambda x: x["w"].isNotNull())).alias("x"))
+    return out.select("doc_id", "x.w.*", "x.h")
 
 
-def hot_keys(windows: DataFrame, documents: int) -> tuple[list[int], list[int]]:
-    """Fingerprints, and contents, that hold over ``SHARE`` of the windows in a bounded sample of documents: 1 / ``SHARE`` each at most."""
-    some = cut(windows.where(F.pmod(F.xxhash64("doc_id", F.lit(5)), F.lit(max(1, documents // SAMPLE))) == 0).select("f", "g"))
+def hot_keys(lines: DataFrame, window: int, long_words: int) -> tuple[list[int], dict[int, int]]:
+    """Fingerprints, and contents with the first line of each, that hold over ``SHARE`` of the windows in a bounded sample of documents: 1 / ``SHARE`` at most."""
+    some = lines.where(F.pmod(F.xxhash64("doc_id", F.lit(5)), F.lit(max(1, lines.count() // SAMPLE))) == 0)
+    some = cut(fingerprints(some, window, long_words).select("f", "g", "h"))
     least = max(SHARE * some.count(), OFTEN)
-    f, g = ([r["k"] for r in some.groupBy(F.col(k).alias("k")).count().where(F.col("count") > least).collect()] for k in ("f", "g"))
-    return f, g
+    f = [r["f"] for r in some.groupBy("f").count().where(F.col("count") > least).collect()]
+    return f, {r["g"]: r["h"] for r in some.groupBy("g", "h").count().where(F.col("count") > least).collect()}
+
+
+def _looked_up(g: Column, tops: list[Row], window: int) -> Column:
+    """The earliest place of a hot content; a literal of at most 1 / ``SHARE`` rows."""
+    at = F.array_position(F.lit([r["g"] for r in tops]), g).cast("int")
+
+    def pick(values: list, kind: str) -> Column:
+        return F.element_at(F.array(*[F.lit(v).cast(kind) for v in values]), at)
+
+    def side(name: str) -> Column:
+        return F.array(*[pick([r["a"][name][k] if r["a"][name] else None for r in tops], "bigint") for k in range(window - 1)]).cast("array<bigint>")
+    return F.struct(pick([r["a"]["doc_id"] for r in tops], "bigint").alias("doc_id"), pick([r["a"]["i"] for r in tops], "int").alias("i"), side("before").alias("before"), side("after").alias("after"))
 
 
 def matches(lines: DataFrame, window: int = 3, long_words: int = 50) -> DataFrame:
@@ -120,19 +130,19 @@ def matches(lines: DataFrame, window: int = 3, long_words: int = 50) -> DataFram
 
     Places of equal fingerprints meet by one exchange; there windows of equal lines are matched with
     the earliest of them. A hot fingerprint's places are dealt by their window's content; those of hot
-    contents stay where they are, as the earliest place of each is one row of a small table.
+    contents stay where they are, as the earliest place of each is one row of a small literal.
     """
-    windows = fingerprints(lines, window, long_words)
-    hot, hot_contents = hot_keys(windows, lines.count())
+    windows = fingerprints(lines, window, long_words).drop("h")
+    hot, contents = hot_keys(lines, window, long_words)
     source = F.struct("doc_id", "i", "before", "after")
     salt = F.when(F.col("f").isin(hot), F.pmod("g", F.lit(SALTS))).otherwise(0).cast("int") if hot else F.lit(0)
-    cold = windows.where(~F.col("g").isin(hot_contents)) if hot_contents else windows
-    order = Window.partitionBy("f", "salt", "n", "g").orderBy("doc_id", "i").rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    cold = windows.where(~F.col("g").isin(list(contents))) if contents else windows
+    order = Window.partitionBy("f", "salt", "g").orderBy("doc_id", "i").rowsBetween(Window.unboundedPreceding, Window.currentRow)
     met = cold.withColumn("salt", salt).repartition("f", "salt").withColumn("a", F.first(source).over(order)).drop("salt")
-    if hot_contents:
-        same = fingerprints(lines, window, long_words, hot_contents)
-        top = same.groupBy(F.col("g").alias("_g")).agg(F.min(source).alias("a"))  # one row for each hot content
-        met = met.unionByName(same.join(F.broadcast(top), F.col("g") == F.col("_g")).select(*met.columns))
+    if contents:
+        same = fingerprints(lines, window, long_words, list(set(contents.values()))).drop("h").where(F.col("g").isin(list(contents)))
+        tops = same.groupBy("g").agg(F.min(source).alias("a")).collect()  # one row for each hot content
+        met = met.unionByName(same.withColumn("a", _looked_up(F.col("g"), tops, window)))
     later = met.where((F.col("doc_id") > F.col("a.doc_id")) | ((F.col("doc_id") == F.col("a.doc_id")) & (F.col("i") > F.col("a.i"))))
 
     def extension(side: str) -> Column:
