@@ -7,7 +7,7 @@ from dataclasses import asdict, dataclass, replace
 CURVES = ("hilbert", "lebesgue", "gray", "lex", "snake", "moore", "peano")
 WEIGHTS = ("none", "omega", "unity")
 KINDS = ("one_level", "additive", "deflated", "balanced", "kernel", "identity", "jacobi")
-METHODS = ("richardson", "pcg", "flexible", "steepest", "two_step", "cg", "jacobi", "direct", "sequential", "colored", "random", "coarse_random")
+METHODS = ("richardson", "pcg", "flexible", "steepest", "two_step", "cg", "jacobi", "direct", "sequential", "colored", "random", "coarse_random", "all")
 
 
 @dataclass(frozen=True)

@@ -1,19 +1,25 @@
-"""Two-level solves of one large system with distributed frames.
+"""One large system solved slice by slice: blocked vectors, one exchange of overlap values per iteration.
 
-Vectors are rows (pos, v) in curve order, the matrix is (i, j, v) in positions, grown slices are
-members (sub, pos, w). A slice's exact solver is a dense or banded inverse built once in a task of its
-own from the rows its slice holds; applying all of them is one grouping by slice. The coarse problem
-has q unknowns per slice: residuals are summed to it map-side, it is solved on the driver while it is
-small (``COARSE``), and its solution goes back as a broadcast of that bounded size.
+A row holds a slice: its part of the system (``blocks.Block``, built once in a task of its own and kept),
+and its vectors on the positions it has grown to. An iteration is two halves. In the first each slice
+moves its vectors, solves locally and addresses its parts to the slices that need them; in the second it
+adds what arrived. Besides vectors only those parts move. Between the halves the driver learns, in one
+action, the scalars of all slices and the coarse residual, which has q numbers per slice.
 
-Within an iteration shared frames are cached; its state is checkpointed at the end, so that plans stay
-short and a lost executor costs no more than one iteration.
+The coarse problem is factored on the driver up to ``COARSE`` unknowns; beyond that the method is
+applied to the coarse matrix, whose entries stay a frame. The state is checkpointed every few
+iterations; between checkpoints lost blocks are computed again from lineage.
+
+Faults are real here: a lost slice's rows, vectors and part of the system are dropped, and built anew
+from what neighbours hold, as overlaps keep every row of the matrix and every vector entry more than once.
 """
 
 from __future__ import annotations
 
 import math
-from dataclasses import dataclass
+import pickle
+from collections.abc import Callable, Iterable
+from dataclasses import dataclass, field
 
 import numpy as np
 import pandas as pd
@@ -24,190 +30,422 @@ from ..config import SolveConfig
 from ..functions.grid import GridSpec, cells
 from ..operators import matrices, ordering, partition
 from ..runtime import checkpoint, keep, release
+from . import blocks
+from .banded import Factor
+from .blocks import Layout, Step
 
-#: Coarse unknowns up to which the driver solves them; rows of a slice up to which it is inverted densely.
-COARSE, DENSE = 20_000, 4_000
+#: Coarse unknowns that the driver factors itself; iterations between checkpoints of the state.
+COARSE, EVERY = 20_000, 10
+ROWS = "dst int, kind int, body binary"
+STATE, MESSAGE, SUMS, BLOCK = 0, 1, 2, 3
 
 
 @dataclass
 class Setup:
-    """Frames of a system: order (id, pos), a (i, j, v), members (sub, pos, w), factors (sub, pos array, inverse)."""
+    """order (id, pos), a (i, j, v) in positions, parts (sub, block), and the coarse solver."""
 
     cfg: SolveConfig
-    n: int
+    layout: Layout
     order: DataFrame
     a: DataFrame
-    members: DataFrame
-    factors: DataFrame
-    coarse: np.ndarray | None
-    counts: dict[str, int]
+    parts: DataFrame
+    coarse: Callable[[np.ndarray], np.ndarray] | None
+    a0: tuple[np.ndarray, np.ndarray, np.ndarray]
+    counts: dict[str, int] = field(default_factory=lambda: {"matvec": 0, "axpy": 0, "coarse": 0, "local": 0})
+    held: list[DataFrame] = field(default_factory=list)
 
+    def a0_times(self, e: np.ndarray) -> np.ndarray:
+        i, j, v = self.a0
+        return np.bincount(i, v * e[j], minlength=len(e)) if len(e) else e
 
-def setup(spark: SparkSession, cfg: SolveConfig, matrix: DataFrame | None = None) -> Setup:
-    """Order cells, cut and grow slices, translate the matrix to positions, build local and coarse factors.
 
-    ``matrix`` is (i, j, v) in lexicographic ids; by default the Laplace operator of the grid.
-    """
+def in_order(spark: SparkSession, cfg: SolveConfig) -> DataFrame:
+    """(id, pos) of the grid's cells along the configured curve."""
     spec = GridSpec(cfg.extents)
     keyed = ordering.with_key(cells(spark, spec), cfg.curve, spec.d, spec.bits)
-    order = checkpoint(ordering.positions(keyed, ["key"]).select("id", "pos"))
-    a = matrix if matrix is not None else matrices.laplace(spark, spec)
-    to_pos = lambda c: order.select(F.col("id").alias(c), F.col("pos").alias(f"p{c}"))
-    a = checkpoint(a.join(to_pos("i"), "i").join(to_pos("j"), "j").select(F.col("pi").alias("i"), F.col("pj").alias("j"), "v"))
-    held = partition.members(order, spec.size, cfg.p, cfg.gamma)
-    held = checkpoint(partition.weights(held, cfg.weight, cfg.gamma, cfg.p).select("sub", "pos", "owner", "w"))
-    factors = checkpoint(factor(a, held))
-    coarse = None
-    if cfg.kind not in ("one_level", "identity", "jacobi"):
-        n0 = cfg.p * cfg.q
-        if n0 > COARSE:
-            raise ValueError(f"{n0} coarse unknowns: take fewer pieces, or nest the method on the coarse matrix")
-        agg = lambda c: partition.agg_id(F.col(c), spec.size, cfg.p, cfg.q)
-        entries = partition.coarse_matrix(a, agg("i"), agg("j")).toPandas()
-        a0 = np.zeros((n0, n0))
-        a0[entries["i"], entries["j"]] = entries["v"]
-        coarse = np.linalg.inv(a0)
-    return Setup(cfg, spec.size, order, a, held, factors, coarse, {"matvec": 0, "axpy": 0, "coarse": 0, "local": 0})
-
-
-def factor(a: DataFrame, held: DataFrame) -> DataFrame:
-    """(sub, pos, w, inverse): the rows of A on a grown slice, inverted within a task; bounded by the slice's size."""
-    rows = held.select("sub", F.col("pos").alias("i"), "w").join(a, "i")
-    local = rows.join(held.select("sub", F.col("pos").alias("j")), ["sub", "j"])
-
-    def invert(pdf: pd.DataFrame) -> pd.DataFrame:
-        pos, at = np.unique(pdf["i"].to_numpy(), return_inverse=True)
-        if len(pos) > DENSE:
-            raise ValueError(f"a grown slice of {len(pos)} unknowns: use more slices")
-        block = np.zeros((len(pos), len(pos)))
-        block[at, np.searchsorted(pos, pdf["j"].to_numpy())] = pdf["v"].to_numpy()
-        w = np.zeros(len(pos))
-        w[at] = pdf["w"].to_numpy()
-        return pd.DataFrame({"sub": [pdf["sub"].iloc[0]], "pos": [pos.tolist()], "w": [w.tolist()], "inverse": [np.linalg.inv(block).tobytes()]})
-
-    return local.groupBy("sub").applyInPandas(invert, "sub int, pos array<long>, w array<double>, inverse binary")
-
-
-def matvec(s: Setup, x: DataFrame) -> DataFrame:
-    """A x of (pos, v)."""
-    s.counts["matvec"] += 1
-    return matrices.spmv(s.a, x.withColumnRenamed("pos", "i")).withColumnRenamed("i", "pos")
-
-
-def minus(s: Setup, x: DataFrame, y: DataFrame, sign: float = -1.0) -> DataFrame:
-    """x + sign y on all positions."""
-    s.counts["axpy"] += 1
-    return x.join(y.withColumnRenamed("v", "_v"), "pos", "left").select("pos", (F.col("v") + sign * F.coalesce("_v", F.lit(0.0))).alias("v"))
-
-
-def fine(s: Setup, r: DataFrame, active: DataFrame | None = None) -> DataFrame:
-    """Weighted sum of local solves of (pos, v); ``active`` (sub) names the slices that take part."""
-    s.counts["local"] += 1
-    held = s.members.select("sub", "pos") if active is None else s.members.join(F.broadcast(active), "sub", "left_semi").select("sub", "pos")
-    rows = held.join(r, "pos")
-    factors = s.factors if active is None else s.factors.join(F.broadcast(active), "sub", "left_semi")
-
-    def apply(rows: pd.DataFrame, fac: pd.DataFrame) -> pd.DataFrame:
-        if not len(fac) or not len(rows):
-            return pd.DataFrame({"pos": pd.Series(dtype="int64"), "v": pd.Series(dtype="float64")})
-        pos = np.asarray(fac["pos"].iloc[0])
-        b = np.zeros(len(pos))
-        b[np.searchsorted(pos, rows["pos"].to_numpy())] = rows["v"].to_numpy()
-        inverse = np.frombuffer(fac["inverse"].iloc[0]).reshape(len(pos), -1)
-        return pd.DataFrame({"pos": pos, "v": (inverse @ b) * np.asarray(fac["w"].iloc[0])})
-
-    part = rows.groupBy("sub").cogroup(factors.groupBy("sub")).applyInPandas(apply, "pos long, v double")
-    return part.groupBy("pos").agg(F.sum("v").alias("v"))
-
-
-def coarse(s: Setup, r: DataFrame) -> DataFrame:
-    """F r: sums over pieces, the small solve, and its values on all positions."""
-    s.counts["coarse"] += 1
-    agg = partition.agg_id(F.col("pos"), s.n, s.cfg.p, s.cfg.q)
-    got = r.groupBy(agg.alias("agg")).agg(F.sum("v").alias("v")).toPandas()  # at most COARSE rows
-    b = np.zeros(len(s.coarse))
-    b[got["agg"]] = got["v"]
-    x = r.sparkSession.createDataFrame(pd.DataFrame({"agg": np.arange(len(b)), "v": s.coarse @ b}))
-    return s.order.select("pos", agg.alias("agg")).join(F.broadcast(x), "agg").select("pos", "v")
-
-
-def precondition(s: Setup, r: DataFrame, active: DataFrame | None = None) -> DataFrame:
-    """The configured operator on (pos, v)."""
-    kind = s.cfg.kind
-    if kind == "identity":
-        return r
-    if kind == "jacobi":
-        d = s.a.where("i = j").select(F.col("i").alias("pos"), F.col("v").alias("d"))
-        return r.join(d, "pos").select("pos", (F.col("v") / F.col("d")).alias("v"))
-    if kind == "one_level":
-        return fine(s, r, active)
-    z = coarse(s, r)
-    if kind == "additive":
-        return minus(s, z, fine(s, r, active), 1.0)
-    y = keep(fine(s, r if kind == "deflated" else minus(s, r, matvec(s, z)), active))
-    back = coarse(s, matvec(s, y))
-    return minus(s, minus(s, z, y, 1.0), back)
-
-
-def _active(spark: SparkSession, schedule: DataFrame | None, cycle: int) -> DataFrame | None:
-    return None if schedule is None else schedule.where((F.col("cycle") == cycle) & ~F.col("failed")).select("sub")
-
-
-def pcg(s: Setup, b: DataFrame, tol: float = 1e-8, maxit: int = 200, flexible: bool = False, schedule: DataFrame | None = None) -> tuple[DataFrame, list[tuple[int, float]]]:
-    """Preconditioned conjugate gradients from zero for (pos, v); returns (pos, v) and (k, residual norm).
-
-    Two driver round trips for scalars per iteration besides those of the coarse problem. ``schedule``
-    (cycle, sub, failed) switches off failed local solves; the flexible form suits changing operators.
+    return checkpoint(ordering.positions(keyed, ["key"]).select("id", "pos"))
+
+
+def in_positions(a: DataFrame, order: DataFrame) -> DataFrame:
+    """(i, j, v) with places along the order for ids."""
+    to = order.select(F.col("id").alias("i"), F.col("pos").alias("pi"))
+    return a.join(to, "i").join(order.select(F.col("id").alias("j"), F.col("pos").alias("pj")), "j").select(F.col("pi").alias("i"), F.col("pj").alias("j"), "v")
+
+
+def setup(spark: SparkSession, cfg: SolveConfig, matrix: DataFrame | None = None, order: DataFrame | None = None, n: int | None = None, nested: bool = False) -> Setup:
+    """Order cells, deal the matrix to grown slices, build each slice's part and the coarse solver.
+
+    ``matrix`` is (i, j, v) in lexicographic ids, symmetric in its pattern; by default the Laplace
+    operator of the grid. ``order`` (id, pos) of another system comes with its size ``n``.
+    """
+    spec = GridSpec(cfg.extents)
+    if cfg.method in ("cg", "jacobi"):
+        cfg = cfg.but(kind="identity", method="pcg") if cfg.method == "cg" else cfg.but(kind="jacobi", method="richardson", xi=cfg.xi or 0.9)
+    n = n or spec.size
+    order = in_order(spark, cfg) if order is None else order
+    a = checkpoint(in_positions(matrix if matrix is not None else matrices.laplace(spark, spec), order))
+    layout = Layout.of(cfg, n)
+    held = partition.members(order, n, cfg.p, cfg.gamma).select("sub", F.col("pos").alias("i"))
+
+    def make(pdf: pd.DataFrame) -> pd.DataFrame:
+        sub = int(pdf["sub"].iloc[0])
+        block = blocks.build(layout, sub, *(pdf[c].to_numpy() for c in "ijv"), sweeps=cfg.inner_sweeps)
+        return pd.DataFrame({"sub": [sub], "block": [pickle.dumps(block)]})
+
+    parts = _dealt(checkpoint(held.join(a, "i").groupBy("sub").applyInPandas(make, "sub int, block binary")))
+    out = Setup(cfg, layout, order, a, parts, None, ((np.zeros(0, np.int64),) * 2 + (np.zeros(0),)))
+    if layout.coarse_size:
+        factor_coarse(out, nested)
+    return out
+
+
+def _dealt(parts: DataFrame) -> DataFrame:
+    """Parts partitioned by slice and kept, so that halves do not move them."""
+    width = min(max(1, parts.count()), int(parts.sparkSession.conf.get("spark.sql.shuffle.partitions")))
+    return keep(parts.repartition(width, "sub"))
+
+
+def coarse_entries(s: Setup) -> DataFrame:
+    """(i, j, v) of the coarse matrix: shares of all slices, added."""
+    layout = s.layout
+
+    def run(batches: Iterable[pd.DataFrame]):
+        for pdf in batches:
+            for body in pdf["block"]:
+                i, j, v = blocks.coarse_part(pickle.loads(body), layout)
+                yield pd.DataFrame({"i": i, "j": j, "v": v})
+    return s.parts.mapInPandas(run, "i long, j long, v double").groupBy("i", "j").agg(F.sum("v").alias("v"))
+
+
+def factor_coarse(s: Setup, nested: bool = False) -> None:
+    """Factor the coarse matrix on the driver, or set the method itself up for it."""
+    n0 = s.layout.coarse_size
+    if n0 <= COARSE and not nested:
+        got = coarse_entries(s).toPandas()  # a few entries for each of at most COARSE rows
+        i, j, v = (got[c].to_numpy() for c in "ijv")
+        s.a0 = (i, j, v)
+        if s.cfg.kind == "kernel":
+            a0 = np.zeros((n0, n0))
+            a0[i, j] = v
+            inverse = np.linalg.pinv(a0)
+            s.coarse = lambda b: inverse @ b
+        else:
+            s.coarse = Factor(i, j, v, n0)
+        return
+    entries = checkpoint(coarse_entries(s))
+    spark = entries.sparkSession
+    p = max(2, min(s.cfg.p // 4, -(-n0 // 4096)) if not nested else s.cfg.p // 4)
+    order = checkpoint(spark.range(n0).select("id", F.col("id").alias("pos")))
+    below = setup(spark, s.cfg.but(p=p, q=min(s.cfg.q, n0 // p), kind="balanced", weight="omega", method="pcg", tol=1e-13), entries, order, n0)
+    got = entries.toPandas() if n0 <= COARSE else None
+
+    def solve(b: np.ndarray) -> np.ndarray:
+        if not b.any():
+            return b
+        rhs = spark.createDataFrame(pd.DataFrame({"pos": np.arange(n0), "v": b}))
+        found = solution(below, run(below, rhs).state).toPandas()
+        x = np.zeros(n0)
+        x[found["pos"].to_numpy()] = found["v"].to_numpy()
+        return x
+
+    s.coarse = solve
+    if got is not None:
+        s.a0 = tuple(got[c].to_numpy() for c in "ijv")
+    else:
+        raise ValueError("a coarse matrix beyond the driver's room: take fewer pieces")
+
+
+def _half(rows: DataFrame, parts: DataFrame, act) -> DataFrame:
+    """``act(block, state, inbox)`` of every slice, as rows."""
+    def run(mine: pd.DataFrame, part: pd.DataFrame) -> pd.DataFrame:
+        block = pickle.loads(part["block"].iloc[0]) if len(part) else None
+        state, inbox = None, []
+        for kind, body in zip(mine["kind"], mine["body"]):
+            if kind == STATE:
+                state = pickle.loads(body)
+            elif kind == MESSAGE:
+                inbox.append(pickle.loads(body))
+        out = act(block, state, inbox)
+        return pd.DataFrame({"dst": [o[0] for o in out], "kind": [o[1] for o in out], "body": [pickle.dumps(o[2]) for o in out]}).astype({"dst": "int32", "kind": "int32"})
+
+    return rows.groupBy("dst").cogroup(parts.groupBy("sub")).applyInPandas(run, ROWS)
+
+
+def begin(s: Setup, b: DataFrame, x0: DataFrame | None = None) -> DataFrame:
+    """State rows from (pos, v) frames: right-hand side, and a start other than zero."""
+    rows = b.select("pos", F.col("v").alias("b"))
+    if x0 is None:
+        rows = rows.select("pos", "b", F.lit(0.0).alias("x"), F.col("b").alias("r"))
+    else:
+        ax = matrices.spmv(s.a, x0.withColumnRenamed("pos", "i")).select(F.col("i").alias("pos"), F.col("v").alias("ax"))
+        rows = rows.join(x0.withColumnRenamed("v", "x"), "pos").join(ax, "pos").select("pos", "b", "x", (F.col("b") - F.col("ax")).alias("r"))
+    held = partition.members(s.order, s.layout.n, s.cfg.p, s.cfg.gamma).select("sub", "pos")
+
+    def pack(pdf: pd.DataFrame) -> pd.DataFrame:
+        pdf = pdf.sort_values("pos")
+        zero = np.zeros(len(pdf))
+        state = {c: pdf[c].to_numpy() for c in ("b", "x", "r")} | {"p": zero, "s": zero, "old": zero}
+        return pd.DataFrame({"dst": [int(pdf["sub"].iloc[0])], "kind": [STATE], "body": [pickle.dumps(state)]}).astype({"dst": "int32", "kind": "int32"})
+
+    return checkpoint(held.join(rows, "pos").groupBy("sub").applyInPandas(pack, ROWS))
+
+
+def solution(s: Setup, state: DataFrame, name: str = "x") -> DataFrame:
+    """(pos, v) of a vector of the state, each position from its owner."""
+    layout = s.layout
+
+    def run(batches: Iterable[pd.DataFrame]):
+        for pdf in batches:
+            for sub, kind, body in zip(pdf["dst"], pdf["kind"], pdf["body"]):
+                if kind == STATE:
+                    pos, (lo, size) = layout.grown(int(sub)), layout.bounds(int(sub))
+                    own = (pos >= lo) & (pos < lo + size)
+                    yield pd.DataFrame({"pos": pos[own], "v": pickle.loads(body)[name][own]})
+    return state.mapInPandas(run, "pos long, v double")
+
+
+def copies(s: Setup, state: DataFrame, name: str = "r") -> DataFrame:
+    """(sub, pos, v): a vector as every slice holds it, for checks of the redundancy."""
+    layout = s.layout
+
+    def run(batches: Iterable[pd.DataFrame]):
+        for pdf in batches:
+            for sub, kind, body in zip(pdf["dst"], pdf["kind"], pdf["body"]):
+                if kind == STATE:
+                    yield pd.DataFrame({"sub": int(sub), "pos": layout.grown(int(sub)), "v": pickle.loads(body)[name]}).astype({"sub": "int32"})
+    return state.mapInPandas(run, "sub int, pos long, v double")
+
+
+def rows_held(s: Setup) -> DataFrame:
+    """(sub, i, j, v): the matrix as every slice holds it."""
+    def run(batches: Iterable[pd.DataFrame]):
+        for pdf in batches:
+            for sub, body in zip(pdf["sub"], pdf["block"]):
+                i, j, v = pickle.loads(body).entries()
+                yield pd.DataFrame({"sub": int(sub), "i": i, "j": j, "v": v}).astype({"sub": "int32"})
+    return s.parts.mapInPandas(run, "sub int, i long, j long, v double")
+
+
+def _exchange(s: Setup, rows: DataFrame, step: Step) -> tuple[DataFrame, dict]:
+    """Both halves of one application, in one action; the new state, and the sums over all slices."""
+    def first(block, state, inbox):
+        state, sent = blocks.advance(block, state, step)
+        return [(block.sub, STATE, state), *[(to, MESSAGE, part) for to, part in sent]]
+
+    def second(block, state, inbox):
+        state, sums = blocks.gather(block, state, inbox)
+        return [(block.sub, STATE, state), (block.sub, SUMS, sums)]
+
+    out = keep(_half(_half(rows, s.parts, first), s.parts, second))
+    s.held.append(out)
+    total: dict = {"zr": np.zeros(s.layout.coarse_size), "zay": np.zeros(s.layout.coarse_size)}
+    for r in out.where(F.col("kind") == SUMS).select("body").collect():  # a few numbers for each slice
+        got = pickle.loads(r["body"])
+        for k in ("zr", "zay"):
+            np.add.at(total[k], got["index"], got[k])
+        for k, v in got.items():
+            if k not in ("index", "zr", "zay"):
+                total[k] = total.get(k, 0.0) + float(v)
+    # The action above has made the rows: those before are needed no more, and come from lineage if a machine is lost.
+    release(*s.held[:-1])
+    del s.held[:-1]
+    return out.where(F.col("kind") == STATE), total
+
+
+@dataclass
+class Outcome:
+    """The state, (k, residual norm) and (k, energy norm of the error) where the solution is known, operations, and whether data survived."""
+
+    state: DataFrame
+    history: list[float]
+    errors: list[float]
+    ok: bool = True
+
+
+def _order_of(cfg: SolveConfig, k: int) -> list[tuple[bool, frozenset | None]]:
+    """The corrections of step k: whether the coarse one takes part, and which slices."""
+    rng = np.random.default_rng([cfg.seed, cfg.run, 77, k])
+    if cfg.method == "sequential":
+        return [(True, frozenset())] + [(False, frozenset([i])) for i in range(cfg.p)]
+    if cfg.method == "colored":
+        colors = 2 * math.ceil(2 * cfg.gamma) + 1
+        return [(True, frozenset())] + [(False, frozenset(range(c, cfg.p, colors))) for c in range(min(colors, cfg.p))]
+    if cfg.method == "all":
+        return [(True, None)]
+    m = max(1, round((1 - cfg.p_fault) * cfg.p))
+    chosen = rng.permutation(cfg.p + (cfg.method == "random"))[:m] - (cfg.method == "random")
+    return [(cfg.method == "coarse_random" or -1 in chosen, frozenset(int(c) for c in chosen if c >= 0))]
+
+
+SUBSPACE = ("sequential", "colored", "random", "coarse_random", "all")
+
+
+def run(s: Setup, b: DataFrame, x0: DataFrame | None = None, steps: int | None = None, failed: Callable[[int], set[int]] | None = None,
+        lost: Callable[[int], set[int]] | None = None, by_error: bool = False, xi: float | None = None, spectrum: tuple[float, float] | None = None) -> Outcome:
+    """The configured iteration on (pos, v) to a relative residual of ``tol``, or by the error in energy norm (zero right-hand side).
+
+    ``failed(k)``: slices whose local solve adds nothing in cycle k. ``lost(k)``: slices that lose all
+    they hold before cycle k and are built anew; data that no slice holds any more end the run.
+    ``steps`` fixes the number of steps instead of the tolerance.
+    """
+    cfg, kind = s.cfg, s.cfg.kind
+    cw, n0 = cfg.coarse_weight, s.layout.coarse_size
+    state, zero = begin(s, b, x0), np.zeros(n0)
+    xi, lam = xi or cfg.xi or 1.0, spectrum or (math.nan, math.nan)
+    step, zr, zs, old_zr = Step(kind), None, zero, zero
+    rz_old = ps = 0.0
+    history: list[float] = []
+    errors: list[float] = []
+    alpha, calm = 0.0, cfg.method not in SUBSPACE
+    todo: list[tuple[bool, frozenset | None]] = []
+    limit = steps if steps is not None else cfg.maxit
+    k, applied = 0, 0
+    while True:
+        # One application to the present residual, which the first half brings about.
+        if lost is not None and (gone := lost(k)):
+            state, ok = recover(s, state, gone)
+            if not ok:
+                return Outcome(state, history, errors, False)
+        use_coarse, active = True, None
+        if not calm:
+            if not todo:
+                todo = _order_of(cfg, k)
+            use_coarse, active = todo.pop(0)
+        if failed is not None:
+            out_now = failed(k)
+            active = frozenset(range(cfg.p)) - out_now if active is None else active - out_now
+        guess = zr if zr is not None else _restricted(s, state)
+        step.c = cw * s.coarse(guess) if n0 and kind == "balanced" and use_coarse else zero
+        step.active, step.fine, step.plain_weight = active, active is None or bool(active), cfg.method == "sequential"
+        state, got = _exchange(s, state, step)
+        s.counts["local"] += 1
+        applied += 1
+        if applied % EVERY == 0:
+            state = checkpoint(state)
+        zr = got["zr"]
+        history_now = math.sqrt(max(0.0, got["rr"]))
+        if calm or len(todo) == len(_order_of(cfg, k)) - 1:  # the residual between steps
+            history.append(history_now)
+            errors.append(math.sqrt(max(0.0, -got["xr"] - got["xb"])))
+            measure = errors if by_error else history
+            if (steps is None and measure[-1] <= cfg.tol * measure[0]) or k >= limit or not math.isfinite(history[-1]) or history[-1] > 1e8 * history[0]:
+                return Outcome(state, history, errors)
+        e = zero
+        if n0 and use_coarse:
+            c = step.c if kind == "balanced" else cw * s.coarse(zr)
+            s.counts["coarse"] += 1
+            e = c
+            if kind in ("deflated", "balanced"):
+                e = c - cw * s.coarse(got["zay"])
+                s.counts["coarse"] += 1
+        a0e = s.a0_times(e)
+        rz = got["ry"] + float(zr @ e)
+        zaz = got["yay"] + 2 * float(got["zay"] @ e) + float(e @ a0e)
+        method = cfg.method
+        nxt = Step(kind, e=e)
+        if not calm:
+            nxt.a, nxt.t = 1.0, cfg.xi or (1.0 if method in ("sequential", "colored") else 0.5)
+            if not todo:
+                k += 1
+        else:
+            if method == "richardson":
+                nxt.a, nxt.t = 1.0, (1 / lam[1] if cfg.switch and k < cfg.switch else xi)
+            elif method == "steepest":
+                nxt.a, nxt.t = 1.0, rz / zaz
+            elif method == "two_step":
+                root = math.sqrt(lam[1] / lam[0])
+                nxt.a, nxt.t = 4 / (math.sqrt(lam[0]) + math.sqrt(lam[1])) ** 2, 1.0
+                nxt.beta = ((root - 1) / (root + 1)) ** 2 if k else 0.0
+            else:
+                oz = got["oy"] + float(old_zr @ e)
+                nxt.a = 1.0
+                nxt.beta = 0.0 if not k else ((rz - oz) if method == "flexible" else rz) / rz_old
+                ps = zaz + 2 * nxt.beta * (got["sy"] + float(zs @ e)) + nxt.beta**2 * ps
+                alpha = rz / ps
+                nxt.t = alpha
+            k += 1
+        zs = nxt.a * (got["zay"] + a0e) + nxt.beta * zs
+        old_zr, rz_old = zr, rz
+        zr = zr - nxt.t * zs
+        step = nxt
+
+
+def _restricted(s: Setup, state: DataFrame) -> np.ndarray:
+    """Coarse residual of the first state, summed over pieces on the executors."""
+    n0, layout = s.layout.coarse_size, s.layout
+    if not n0:
+        return np.zeros(0)
+
+    def run(batches: Iterable[pd.DataFrame]):
+        for pdf in batches:
+            for sub, body in zip(pdf["dst"], pdf["body"]):
+                pos, (lo, size) = layout.grown(int(sub)), layout.bounds(int(sub))
+                own = (pos >= lo) & (pos < lo + size)
+                i, a, v = layout.spread(pos[own])
+                yield pd.DataFrame({"a": a, "v": v * pickle.loads(body)["r"][own][i]})
+    got = state.mapInPandas(run, "a long, v double").groupBy("a").agg(F.sum("v").alias("v")).toPandas()
+    out = np.zeros(n0)
+    out[got["a"].to_numpy()] = got["v"].to_numpy()
+    return out
+
+
+def recover(s: Setup, state: DataFrame, gone: set[int]) -> tuple[DataFrame, bool]:
+    """Drop what the slices ``gone`` hold, and build it anew from their neighbours: bounds, rows, factor, vectors.
+
+    The donor of a position is the first slice after the lost one that still holds it. False if some
+    position is held by none.
     """
-    spark = b.sparkSession
-    z = precondition(s, b, _active(spark, schedule, 0)).withColumnRenamed("v", "z")
-    state = checkpoint(b.select("pos", F.lit(0.0).alias("x"), F.col("v").alias("r")).join(z, "pos").select("pos", "x", "r", "z", F.col("z").alias("p")))
-    first = state.agg(F.sum(F.col("r") * F.col("z")).alias("rz"), F.sum(F.col("r") * F.col("r")).alias("rr")).first()
-    rz, norm0 = first["rz"], math.sqrt(first["rr"])
-    history = [(0, norm0)]
-    for k in range(1, maxit + 1):
-        ap = matvec(s, state.select("pos", F.col("p").alias("v"))).withColumnRenamed("v", "ap")
-        both = keep(state.join(ap, "pos"))
-        got = both.agg(F.sum(F.col("p") * F.col("ap")).alias("pap"), F.sum(F.col("r") * F.col("p")).alias("rp")).first()
-        alpha = (got["rp"] if flexible else rz) / got["pap"]
-        moved = keep(both.select("pos", (F.col("x") + alpha * F.col("p")).alias("x"), (F.col("r") - alpha * F.col("ap")).alias("r"), "p", F.col("r").alias("r_old")))
-        z = precondition(s, moved.select("pos", F.col("r").alias("v")), _active(spark, schedule, k)).withColumnRenamed("v", "z")
-        new = keep(moved.join(z, "pos"))
-        got = new.agg(F.sum(F.col("r") * F.col("z")).alias("rz"), F.sum((F.col("r") - F.col("r_old")) * F.col("z")).alias("dz"), F.sum(F.col("r") * F.col("r")).alias("rr")).first()
-        beta = (got["dz"] if flexible else got["rz"]) / rz
-        rz = got["rz"]
-        history.append((k, math.sqrt(got["rr"])))
-        state = checkpoint(new.select("pos", "x", "r", "z", (F.col("z") + beta * F.col("p")).alias("p")))
-        release(both, moved, new)
-        if history[-1][1] <= tol * norm0:
-            break
-    return state.select("pos", F.col("x").alias("v")), history
-
-
-def richardson(s: Setup, b: DataFrame, xi: float, tol: float = 1e-8, maxit: int = 500, schedule: DataFrame | None = None) -> tuple[DataFrame, list[tuple[int, float]]]:
-    """Damped linear iteration from zero; the residual is recomputed from x."""
-    spark = b.sparkSession
-    state = keep(b.select("pos", F.lit(0.0).alias("x"), F.col("v").alias("r")))
-    norm0 = math.sqrt(state.agg(F.sum(F.col("r") * F.col("r"))).first()[0])
-    history = [(0, norm0)]
-    for k in range(1, maxit + 1):
-        z = precondition(s, state.select("pos", F.col("r").alias("v")), _active(spark, schedule, k - 1)).withColumnRenamed("v", "z")
-        x = keep(state.join(z, "pos").select("pos", (F.col("x") + xi * F.col("z")).alias("v")))
-        r = minus(s, b, matvec(s, x)).withColumnRenamed("v", "r")
-        state = checkpoint(x.withColumnRenamed("v", "x").join(r, "pos"))
-        release(x)
-        history.append((k, math.sqrt(state.agg(F.sum(F.col("r") * F.col("r"))).first()[0])))
-        if history[-1][1] <= tol * norm0:
-            break
-    return state.select("pos", F.col("x").alias("v")), history
-
-
-def solve_table(spark: SparkSession, rhs: DataFrame, cfg: SolveConfig, scale: float) -> DataFrame:
+    layout, sweeps, gone = s.layout, s.cfg.inner_sweeps, set(gone)
+    for sub in sorted(gone):
+        pos = layout.grown(sub)
+        at, who = layout.holders(pos)
+        if not np.isin(np.arange(len(pos)), at[~np.isin(who, list(gone))]).all():
+            return state, False
+    left = s.parts.where(~F.col("sub").isin(list(gone)))
+    state = state.where(~F.col("dst").isin(list(gone)))
+
+    def donate(block, mine, inbox):
+        out: list[tuple] = [(block.sub, STATE, mine)]
+        i, j, v = block.entries()
+        for sub in gone:
+            pos = layout.grown(sub)
+            at, who = layout.holders(pos)
+            alive = ~np.isin(who, list(gone))
+            first = np.full(len(pos), layout.p)
+            np.minimum.at(first, at[alive], (who[alive] - sub) % layout.p)
+            give = pos[(first + sub) % layout.p == block.sub]
+            if len(give):
+                k, rows = np.searchsorted(block.pos, give), np.isin(i, give)
+                out.append((sub, MESSAGE, {"sub": sub, "pos": give, "vectors": {n: x[k] for n, x in mine.items()}, "rows": (i[rows], j[rows], v[rows])}))
+        return out
+
+    def take(block, mine, inbox):
+        if block is not None:
+            return [(block.sub, STATE, mine)]
+        pos = np.concatenate([m["pos"] for m in inbox])
+        order = np.argsort(pos)
+        mine = {n: np.concatenate([m["vectors"][n] for m in inbox])[order] for n in inbox[0]["vectors"]}
+        sub = inbox[0]["sub"]
+        made = blocks.build(layout, sub, *(np.concatenate([m["rows"][c] for m in inbox]) for c in range(3)), sweeps=sweeps)
+        return [(sub, STATE, mine), (sub, BLOCK, made)]
+
+    moved = keep(_half(_half(state, left, donate), left, take))
+    fresh = moved.where(F.col("kind") == BLOCK)
+
+    def unpack(batches: Iterable[pd.DataFrame]):
+        for pdf in batches:
+            yield pd.DataFrame({"sub": pdf["dst"].astype("int32"), "block": pdf["body"]})
+
+    old = s.parts
+    s.parts = _dealt(checkpoint(left.unionByName(fresh.mapInPandas(unpack, "sub int, block binary"))))
+    state = checkpoint(moved.where(F.col("kind") == STATE))
+    release(old, moved)
+    return state, True
+
+
+def solve_table(spark: SparkSession, rhs: DataFrame, cfg: SolveConfig, scale: float, **options) -> DataFrame:
     """(id, u) of a right-hand side (id, cents) divided by ``scale``."""
     s = setup(spark, cfg)
     b = checkpoint(rhs.join(s.order, "id").select("pos", (F.col("cents") / F.lit(scale)).alias("v")))
-    if cfg.method == "richardson":
-        x, _ = richardson(s, b, cfg.xi, cfg.tol, cfg.maxit)
-    else:
-        x, _ = pcg(s, b, cfg.tol, cfg.maxit, cfg.method == "flexible")
-    return x.join(s.order, "pos").select("id", F.col("v").alias("u"))
+    out = run(s, b, **options)
+    return solution(s, out.state).join(s.order, "pos").select("id", F.col("v").alias("u"))
