@@ -12,89 +12,114 @@ from ..operators import combine, faults
 from ..operators.partition import q_rule
 from ..plans import measures, spectra, sweeps
 from ..sources import tables
+from . import claims as claims_of
 from .shared import SCALE, rhs_sql
 
 Spark = SparkSession
-#: Slices and points per slice of the registered tables; the bench takes larger ones.
-SLICES, POINTS = (8, 16, 32, 64), 6
+#: Sizes of the experiments: points per slice as a power of two, coarse pieces, and numbers of slices.
+POINTS, PIECES, SLICES = 8, 16, (16, 64, 256)
+BOTH = ("richardson", "pcg")
 
 
-def weak(p: int, s: int = POINTS, q: int = 4, d: int = 1, **options) -> SolveConfig:
+def weak(p: int, s: int = POINTS, q: int = PIECES, d: int = 1, **options) -> SolveConfig:
     """A grid of about 2^s points for each of p slices."""
     extents = (2**s * p,) if d == 1 else extents_for_budget(d, 2**s * p)
     n = GridSpec(extents).size
     return SolveConfig(extents, p, min(q, n // p), **options)
 
 
-def _table(name: str, configs: list[SolveConfig]):
-    def run(spark: Spark, sf_dir: str) -> DataFrame:
-        return sweeps.sweep(spark, [(name, c) for c in configs])
-    return run
-
-
 def w05_plain(slices=SLICES, **o) -> list[SolveConfig]:
-    return [weak(p, kind="additive", weight=w, method=m, spectrum=True, **o) for p in slices for w in ("none", "omega", "unity") for m in ("richardson", "pcg")]
+    return [weak(p, kind="additive", weight=w, method=m, **o) for p in slices for w in ("none", "omega", "unity") for m in BOTH]
 
 
 def w06_balanced(slices=SLICES, **o) -> list[SolveConfig]:
-    return [weak(p, weight=w, method=m, spectrum=True, **o) for p in slices for w in ("none", "omega", "unity") for m in ("richardson", "pcg")]
+    return [weak(p, weight=w, method=m, **o) for p in slices for w in ("none", "omega", "unity") for m in BOTH]
 
 
-def w07_kinds(slices=SLICES, **o) -> list[SolveConfig]:
-    return [weak(p, kind=k, method="pcg", **o) for p in slices for k in ("one_level", "kernel", "additive", "deflated", "balanced")]
+def w07_kinds(slices=(16, 64), **o) -> list[SolveConfig]:
+    return [weak(p, kind=k, method=m, maxit=4000, **o) for p in slices for k in ("one_level", "kernel", "additive", "deflated", "balanced") for m in ("pcg",)]
 
 
-GAMMAS = (0.2, 0.5, 0.75, 1.0, 1.5, 2.0, 3.0)
+GAMMAS = (0.2, 0.5, 0.75, 1.0, 1.5, 2.0, 3.0, 4.0, 5.0)
 
 
-def w08_gamma(weight: str = "none", p: int = 32, d: int = 1, gammas=GAMMAS, **o) -> list[SolveConfig]:
-    return [weak(p, d=d, gamma=g, weight=weight, method=m, **o) for g in gammas for m in ("richardson", "pcg")]
+def w08_gamma(weight: str = "none", slices=(64,), d: int = 1, gammas=GAMMAS, **o) -> list[SolveConfig]:
+    return [weak(p, d=d, gamma=g, weight=weight, method=m, **o) for p in slices for g in gammas for m in BOTH]
 
 
-def w11_asymmetric(p: int = 32) -> list[SolveConfig]:
-    return [weak(p, gamma=0.3, weight="unity", method=m, maxit=200) for m in ("pcg", "flexible")] + [weak(p, gamma=0.3, weight="omega", method="pcg")]
+def w11_asymmetric(p: int = 64) -> list[SolveConfig]:
+    return [weak(p, gamma=0.3, weight="unity", method=m, maxit=400) for m in ("pcg", "flexible")] + [weak(p, gamma=0.3, weight="omega", method="pcg")]
 
 
-def w12_size(points=(4, 5, 6, 7), p: int = 32) -> list[SolveConfig]:
-    return [weak(p, s=s, q=4, method=m) for s in points for m in ("richardson", "pcg")]
+def w12_size(points=(6, 8, 10), p: int = 64) -> list[SolveConfig]:
+    return [weak(p, s=s, method=m, maxit=4000) for s in points for m in BOTH] + [weak(p, s=12, method="pcg")]
 
 
-def w13_size_q(points=(5, 6, 7, 8), p: int = 64, times: int = 1) -> list[SolveConfig]:
-    return [weak(p, s=s, q=times * q_rule("s", s=s), method=m) for s in points for m in ("richardson", "pcg")]
+def w13_size_q(points=(6, 8, 10, 12), p: int = 64) -> list[SolveConfig]:
+    return [weak(p, s=s, q=q_rule("s", s=s), method=m) for s in points for m in BOTH]
 
 
-def w14_dimension(p: int = 16, s: int = 6) -> list[SolveConfig]:
-    return [weak(p, s=s, q=q_rule("s", s=s), d=d, method=m) for d in (1, 2, 3, 4, 5, 6) for m in ("richardson", "pcg")]
+def w13_quadrupled(points=(6, 7, 8), p: int = 64) -> list[SolveConfig]:
+    """q grows fourfold where a slice doubles."""
+    return [weak(p, s=s, q=4 ** (s - 5), method=m) for s in points for m in BOTH]
 
 
-def w16_strong(level: int = 12, slices=(4, 8, 16, 32, 64, 128), by_p: bool = False) -> list[SolveConfig]:
-    n = 2**level - 1
-    return [SolveConfig((n,), p, min(n // p, q_rule("np", n=n, p=p) if by_p else 4), method="pcg") for p in slices]
+def w14_dimension(p: int = 64, s: int = POINTS) -> list[SolveConfig]:
+    return [weak(p, s=s, q=q_rule("s", s=s), d=d, method=m) for d in (1, 2, 3, 4, 5, 6) for m in BOTH]
 
 
-def w18_consistency() -> list[SolveConfig]:
-    return [SolveConfig((2**10 * 4,), 64, 4, method="pcg"), weak(64, s=6, q=4, method="pcg")]
+def w16_strong(level: int = 16, slices=(16, 32, 64, 100, 128, 200, 256, 400, 512, 1024), by_p: bool = False, methods=("pcg",)) -> list[SolveConfig]:
+    n = 2**level
+    return [SolveConfig((n,), p, min(n // p, q_rule("np", n=n, p=p) if by_p else q_rule("level", level=level)), method=m) for p in slices for m in methods]
 
 
-def w19_faults(p: int = 32, d: int = 1, rates=(0.0, 0.02, 0.05, 0.1), gammas=(0.5, 1.0, 2.0), runs: int = 2, methods=("richardson", "pcg", "flexible"), **o) -> list[SolveConfig]:
-    return [weak(p, d=d, gamma=g, method=m, p_fault=f, run=r, maxit=600, **o) for g in gammas for f in rates for m in methods for r in range(runs)]
+def w18_pairs(p: int = 256) -> list[tuple[str, SolveConfig]]:
+    """Each side by its own rule: N and q from the level, or from the points per slice."""
+    out = []
+    for level, s in ((16, 8), (18, 10), (20, 12)):
+        out += [(f"strong {level}", w16_strong(level, (p,))[0]), (f"weak {s}", weak(p, s=s, q=q_rule("s", s=s), method="pcg"))]
+    return out
 
 
-def _averaged(name: str, configs: list[SolveConfig]):
-    """Mean iterations of the runs that lost nothing for good, with the number of such runs."""
-    def run(spark: Spark, sf_dir: str) -> DataFrame:
-        got = sweeps.sweep(spark, [(name, c) for c in configs])
-        return got.groupBy("workload", "d", "n", "p", "q", "gamma", "method", "p_fault").agg(
-            F.count_if("ok").alias("survived"), F.count("*").alias("runs"), F.avg(F.when(F.col("ok"), F.col("k_iter"))).alias("k_mean"))
-    return run
+RATES = (0.0, 0.01, 0.02, 0.05, 0.1, 0.2)
+
+
+def w19_faults(p: int = 100, d: int = 1, rates=RATES, gammas=(0.5, 1.0, 1.5, 2.0), runs: int = 10, methods=BOTH, **o) -> list[SolveConfig]:
+    return [weak(p, d=d, gamma=g, method=m, p_fault=f, run=r, maxit=600, **o) for g in gammas for f in rates for m in methods for r in range(runs)]
 
 
-def w23_switch(p: int = 32) -> list[SolveConfig]:
+def w23_switch(p: int = 64) -> list[SolveConfig]:
     return [weak(p, gamma=2.0, method="richardson", spectrum=True, switch=k) for k in (0, 5, 10)]
 
 
+#: Experiments of which each configuration is one row. d = 6 under faults: fewer slices, overlaps and runs, as a slice's dense inverse grows with the sixth of its width.
+TABLES = {
+    "w05": [("w05", c) for c in w05_plain()], "w06": [("w06", c) for c in w06_balanced()], "w07": [("w07", c) for c in w07_kinds()],
+    "w08": [("w08", c) for c in w08_gamma("none")], "w09": [("w09", c) for c in w08_gamma("omega")],
+    "w10": [("w10", c) for w in ("none", "omega") for c in w08_gamma(w, (32,), 3, (0.2, 0.5, 1.0, 1.5))], "w11": [("w11", c) for c in w11_asymmetric()],
+    "w12": [("w12", c) for c in w12_size()], "w13": [("w13", c) for c in w13_size_q()] + [("w13 quadrupled", c) for c in w13_quadrupled()],
+    "w14": [("w14", c) for c in w14_dimension()], "w16": [("w16", c) for c in w16_strong()], "w17": [("w17", c) for c in w16_strong(by_p=True)], "w18": w18_pairs(),
+    "w19": [("w19", c) for c in w19_faults()], "w20": [("w20", c) for c in w19_faults(50, 6, (0.0, 0.1, 0.2), (0.5, 2.0), 3)],
+    "w21": [("w21", c) for p in (32, 64, 128) for c in w19_faults(p, gammas=(3.0,), runs=4)],
+    "w22": [("w22", c) for p in (16, 32) for c in w19_faults(p, 6, (0.0, 0.05, 0.1, 0.2), (3.0,), 3)],
+    "w23": [("w23", c) for c in w23_switch()], "w24": [("w24", c) for c in w19_faults(200, gammas=(2.0,), rates=(0.0, 0.02, 0.05, 0.1), runs=4, methods=("pcg",))],
+    "w25": [("w25", c) for c in w19_faults(kind="additive", gammas=(2.0,), rates=(0.0, 0.05), runs=3, methods=("richardson",))],
+}
+
+
+def rows(spark: Spark, name: str) -> DataFrame:
+    """All rows of an experiment: iterations, rates, spectrum and survival of each run."""
+    return sweeps.sweep(spark, TABLES[name])
+
+
+def _held(name: str, claims: list[claims_of.Claim]):
+    def run(spark: Spark, sf_dir: str) -> DataFrame:
+        return claims_of.held(rows(spark, name), claims)
+    return run
+
+
 def w03_levels_split(spark: Spark, sf_dir: str) -> DataFrame:
-    """Cells of the grids (3,3) and (2,3) by slice, in Hilbert order."""
+    """Cells of the grids (3,3) and (2,3) by slice, in Hilbert order, for two to eight slices."""
     from ..functions.curves import hilbert_key
     from ..functions.grid import cells
     from ..operators.ordering import positions
@@ -104,8 +129,9 @@ def w03_levels_split(spark: Spark, sf_dir: str) -> DataFrame:
     for lv in ((3, 3), (2, 3)):
         spec = GridSpec.of_levels(lv)
         order = positions(cells(spark, spec).withColumn("key", hilbert_key([F.col("k1"), F.col("k2")], spec.bits)), ["key"])
-        part = order.groupBy(F.lit(",".join(map(str, lv))).alias("levels"), sub_of(F.col("pos"), spec.size, 4).alias("sub")).agg(F.count("*").alias("cells"))
-        parts = part if parts is None else parts.unionByName(part)
+        for p in range(2, 9):
+            part = order.groupBy(F.lit(",".join(map(str, lv))).alias("levels"), F.lit(p).alias("p"), sub_of(F.col("pos"), spec.size, p).alias("sub")).agg(F.count("*").alias("cells"))
+            parts = part if parts is None else parts.unionByName(part)
     return parts
 
 
@@ -151,16 +177,7 @@ def w99_scaling(spark: Spark, sf_dir: str) -> DataFrame:
 
 
 QUERIES = {
-    "w03_splits": w03_levels_split,
-    "w05_plain": _table("w05", w05_plain((16, 32))), "w06_balanced": _table("w06", w06_balanced((16, 64))), "w07_kinds": _table("w07", w07_kinds()),
-    "w08_gamma_plain_weight": _table("w08", w08_gamma("none")), "w09_gamma_omega": _table("w09", w08_gamma("omega")),
-    "w10_gamma_3d": _table("w10", w08_gamma("omega", p=16, d=3, gammas=(0.2, 0.5, 1.0, 2.0))), "w11_asymmetric": _table("w11", w11_asymmetric()),
-    "w12_size": _table("w12", w12_size()), "w13_size_q": _table("w13", w13_size_q((5, 6, 7))), "w14_dimension": _table("w14", w14_dimension()),
-    "w16_strong": _table("w16", w16_strong()), "w17_strong_q": _table("w17", w16_strong(by_p=True)), "w18_consistency": _table("w18", w18_consistency()),
-    "w19_faults_1d": _averaged("w19", w19_faults()), "w20_faults_6d": _averaged("w20", w19_faults(p=16, d=6, rates=(0.0, 0.1, 0.2), gammas=(0.5, 2.0))),
-    "w21_weak_faults_1d": _averaged("w21", [c for p in (16, 32, 64) for c in w19_faults(p, gammas=(3.0,), rates=(0.0, 0.1), methods=("pcg",))]),
-    "w22_weak_faults_6d": _averaged("w22", [c for p in (8, 16) for c in w19_faults(p, d=6, gammas=(3.0,), rates=(0.0, 0.2), methods=("richardson",))]),
-    "w23_switch": _table("w23", w23_switch()), "w25_plain_faults": _averaged("w25", w19_faults(kind="additive", gammas=(2.0,), rates=(0.0, 0.05), methods=("richardson",))),
+    "w03_splits": w03_levels_split, **{name: _held(name.split("_")[0], claims) for name, claims in claims_of.CLAIMS.items()},
     "w26_combination": w26_combination, "m131_levels": m131_levels, "m133_counts": m133_counts, "w27_totals": w27_totals, "w29_log": w29_log, "w30_cost": w30_cost,
     "m99_scaling": w99_scaling, "m51_spectrum": spectra.table, "m140_heat_steps": spectra.heat_table, "m64_geometric": spectra.geometric_table,
 }
@@ -184,7 +201,8 @@ def _combined_sql() -> str:
 
 
 SQL = {
-    "w03_splits": "SELECT levels, CAST(s AS INTEGER) AS sub, CAST(n // 4 + (CASE WHEN s < n % 4 THEN 1 ELSE 0 END) AS BIGINT) AS cells FROM (VALUES ('3,3', 49), ('2,3', 21)) g(levels, n), range(4) t(s)",
+    **{name: claims_of.sql(claims) for name, claims in claims_of.CLAIMS.items()},
+    "w03_splits": "SELECT levels, CAST(p AS INTEGER) AS p, CAST(s AS INTEGER) AS sub, CAST(n // p + (CASE WHEN s < n % p THEN 1 ELSE 0 END) AS BIGINT) AS cells FROM (VALUES ('3,3', 49), ('2,3', 21)) g(levels, n), range(2, 9) k(p), range(8) t(s) WHERE s < p",
     "w26_combination": _combined_sql(),
     "m131_levels": "SELECT CAST(i AS INTEGER) AS layer, a || ',' || b || ',' || c AS l, CAST(CASE i WHEN 0 THEN 1 WHEN 1 THEN -2 ELSE 1 END AS INTEGER) AS coef FROM range(3) x(i), range(1, 8) p(a), range(1, 8) q(b), range(1, 8) r(c) WHERE a + b + c = 7 - i",
     "m133_counts": "SELECT CAST(i AS INTEGER) AS layer, CAST(factorial((8 - i)::INTEGER) / (factorial(3) * factorial((5 - i)::INTEGER)) AS BIGINT) AS grids, CAST(8 * power(2, 3 - i) AS BIGINT) AS p FROM range(4) t(i)",

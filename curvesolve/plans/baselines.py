@@ -5,13 +5,19 @@ from __future__ import annotations
 import numpy as np
 
 from ..config import SolveConfig
-from ..kernels import Outcome, Sparse, System, fault_table, rates, recoverable, solve
+from ..kernels import Outcome, Faults, Sparse, System, rates, recoverable, solve
+
+
+def _drawn(cfg: SolveConfig) -> np.ndarray:
+    """(cycles, slices): failures of all cycles a run may take."""
+    faults = Faults(cfg)
+    return np.array([faults[k] for k in range(cfg.maxit)])
 
 
 def restart_from_snapshot(cfg: SolveConfig, every: int = 5) -> Outcome:
     """Checkpoint and restart: any failure in a cycle loses the work since the last snapshot."""
     system = System(cfg.but(p_fault=0.0))
-    failed = fault_table(cfg, cfg.maxit).any(axis=1)
+    failed = _drawn(cfg).any(axis=1)
     x = snapshot = system.start()
     out = Outcome([system.energy(x)], x)
     done = 0
@@ -32,7 +38,7 @@ def restart_from_snapshot(cfg: SolveConfig, every: int = 5) -> Outcome:
 def without_recovery(cfg: SolveConfig) -> Outcome:
     """A slice that has failed stays away for good; the others and the coarse problem go on."""
     system = System(cfg.but(p_fault=0.0))
-    failed = np.logical_or.accumulate(fault_table(cfg, cfg.maxit), axis=0)
+    failed = np.logical_or.accumulate(_drawn(cfg), axis=0)
     x = system.start()
     out = Outcome([system.energy(x)], x)
     for k in range(cfg.maxit):
@@ -46,9 +52,9 @@ def without_recovery(cfg: SolveConfig) -> Outcome:
 def restart_from_zero(cfg: SolveConfig) -> Outcome:
     """A failure that redundancy cannot repair begins the run anew."""
     system = System(cfg)
-    ok = recoverable(fault_table(cfg, cfg.maxit), cfg.gamma)
+    ok = recoverable(_drawn(cfg), cfg.gamma)
     x = start = system.start()
-    active = ~fault_table(cfg, cfg.maxit)
+    active = ~_drawn(cfg)
     out = Outcome([system.energy(x)], x)
     for k in range(cfg.maxit):
         x = start.copy() if not ok[k % len(ok)] else x - cfg.xi * system.apply(system.matvec(x), active[k % len(active)])

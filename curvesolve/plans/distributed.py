@@ -19,7 +19,7 @@ from __future__ import annotations
 import math
 import pickle
 from collections.abc import Callable, Iterable
-from dataclasses import dataclass, field
+from dataclasses import dataclass, field, replace
 
 import numpy as np
 import pandas as pd
@@ -28,6 +28,8 @@ from pyspark.sql import functions as F
 
 from ..config import SolveConfig
 from ..functions.grid import GridSpec, cells
+from ..functions.uniform import uniform
+from ..kernels import extremes
 from ..operators import matrices, ordering, partition
 from ..runtime import checkpoint, keep, release
 from . import blocks
@@ -36,19 +38,21 @@ from .blocks import Layout, Step
 
 #: Coarse unknowns that the driver factors itself; iterations between checkpoints of the state.
 COARSE, EVERY = 20_000, 10
+#: Grown positions that go through one call together at most.
+TOGETHER = 65_536
 ROWS = "dst int, kind int, body binary"
 STATE, MESSAGE, SUMS, BLOCK = 0, 1, 2, 3
 
 
 @dataclass
 class Setup:
-    """order (id, pos), a (i, j, v) in positions, parts (sub, block), and the coarse solver."""
+    """order (id, pos), a (i, j, v) in positions, the parts of all slices, and the coarse solver."""
 
     cfg: SolveConfig
     layout: Layout
     order: DataFrame
     a: DataFrame
-    parts: DataFrame
+    parts: Parts
     coarse: Callable[[np.ndarray], np.ndarray] | None
     a0: tuple[np.ndarray, np.ndarray, np.ndarray]
     counts: dict[str, int] = field(default_factory=lambda: {"matvec": 0, "axpy": 0, "coarse": 0, "local": 0})
@@ -92,17 +96,27 @@ def setup(spark: SparkSession, cfg: SolveConfig, matrix: DataFrame | None = None
         block = blocks.build(layout, sub, *(pdf[c].to_numpy() for c in "ijv"), sweeps=cfg.inner_sweeps)
         return pd.DataFrame({"sub": [sub], "block": [pickle.dumps(block)]})
 
-    parts = _dealt(checkpoint(held.join(a, "i").groupBy("sub").applyInPandas(make, "sub int, block binary")))
+    parts = _dealt(checkpoint(held.join(a, "i").groupBy("sub").applyInPandas(make, "sub int, block binary")), layout)
     out = Setup(cfg, layout, order, a, parts, None, ((np.zeros(0, np.int64),) * 2 + (np.zeros(0),)))
     if layout.coarse_size:
         factor_coarse(out, nested)
     return out
 
 
-def _dealt(parts: DataFrame) -> DataFrame:
-    """Parts partitioned by slice and kept, so that halves do not move them."""
-    width = min(max(1, parts.count()), int(parts.sparkSession.conf.get("spark.sql.shuffle.partitions")))
-    return keep(parts.repartition(width, "sub"))
+@dataclass
+class Parts:
+    """Parts (bundle, sub, block) partitioned by bundles of ``per`` neighbouring slices and kept, so that halves do not move them."""
+
+    frame: DataFrame
+    per: int
+
+
+def _dealt(parts: DataFrame, layout: Layout) -> Parts:
+    width = int(parts.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    grown = (2 * layout.gamma + 1) * layout.n / layout.p
+    per = max(1, min(int(TOGETHER // grown), -(-layout.p // (2 * width))))
+    bundled = parts.select(F.floor(F.col("sub") / F.lit(per)).cast("int").alias("bundle"), "sub", "block")
+    return Parts(keep(bundled.repartition(min(width, -(-layout.p // per)), "bundle")), per)
 
 
 def coarse_entries(s: Setup) -> DataFrame:
@@ -114,7 +128,7 @@ def coarse_entries(s: Setup) -> DataFrame:
             for body in pdf["block"]:
                 i, j, v = blocks.coarse_part(pickle.loads(body), layout)
                 yield pd.DataFrame({"i": i, "j": j, "v": v})
-    return s.parts.mapInPandas(run, "i long, j long, v double").groupBy("i", "j").agg(F.sum("v").alias("v"))
+    return s.parts.frame.mapInPandas(run, "i long, j long, v double").groupBy("i", "j").agg(F.sum("v").alias("v"))
 
 
 def factor_coarse(s: Setup, nested: bool = False) -> None:
@@ -155,20 +169,24 @@ def factor_coarse(s: Setup, nested: bool = False) -> None:
         raise ValueError("a coarse matrix beyond the driver's room: take fewer pieces")
 
 
-def _half(rows: DataFrame, parts: DataFrame, act) -> DataFrame:
-    """``act(block, state, inbox)`` of every slice, as rows."""
+def _half(rows: DataFrame, parts: Parts, act) -> DataFrame:
+    """``act(block, state, inbox)`` of every slice, as rows; small slices go through a call together."""
     def run(mine: pd.DataFrame, part: pd.DataFrame) -> pd.DataFrame:
-        block = pickle.loads(part["block"].iloc[0]) if len(part) else None
-        state, inbox = None, []
-        for kind, body in zip(mine["kind"], mine["body"]):
+        held = {int(sub): body for sub, body in zip(part["sub"], part["block"])}
+        states: dict[int, dict] = {}
+        inbox: dict[int, list] = {}
+        for dst, kind, body in zip(mine["dst"].tolist(), mine["kind"].tolist(), mine["body"]):
             if kind == STATE:
-                state = pickle.loads(body)
+                states[dst] = pickle.loads(body)
             elif kind == MESSAGE:
-                inbox.append(pickle.loads(body))
-        out = act(block, state, inbox)
-        return pd.DataFrame({"dst": [o[0] for o in out], "kind": [o[1] for o in out], "body": [pickle.dumps(o[2]) for o in out]}).astype({"dst": "int32", "kind": "int32"})
+                inbox.setdefault(dst, []).append(pickle.loads(body))
+        out = []
+        for sub in sorted(states.keys() | inbox.keys()):
+            block = pickle.loads(held[sub]) if sub in held else None
+            out += [(dst, kind, pickle.dumps(body)) for dst, kind, body in act(block, states.get(sub), inbox.get(sub, []))]
+        return pd.DataFrame(out, columns=["dst", "kind", "body"]).astype({"dst": "int32", "kind": "int32"})
 
-    return rows.groupBy("dst").cogroup(parts.groupBy("sub")).applyInPandas(run, ROWS)
+    return rows.groupBy(F.floor(F.col("dst") / F.lit(parts.per)).cast("int").alias("bundle")).cogroup(parts.frame.groupBy("bundle")).applyInPandas(run, ROWS)
 
 
 def begin(s: Setup, b: DataFrame, x0: DataFrame | None = None) -> DataFrame:
@@ -223,7 +241,7 @@ def rows_held(s: Setup) -> DataFrame:
             for sub, body in zip(pdf["sub"], pdf["block"]):
                 i, j, v = pickle.loads(body).entries()
                 yield pd.DataFrame({"sub": int(sub), "i": i, "j": j, "v": v}).astype({"sub": "int32"})
-    return s.parts.mapInPandas(run, "sub int, i long, j long, v double")
+    return s.parts.frame.mapInPandas(run, "sub int, i long, j long, v double")
 
 
 def _exchange(s: Setup, rows: DataFrame, step: Step) -> tuple[DataFrame, dict]:
@@ -260,6 +278,8 @@ class Outcome:
     history: list[float]
     errors: list[float]
     ok: bool = True
+    alphas: list[float] = field(default_factory=list)
+    betas: list[float] = field(default_factory=list)
 
 
 def _order_of(cfg: SolveConfig, k: int) -> list[tuple[bool, frozenset | None]]:
@@ -296,6 +316,8 @@ def run(s: Setup, b: DataFrame, x0: DataFrame | None = None, steps: int | None =
     rz_old = ps = 0.0
     history: list[float] = []
     errors: list[float] = []
+    alphas: list[float] = []
+    betas: list[float] = []
     alpha, calm = 0.0, cfg.method not in SUBSPACE
     todo: list[tuple[bool, frozenset | None]] = []
     limit = steps if steps is not None else cfg.maxit
@@ -305,7 +327,7 @@ def run(s: Setup, b: DataFrame, x0: DataFrame | None = None, steps: int | None =
         if lost is not None and (gone := lost(k)):
             state, ok = recover(s, state, gone)
             if not ok:
-                return Outcome(state, history, errors, False)
+                return Outcome(state, history, errors, False, alphas, betas)
         use_coarse, active = True, None
         if not calm:
             if not todo:
@@ -329,7 +351,7 @@ def run(s: Setup, b: DataFrame, x0: DataFrame | None = None, steps: int | None =
             errors.append(math.sqrt(max(0.0, -got["xr"] - got["xb"])))
             measure = errors if by_error else history
             if (steps is None and measure[-1] <= cfg.tol * measure[0]) or k >= limit or not math.isfinite(history[-1]) or history[-1] > 1e8 * history[0]:
-                return Outcome(state, history, errors)
+                return Outcome(state, history, errors, True, alphas, betas)
         e = zero
         if n0 and use_coarse:
             c = step.c if kind == "balanced" else cw * s.coarse(zr)
@@ -363,6 +385,8 @@ def run(s: Setup, b: DataFrame, x0: DataFrame | None = None, steps: int | None =
                 ps = zaz + 2 * nxt.beta * (got["sy"] + float(zs @ e)) + nxt.beta**2 * ps
                 alpha = rz / ps
                 nxt.t = alpha
+                alphas.append(alpha)
+                betas.append(nxt.beta)
             k += 1
         zs = nxt.a * (got["zay"] + a0e) + nxt.beta * zs
         old_zr, rz_old = zr, rz
@@ -401,7 +425,7 @@ def recover(s: Setup, state: DataFrame, gone: set[int]) -> tuple[DataFrame, bool
         at, who = layout.holders(pos)
         if not np.isin(np.arange(len(pos)), at[~np.isin(who, list(gone))]).all():
             return state, False
-    left = s.parts.where(~F.col("sub").isin(list(gone)))
+    left = Parts(s.parts.frame.where(~F.col("sub").isin(list(gone))), s.parts.per)
     state = state.where(~F.col("dst").isin(list(gone)))
 
     def donate(block, mine, inbox):
@@ -436,13 +460,23 @@ def recover(s: Setup, state: DataFrame, gone: set[int]) -> tuple[DataFrame, bool
         for pdf in batches:
             yield pd.DataFrame({"sub": pdf["dst"].astype("int32"), "block": pdf["body"]})
 
-    old = s.parts
-    s.parts = _dealt(checkpoint(left.unionByName(fresh.mapInPandas(unpack, "sub int, block binary"))))
+    old = s.parts.frame
+    s.parts = _dealt(checkpoint(left.frame.select("sub", "block").unionByName(fresh.mapInPandas(unpack, "sub int, block binary"))), layout)
     state = checkpoint(moved.where(F.col("kind") == STATE))
     release(old, moved)
     return state, True
 
 
+def spectrum(s: Setup, steps: int = 30, seed: int = 9) -> tuple[float, float]:
+    """Extreme eigenvalues of the preconditioned operator, from conjugate-gradient coefficients on a random right-hand side."""
+    if s.cfg.method not in ("pcg", "cg"):
+        s = replace(s, cfg=s.cfg.but(method="pcg"), held=[])
+    b = s.order.select("pos", (2 * uniform(F.lit(seed), F.col("pos")) - 1).alias("v"))
+    out = run(s, b, steps=min(steps, s.layout.n))
+    n = next((i for i, h in enumerate(out.history) if h <= 1e-11 * out.history[0]), len(out.alphas))
+    return extremes(out.alphas[:n], out.betas[1:n] + [0.0])
+
+
 def solve_table(spark: SparkSession, rhs: DataFrame, cfg: SolveConfig, scale: float, **options) -> DataFrame:
     """(id, u) of a right-hand side (id, cents) divided by ``scale``."""
     s = setup(spark, cfg)
