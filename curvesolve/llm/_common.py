@@ -24,9 +24,14 @@ def ensure_checkpoint_dir(spark: SparkSession) -> None:
 
 
 def cut(df: DataFrame) -> DataFrame:
-    """Reliable checkpoint: the rows are written once to the shared folder and read from there afterwards."""
+    """Reliable checkpoint: the rows are written once to the shared folder and read from there afterwards.
+
+    The frame made of them has no size estimate: a checkpoint inherits that of its plan, a join the
+    product of its sides', so that after many rounds planning would do nothing but multiply.
+    """
     ensure_checkpoint_dir(df.sparkSession)
-    return df.checkpoint()
+    spark, done = df.sparkSession, df.checkpoint()._jdf
+    return DataFrame(spark._jsparkSession.internalCreateDataFrame(done.queryExecution().toRdd(), done.schema(), False), spark)
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:

@@ -1,16 +1,16 @@
-"""Near copies by SimHash and whole shingle sets: links at a Jaccard similarity of at least 4/5.
+"""Near copies by SimHash: links where five-word shingle sets have a Jaccard similarity of at least 4/5.
 
-Fingerprints of five-word shingles are searched by the vantage-point trees of ``simhash``, within the two
+Fingerprints of whole shingle sets are searched by the vantage-point trees of ``simhash``, within the two
 differing bits that those trees can prune for; pairs they connect are verified on whole sets. Two sets of
 similarity 4/5 differ in ten of 64 bits on average, a radius at which triangle bounds prune nothing, as
-random fingerprints differ in 32 with a deviation of 4. The links beyond two bits are therefore found by an
-exact way: with the shingles of every set in one common order, two sets that similar share a shingle among
-the first n - ceil(4n/5) + 1 of each. The order puts shingles that a bounded sample of documents finds
-frequent last; any order is exact, this one keeps groups of a shingle small. Equal sets are one set. Sets
-that share such a shingle are held against each other by size and by counts of shingles per hash cell,
-whose sum of minima bounds the overlap from above; pairs that may still reach the similarity are verified
-on their whole sets. A first round verifies each group's smallest set against the others, a second one only
-pairs which nothing before has connected.
+random fingerprints differ in 32 with a deviation of 4. Beyond two bits, sets are therefore searched among
+those that share a rare shingle: with the shingles of every set in one common order, two sets that similar
+share one among the first n - ceil(4n/5) + 1 of each. The order puts shingles that a bounded sample of
+documents finds frequent last; any order loses nothing, this one keeps groups of a shingle small. Within a
+group, pairs whose sizes allow the similarity and whose fingerprints differ in at most ``REACH`` bits, five
+deviations beyond the mean at 4/5, are verified on whole sets. Groups of some size take two rounds against
+a few pivots, among them the set nearest to the group's majority of bits, which connects the copies of one
+text; then all pairs that nothing has connected, block by block.
 
 Defined results: null, empty and wordless texts have the empty set and are copies of each other; texts
 of fewer than five words are one shingle; rows without a doc_id link nothing and stay; repeated rows of
@@ -35,9 +35,14 @@ SEED, WIDTH = 42, 5
 NUM, DEN = 4, 5
 #: Documents sampled for the order of shingles, most shingles held to be frequent, and from how many documents on.
 SAMPLE, FREQUENT, OFTEN = 4000, 200_000, 3
-CELLS = 256
+#: Bits in which the fingerprints of a pair may differ; rows of a group that is compared whole; pivots of a larger one.
+REACH, SMALL, PIVOTS = 24, 12, 8
+#: Rows of a block in a round of pivots, and in the last round; rows of small groups that go through a call together.
+WIDE, BLOCK, TOGETHER = 65_536, 4_096, 16_384
 #: Ids up to which a table of ids is broadcast.
 FEW = 100_000
+#: Documents whose shingles are handed on together.
+CHUNK = 256
 
 
 def shingles(text: str | None, width: int = WIDTH) -> np.ndarray:
@@ -47,12 +52,6 @@ def shingles(text: str | None, width: int = WIDTH) -> np.ndarray:
     return np.unique(np.array([xxhash.xxh64_intdigest(b" ".join(g), SEED) for g in grams], np.uint64))
 
 
-def cells(hashes: np.ndarray) -> bytes:
-    """Shingles per hash cell, a byte each; nothing where a count takes more."""
-    n = np.bincount((hashes >> np.uint64(56)).astype(np.int64), minlength=CELLS)
-    return n.astype(np.uint8).tobytes() if n.max() < 256 else b""
-
-
 def print_of(hashes: np.ndarray) -> int:
     """SimHash fingerprint of a set of shingles, as a signed number."""
     ones = np.zeros(64, np.int64)
@@ -72,11 +71,6 @@ def prefix(hashes: np.ndarray, frequent: np.ndarray, counts: np.ndarray) -> np.n
     return hashes[np.lexsort((hashes, rank))][:len(hashes) + (-NUM * len(hashes)) // DEN + 1]
 
 
-def similar(a: np.ndarray, b: np.ndarray) -> bool:
-    both = len(np.intersect1d(a, b, assume_unique=True))
-    return both * (NUM + DEN) >= NUM * (len(a) + len(b))
-
-
 def _texts(docs: DataFrame) -> DataFrame:
     return docs.where("doc_id is not null").select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
 
@@ -97,72 +91,82 @@ def frequent_shingles(texts: DataFrame) -> tuple[np.ndarray, np.ndarray]:
 
 
 def sets(texts: DataFrame) -> DataFrame:
-    """(doc_id, digest, n, fp, cells, keys) of each document's shingle set."""
+    """(doc_id, digest, n, fp, keys) of each document's shingle set."""
     frequent, counts = frequent_shingles(texts)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in (b.slice(at, CHUNK) for b in batches for at in range(0, b.num_rows, CHUNK)):
             every = [shingles(t.as_py()) for t in b.column(1)]
             yield pa.RecordBatch.from_arrays([
                 b.column(0), pa.array([xxhash.xxh3_128_digest(h.tobytes()) for h in every], pa.binary()), pa.array([len(h) for h in every], pa.int32()),
-                pa.array([print_of(h) for h in every], pa.int64()), pa.array([cells(h) for h in every], pa.binary()), pa.array([prefix(h, frequent, counts).view(np.int64) for h in every], pa.list_(pa.int64()))],
-                names=["doc_id", "digest", "n", "fp", "cells", "keys"])
-    return texts.mapInArrow(run, "doc_id long, digest binary, n int, fp long, cells binary, keys array<long>")
-
-
-def _shared(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Rows (key, rep) of the keys that several rows of the partition hold; all rows of a key are in one partition."""
-    got = [(b.column(0).to_numpy(), b.column(1).to_numpy()) for b in batches if b.num_rows]
-    if not got:
-        return
-    key, rep = (np.concatenate(x) for x in zip(*got))
-    order = np.argsort(key, kind="stable")
-    key, rep = key[order], rep[order]
-    same = key[1:] == key[:-1]
-    keep = np.r_[False, same] | np.r_[same, False]
-    for at in range(0, int(keep.sum()), 50_000):
-        yield pa.RecordBatch.from_arrays([pa.array(key[keep][at:at + 50_000]), pa.array(rep[keep][at:at + 50_000])], names=["key", "rep"])
-
-
-def group_pairs(t: pa.Table, first: bool) -> pa.Table:
-    """Pairs of a group that may be similar and have different roots: with its smallest set only, or all."""
-    rep, n, root = (t.column(c).to_numpy() for c in ("rep", "n", "root"))
-    raw = t.column("cells").to_pylist()
-    order = np.lexsort((rep, n))
-    rep, n, root, raw = rep[order], n[order].astype(np.int64), root[order], [raw[i] for i in order]
-    known = np.array([bool(x) for x in raw])
-    table = np.stack([np.frombuffer(x or bytes(CELLS), np.uint8) for x in raw])
-    u, v = [], []
-    for i in range(1 if first else len(n) - 1):
-        end = int(np.searchsorted(n, n[i] * DEN // NUM, "right"))
-        js = np.arange(i + 1, end)
-        js = js[root[js] != root[i]]
-        if not len(js):
+                pa.array([print_of(h) for h in every], pa.int64()), pa.array([prefix(h, frequent, counts).view(np.int64) for h in every], pa.list_(pa.int64()))],
+                names=["doc_id", "digest", "n", "fp", "keys"])
+    return texts.mapInArrow(run, "doc_id long, digest binary, n int, fp long, keys array<long>")
+
+
+def _possible(i: np.ndarray, j: np.ndarray, rep, n, fp, root) -> np.ndarray:
+    """Which pairs may be similar and are not connected yet."""
+    return ((root[i] != root[j]) & (rep[i] != rep[j]) & (np.minimum(n[i], n[j]) * DEN >= np.maximum(n[i], n[j]) * NUM)
+            & (np.bitwise_count(fp[i] ^ fp[j]) <= REACH))
+
+
+def group_pairs(t: pa.Table, last: bool) -> pa.Table:
+    """Pairs to verify in many groups at once: all of small groups and, in the last round, of any; else those with a group's pivots.
+
+    In the last round ``mine`` says in which of two blocks a row is; pairs across them count, or all within one.
+    """
+    key, rep, n, root, mine = (t.column(c).to_numpy() for c in ("key", "rep", "n", "root", "mine"))
+    order = np.lexsort((rep, key))
+    key, rep, n, root, mine = key[order], rep[order], n[order].astype(np.int64), root[order], mine[order]
+    fp = t.column("fp").to_numpy().astype(np.int64).view(np.uint64)[order]
+    facts = rep, n, fp, root
+    edge = np.r_[0, np.nonzero(key[1:] != key[:-1])[0] + 1, len(key)]
+    size = np.repeat(np.diff(edge), np.diff(edge))
+    us, vs = [], []
+
+    def keep(i: np.ndarray, j: np.ndarray) -> None:
+        good = _possible(i, j, *facts)
+        us.append(rep[i[good]])
+        vs.append(rep[j[good]])
+
+    for off in range(1, SMALL):
+        i = np.nonzero((key[off:] == key[:-off]) & (size[off:] <= SMALL))[0]
+        if len(i):
+            keep(i, i + off)
+    for a, b in zip(edge[:-1][np.diff(edge) > SMALL], edge[1:][np.diff(edge) > SMALL]):
+        every = np.arange(a, b)
+        if last:
+            halves = [every[mine[a:b] == x] for x in np.unique(mine[a:b])]
+            one, two = (halves[0], halves[1]) if len(halves) == 2 else (every, every)
+            for k in range(0, len(one), 256):
+                i, j = (x.ravel() for x in np.meshgrid(one[k:k + 256], two, indexing="ij"))
+                ahead = i < j if len(halves) == 1 else np.ones(len(i), bool)
+                keep(i[ahead], j[ahead])
             continue
-        most = np.minimum(table[js], table[i]).sum(1, dtype=np.int64)
-        js = js[~(known[js] & known[i]) | (most * (NUM + DEN) >= NUM * (n[js] + n[i]))]
-        js = js[rep[js] != rep[i]]
-        u.append(np.full(len(js), rep[i]))
-        v.append(rep[js])
-    u, v = (np.concatenate(x) if x else np.zeros(0, np.int64) for x in (u, v))
+        bits = np.unpackbits(fp[a:b].view(np.uint8).reshape(-1, 8), axis=1)
+        middle = np.packbits(2 * bits.sum(0, dtype=np.int64) > b - a).view(np.uint64)[0]
+        by_size = every[np.argsort(n[a:b], kind="stable")]
+        pivots = np.unique(np.r_[every[np.argmin(np.bitwise_count(fp[a:b] ^ middle))], by_size[np.linspace(0, b - a - 1, PIVOTS - 1).astype(np.int64)]])
+        for x in pivots:
+            keep(np.full(b - a, x), every)
+    u, v = (np.concatenate(x) if us else np.zeros(0, np.int64) for x in (us, vs))
     return pa.table({"u": np.minimum(u, v), "v": np.maximum(u, v)})
 
 
 def verified(pairs: DataFrame, texts: DataFrame) -> DataFrame:
-    """The pairs (u, v) of documents whose whole shingle sets are similar enough."""
+    """The pairs (u, v) of documents whose whole shingle sets are similar enough; a row at a time, whatever the sets' sizes."""
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array([shingles(t.as_py()).tobytes() for t in b.column(1)], pa.binary())], names=["id", "s"])
-
-    def check(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            yield b.filter(pa.array([similar(*(np.frombuffer(x.as_py(), np.uint64) for x in p)) for p in zip(b.column(2), b.column(3))], pa.bool_())).select(["u", "v"])
+            for at in range(0, b.num_rows, CHUNK):
+                part = b.slice(at, CHUNK)
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.array([shingles(t.as_py()).view(np.int64) for t in part.column(1)], pa.list_(pa.int64()))], names=["id", "s"])
 
     ids = cut(pairs.select(F.explode(F.array("u", "v")).alias("_id")).distinct())
     few = ids.count() <= FEW
-    whole = cut(texts.join(F.broadcast(ids) if few else ids, F.col("doc_id") == F.col("_id"), "left_semi").mapInArrow(run, "id long, s binary").distinct())
+    whole = cut(texts.join(F.broadcast(ids) if few else ids, F.col("doc_id") == F.col("_id"), "left_semi").mapInArrow(run, "id long, s array<long>").dropDuplicates(["id"]))
     a, b = (whole.select(F.col("id").alias(x), F.col("s").alias(f"s{x}")) for x in ("u", "v"))
-    return cut(pairs.join(a, "u").join(b, "v").select("u", "v", "su", "sv").mapInArrow(check, "u long, v long").distinct())
+    both = F.size(F.array_intersect("su", "sv"))
+    return cut(pairs.join(a, "u").join(b, "v").where(both * (NUM + DEN) >= NUM * (F.size("su") + F.size("sv"))).select("u", "v"))
 
 
 def near_copies(docs: DataFrame) -> DataFrame:
@@ -173,21 +177,38 @@ def near_copies(docs: DataFrame) -> DataFrame:
     exact = cut(every.select("doc_id", "digest").join(equal, "digest").where("doc_id <> rep").select(F.col("doc_id").alias("u"), F.col("rep").alias("v")).distinct())
     copies = every.select("doc_id", "digest").join(equal, "digest").where("doc_id <> rep").select("doc_id", "digest").distinct()
     alone = every.join(copies, ["doc_id", "digest"], "left_anti").dropDuplicates(["doc_id", "digest"])
-    keys = alone.select(F.explode("keys").alias("key"), F.col("doc_id").alias("rep")).repartition("key").mapInArrow(_shared, "key long, rep long")
-    keys = cut(keys.distinct())
-    facts = cut(alone.join(keys.select(F.col("rep").alias("_r")).distinct(), F.col("doc_id") == F.col("_r"), "left_semi").select(F.col("doc_id").alias("rep"), "n", "cells"))
-
-    def pairs(found: DataFrame, first: bool) -> DataFrame:
-        rows = keys.join(facts, "rep").join(found, F.col("rep") == F.col("node"), "left").select("key", "rep", "n", "cells", F.coalesce("root", "rep").alias("root"))
-        return cut(rows.groupBy("key").applyInArrow(lambda t: group_pairs(t, first), "u long, v long").distinct())
-
+    keys = cut(alone.select(F.explode("keys").alias("key"), F.col("doc_id").alias("rep")))
+    shared = keys.groupBy(F.bitwise_not("key").alias("k")).count().where("count > 1").select(F.bitwise_not("k").alias("key"))
+    keys = keys.join(shared, "key", "left_semi")
+    facts = alone.join(keys.select(F.col("rep").alias("_r")).distinct(), F.col("doc_id") == F.col("_r"), "left_semi").select(F.col("doc_id").alias("rep"), "n", "fp")
+    rows = cut(keys.join(facts, "rep"))
+
+    def pairs(roots: DataFrame, least: int, last: bool) -> DataFrame:
+        """Pairs of one round, in groups of over ``least`` rows that are not connected yet."""
+        known = rows.join(roots, F.col("rep") == F.col("node"), "left").select("key", "rep", "n", "fp", F.coalesce("root", "rep").alias("root"))
+        width = known.groupBy(F.bitwise_not("key").alias("_k")).agg(F.count("*").alias("m"), F.min("root").alias("low"), F.max("root").alias("high"))
+        width = width.where((F.col("low") != F.col("high")) & (F.col("m") > least))
+        met = known.join(width.select(F.bitwise_not("_k").alias("_key"), "m"), F.col("key") == F.col("_key"))
+        met = met.withColumn("parts", F.ceil(F.col("m") / F.lit(BLOCK if last else WIDE)).cast("int")).withColumn("mine", F.pmod(F.xxhash64("rep"), F.col("parts")).cast("int"))
+        other = F.explode(F.sequence(F.lit(0), F.col("parts") - 1)) if last else F.col("mine")
+        met = met.select("key", "rep", "n", "fp", "root", "mine", "m", other.alias("other"))
+        deal = F.struct(F.when(F.col("m") > SMALL * 8, F.col("key")).alias("key"), F.least("mine", "other").alias("i"), F.greatest("mine", "other").alias("j"),
+                        F.when(F.col("m") <= SMALL * 8, F.pmod(F.xxhash64("key", F.lit(3)), F.lit(groups))).alias("g"))
+        return cut(met.groupBy(deal.alias("deal")).applyInArrow(lambda t: group_pairs(t, last), "u long, v long").distinct())
+
+    groups = max(1, rows.count() // TOGETHER)
     prints = cut(alone.where("n > 0").groupBy("fp").agg(F.min("doc_id").alias("rep")))
     found = simhash.class_edges(prints).select(F.least("u", "v").alias("u"), F.greatest("u", "v").alias("v"))
     same = alone.where("n > 0").select("doc_id", "fp").join(prints, "fp").where("doc_id <> rep").select(F.col("rep").alias("u"), F.col("doc_id").alias("v"))
     edges = verified(cut(found.unionByName(same)), texts)
-    edges = edges.unionByName(verified(pairs(components(edges), True), texts))
-    edges = edges.unionByName(verified(pairs(components(edges), False), texts))
-    return components(exact.unionByName(edges)).select(F.col("node").alias("doc_id"), "root")
+    roots = components(edges)
+    for least, last in ((1, False), (SMALL, False), (SMALL, True)):
+        more = verified(pairs(roots, least, last), texts)
+        if not more.isEmpty():
+            edges = edges.unionByName(more)
+            roots = components(edges)
+    edges = exact.unionByName(roots.select(F.col("node").alias("u"), F.col("root").alias("v")))
+    return components(edges).select(F.col("node").alias("doc_id"), "root")
 
 
 def keep_one(docs: DataFrame) -> DataFrame:
