@@ -7,7 +7,11 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..config import SolveConfig
+from ..plans import distributed
+from ..runtime import checkpoint, shared_folder
 from ..sources import tables
+from .shared import SCALE
 from ..streaming import heartbeats as hb
 
 Spark = SparkSession
@@ -94,27 +98,40 @@ def s08_deadline_stream(spark: Spark, sf_dir: str) -> DataFrame:
     return out.groupBy("sub").agg(F.count("*").alias("returned"))
 
 
+LINE = SolveConfig((P,), 3, 2, 0.5, tol=1e-11)
+
+
 def s09_updates(spark: Spark, sf_dir: str) -> DataFrame:
-    """Running sums per slice handed on by micro-batches; the last epoch equals the table's sums."""
-    total: dict[int, int] = {}
+    """The solution for running sums per slice: every micro-batch adds to the right-hand side and starts from the last solution."""
+    total, last = dict.fromkeys(range(P), 0), {"x": None}
+    system = distributed.setup(spark, LINE)
 
     def update(batch: DataFrame, epoch: int) -> None:
         for r in batch.groupBy("sub").agg(F.sum(F.round(F.col("value") * 100).cast("long")).alias("v")).collect():  # one row per slice
-            total[r["sub"]] = total.get(r["sub"], 0) + (r["v"] or 0)
+            total[r["sub"]] += r["v"] or 0
+        b = spark.createDataFrame([(i, v / SCALE) for i, v in sorted(total.items())], "pos long, v double")
+        out = distributed.run(system, b, x0=last["x"])
+        last["x"] = checkpoint(distributed.solution(system, out.state))
+
+    folder = f"{shared_folder(spark)}/stream-{uuid.uuid4().hex}"
+    for part in (0, 1):  # the table is one file, hence two streams for two micro-batches
+        hb.solve_updates(_beats(spark, sf_dir).where(F.pmod("event_id", F.lit(2)) == part), update, f"{folder}/{part}").awaitTermination()
+    return last["x"].select(F.col("pos").alias("id"), (F.round("v", 6) + 0.0).alias("u"))
 
-    from ..runtime import checkpoint
 
-    checkpoint(spark.range(1))  # makes sure of a shared folder
-    folder = f"{spark.sparkContext._jsc.sc().getCheckpointDir().get()}/stream-{uuid.uuid4().hex}"
-    hb.solve_updates(_beats(spark, sf_dir), update, folder).awaitTermination()
-    return spark.createDataFrame(sorted(total.items()), "sub int, cents long")
+def s10_update_mode(spark: Spark, sf_dir: str) -> DataFrame:
+    """Cycles written as updates; the last one of each key is the result."""
+    rows = hb.latest(_table(hb.cycles(_beats(spark, sf_dir)), "update"), ["cycle", "sub"])
+    return rows.select(_hours("cycle"), "sub", "beats", "failed")
 
 
-QUERIES = {f.__name__: f for f in (s02_cycles, s03_failure_rate, s04_outages, s05_late, s06_states, s06_states_batch, s07_once, s08_deadline, s08_deadline_stream, s09_updates)}
+QUERIES = {f.__name__: f for f in (s02_cycles, s03_failure_rate, s04_outages, s05_late, s06_states, s06_states_batch, s07_once, s08_deadline, s08_deadline_stream, s09_updates, s10_update_mode)}
 _B = f"SELECT *, CAST(user_id % {P} AS INTEGER) AS sub, event_type = 'error' AS failed FROM events"
 _ST = ("SELECT sub, state, CAST(count(*) AS BIGINT) AS beats FROM (SELECT sub, CASE WHEN failed THEN 'failed' WHEN lag(failed, 1, false) OVER (PARTITION BY sub ORDER BY ts, event_id) THEN 'returning' ELSE 'active' END AS state "
        f"FROM ({_B})) GROUP BY 1, 2")
+_CYCLES = f"SELECT CAST(floor(epoch(ts) / 3600) AS BIGINT) AS cycle, sub, CAST(count(*) AS BIGINT) AS beats, bool_or(failed) AS failed FROM ({_B}) GROUP BY 1, 2"
 SQL = {
+    "s10_update_mode": _CYCLES,
     "s02_cycles": f"SELECT CAST(floor(epoch(ts) / 3600) AS BIGINT) AS cycle, sub, CAST(count(*) AS BIGINT) AS beats, bool_or(failed) AS failed FROM ({_B}) GROUP BY 1, 2",
     "s03_failure_rate": f"SELECT CAST(floor(epoch(ts) / 3600) - o AS BIGINT) AS start, CAST(count(*) AS BIGINT) AS beats, round(avg(CAST(failed AS DOUBLE)), 9) AS rate FROM ({_B}), range(6) r(o) GROUP BY 1",
     "s04_outages": f"WITH e AS (SELECT sub, ts FROM ({_B}) WHERE failed), g AS (SELECT *, CASE WHEN ts < lag(ts) OVER w + INTERVAL 2 HOUR THEN 0 ELSE 1 END AS new FROM e WINDOW w AS (PARTITION BY sub ORDER BY ts)), "
@@ -123,6 +140,7 @@ SQL = {
     "s07_once": f"SELECT sub, CAST(count(DISTINCT event_id) AS BIGINT) AS results FROM ({_B}) GROUP BY sub",
     "s08_deadline": f"SELECT sub, CAST(count(*) FILTER (WHERE failed) AS BIGINT) AS unreturned, CAST(count(*) AS BIGINT) AS assigned FROM ({_B}) GROUP BY sub",
     "s08_deadline_stream": f"SELECT sub, CAST(count(*) AS BIGINT) AS returned FROM ({_B}) WHERE NOT failed GROUP BY sub",
-    "s09_updates": f"SELECT sub, CAST(sum(CAST(round(value * 100) AS BIGINT)) AS BIGINT) AS cents FROM ({_B}) GROUP BY sub",
+    "s09_updates": f"WITH b AS (SELECT sub AS id, sum(CAST(round(value * 100) AS BIGINT)) / {SCALE!r} AS v FROM ({_B}) GROUP BY sub) SELECT CAST(x.i AS BIGINT) AS id, "
+                   f"round(sum({(1 / (P + 1)) ** 2!r} * (least(x.i, b.id) + 1) * ({P} - greatest(x.i, b.id)) / {P + 1}.0 * b.v), 6) + 0.0 AS u FROM range({P}) x(i), b GROUP BY x.i",
     "s05_late": f"SELECT sub, CAST(count(*) AS BIGINT) AS closed FROM (SELECT DISTINCT sub, floor(epoch(ts) / 3600) AS c FROM ({_B})) WHERE c * 3600 + 3600 <= (SELECT epoch(max(ts)) - 3600 FROM events) GROUP BY sub",
 }

@@ -13,6 +13,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
 
+from ..runtime import shared_folder
 from ..sources.tables import SCHEMAS
 
 
@@ -85,11 +86,30 @@ def slice_states(beats: DataFrame) -> DataFrame:
         statefulProcessor=SliceStates(), outputStructType="sub int, event_id long, state string", outputMode="Append", timeMode="None")
 
 
-def to_table(df: DataFrame, name: str, mode: str = "append"):
-    """Run an available-now query into a memory table and wait for it."""
-    query = df.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True).start()
-    query.awaitTermination()
-    return df.sparkSession.table(name)
+def to_table(df: DataFrame, name: str, mode: str = "append") -> DataFrame:
+    """Run an available-now query to Parquet in the shared folder and read its rows; that of any mode.
+
+    Appended rows go through the file sink. A complete result replaces the one before; updates of each
+    micro-batch go to a folder of their own (column epoch), see ``latest``.
+    """
+    spark = df.sparkSession
+    folder = f"{shared_folder(spark)}/{name}"
+    writer = df.writeStream.queryName(name).outputMode(mode).option("checkpointLocation", f"{folder}/log").trigger(availableNow=True)
+    if mode == "append":
+        writer.format("parquet").start(f"{folder}/rows").awaitTermination()
+        return spark.read.schema(df.schema).parquet(f"{folder}/rows")
+
+    def put(batch: DataFrame, epoch: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{folder}/rows" + ("" if mode == "complete" else f"/epoch={epoch}"))
+
+    writer.foreachBatch(put).start().awaitTermination()
+    return spark.read.option("basePath", f"{folder}/rows").parquet(f"{folder}/rows")
+
+
+def latest(rows: DataFrame, keys: list[str]) -> DataFrame:
+    """Of rows written batch by batch (column epoch) the last one of each key."""
+    values = [c for c in rows.columns if c not in (*keys, "epoch")]
+    return rows.groupBy(*keys).agg(F.max(F.struct("epoch", *values)).alias("x")).select(*keys, *[f"x.{v}" for v in values])
 
 
 def solve_updates(events: DataFrame, update, checkpoint_dir: str):
