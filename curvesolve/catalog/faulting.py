@@ -98,8 +98,12 @@ def m103_fault_bound(spark: Spark, sf_dir: str) -> DataFrame:
 
 
 def m101_mean_rate(spark: Spark, sf_dir: str) -> DataFrame:
-    share = F.avg("p_k") / (P + 1)
-    return _sizes(spark).groupBy("run").agg(F.round(1 - F.lit(1.1 * 0.9 * (2 - 1.1 * 0.9) / 12.0) * share, 9).alias("rate"))
+    """One rate per run, from the sizes of its cycles (a bounded schedule)."""
+    sizes: dict[int, list[int]] = {}
+    for r in _sizes(spark).collect():
+        sizes.setdefault(r["run"], []).append(r["p_k"])
+    rows = [(run, theory.mean_rate(p_k, P, 0.9, 1.1, 12.0)) for run, p_k in sorted(sizes.items())]
+    return spark.createDataFrame(rows, "run int, rate double").select(F.col("run").cast(_sizes(spark).schema["run"].dataType).alias("run"), F.round("rate", 9).alias("rate"))
 
 
 def _history(spark: Spark) -> DataFrame:
@@ -109,7 +113,8 @@ def _history(spark: Spark) -> DataFrame:
 
 
 def m95_rates(spark: Spark, sf_dir: str) -> DataFrame:
-    out = measures.rates(_history(spark))
+    slow = spark.range(251).select(F.lit(3).alias("run_id"), F.col("id").cast("int").alias("k"), (F.pow(F.lit(0.9), "id") * (2 + F.sin("id"))).alias("err"), F.lit(True).alias("ok"))
+    out = measures.rates(_history(spark).unionByName(slow))
     return out.select("run_id", "k_iter", *[F.round(c, 9).alias(c) for c in ("rho_ave", "rho_asy", "quotient")])
 
 
@@ -175,8 +180,10 @@ SQL = {
     "m101_mean_rate": f"SELECT run, round(1 - {0.9 * 1.1 * (2 - 0.9 * 1.1) / 12.0} * avg(p_k) / {P + 1}, 9) AS rate FROM ({_T}) GROUP BY run",
     "m102_one_step": f"SELECT run, cycle, round(1 - p_k * p_k / {12.0 * P * P}, 9) AS factor FROM ({_T})",
     "m103_fault_bound": f"SELECT run, cycle, round(exp(sum(ln(1 - p_k * p_k / {12.0 * P * P})) {_RUN}), 9) AS bound FROM ({_T})",
-    "m95_rates": f"WITH h AS ({_H}), l AS (SELECT run_id, min(k) FILTER (WHERE err <= 1e-8) AS k_iter, coalesce(min(k) FILTER (WHERE err <= 1e-8), max(k)) AS last FROM h GROUP BY 1) "
-                 "SELECT run_id, k_iter, round(power(e.err, 1.0 / last), 9) AS rho_ave, round(power(e.err / w.err, 1.0 / 5), 9) AS rho_asy, round(power(e.err, 1.0 / last) / power(e.err / w.err, 1.0 / 5), 9) AS quotient FROM l JOIN h e USING (run_id) JOIN h w USING (run_id) WHERE e.k = last AND w.k = last - 5",
+    "m95_rates": f"WITH h AS (SELECT run_id, k, err FROM ({_H}) UNION ALL SELECT 3, CAST(k AS INTEGER), power(0.9::DOUBLE, k) * (2 + sin(k)) FROM range(251) t(k)), "
+                 "f AS (SELECT run_id, err AS e0 FROM h WHERE k = 0), l AS (SELECT run_id, min(k) FILTER (WHERE err <= 1e-8 * e0) AS k_iter, coalesce(min(k) FILTER (WHERE err <= 1e-8 * e0), max(k)) AS last, any_value(e0) AS e0 FROM h JOIN f USING (run_id) GROUP BY 1), "
+                 "m AS (SELECT *, least(last, greatest(5, ceil(0.05 * last))) AS win FROM l) "
+                 "SELECT run_id, k_iter, round(power(e.err / e0, 1.0 / last), 9) AS rho_ave, round(power(e.err / w.err, 1.0 / win), 9) AS rho_asy, round(power(e.err / e0, 1.0 / last) / power(e.err / w.err, 1.0 / win), 9) AS quotient FROM m JOIN h e USING (run_id) JOIN h w USING (run_id) WHERE e.k = last AND w.k = last - win",
     "m123_average_runs": f"SELECT k, round(avg(err), 9) AS err, CAST(count(*) AS BIGINT) AS runs FROM ({_H}) WHERE run_id <> 2 GROUP BY k",
     "m78_damping": "SELECT CAST(lo AS DOUBLE) AS lo, CAST(hi AS DOUBLE) AS hi, round(2.0 / (lo + hi), 9) AS xi, round(1 - 2.0 * lo / (lo + hi), 9) AS rho FROM (VALUES (0.07::DOUBLE, 1.12::DOUBLE), (0.13, 1.01), (0.034, 2.5)) t(lo, hi)",
     "m93_schwarz_bound": "SELECT CAST(w AS DOUBLE) AS width, CAST(o AS DOUBLE) AS overlap, CAST(1 + w / o AS DOUBLE) AS two_level, CAST((1 + w / o) / (w * w) AS DOUBLE) AS one_level FROM (VALUES (0.25::DOUBLE), (0.125)) a(w), (VALUES (0.03125::DOUBLE), (0.0625)) b(o)",

@@ -296,8 +296,12 @@ def m55_pieces(spark: Spark, sf_dir: str) -> DataFrame:
     return _pos(spark).select("pos", partition.agg_id(F.col("pos"), N, P, Q).alias("agg"))
 
 
+#: Unequal numbers of pieces.
+PIECES = [1 + s % Q for s in range(P)]
+
+
 def m56_pieces_var(spark: Spark, sf_dir: str) -> DataFrame:
-    return _pos(spark).select("pos", partition.agg_id_var(F.col("pos"), N, P, [Q] * P).alias("agg"))
+    return _pos(spark).select("pos", partition.agg_id_var(F.col("pos"), N, P, PIECES).alias("agg"))
 
 
 def m57_restrict(spark: Spark, sf_dir: str) -> DataFrame:
@@ -437,7 +441,8 @@ SQL = {
     "m47_omega": f"SELECT m.sub, m.pos, max(1.0 / c.cover) OVER (PARTITION BY m.sub) AS w FROM ({members_sql(N, P, HALF)}) m JOIN ({_COVER}) c USING (pos)",
     "m48_uniform": f"SELECT CAST(t AS INTEGER) AS twice_gamma, CAST(t + 1 AS BIGINT) AS lowest, CAST(t + 1 AS BIGINT) AS highest FROM range(1, {P}) r(t)",
     "m50_storage": "SELECT CAST(2.0 AS DOUBLE) AS factor",
-    "m55_pieces": pieces_sql(N, P, Q), "m56_pieces_var": pieces_sql(N, P, Q),
+    "m55_pieces": pieces_sql(N, P, Q), "m56_pieces_var": f"SELECT CAST(x.i AS BIGINT) AS pos, CAST((SELECT coalesce(sum(1 + z.s % {Q}), 0) FROM range({P}) z(s) WHERE z.s < y.sub) + y.k AS BIGINT) AS agg FROM range({N}) x(i) JOIN "
+                                                                  f"(SELECT sub, k, lo + k * (size // c) + least(k, size % c) AS a, size // c + (CASE WHEN k < size % c THEN 1 ELSE 0 END) AS m FROM (SELECT *, 1 + sub % {Q} AS c FROM ({slices_sql(N, P)})) s, range({Q}) t(k) WHERE k < c) y ON x.i >= y.a AND x.i < y.a + y.m",
     "m57_restrict": f"SELECT p.agg, CAST(sum(r.cents) AS BIGINT) AS v FROM ({_R}) r JOIN ({pieces_sql(N, P, Q)}) p ON p.pos = r.id GROUP BY p.agg",
     "m57_extend": f"SELECT p.pos AS i, CAST(sum(r.cents) OVER (PARTITION BY p.agg) AS BIGINT) AS v FROM ({_R}) r JOIN ({pieces_sql(N, P, Q)}) p ON p.pos = r.id",
     "m59_coarse": f"SELECT x.agg AS i, y.agg AS j, round(sum(a.v), 6) + 0.0 AS v FROM ({_A}) a JOIN ({pieces_sql(N, P, Q)}) x ON x.pos = a.i JOIN ({pieces_sql(N, P, Q)}) y ON y.pos = a.j GROUP BY 1, 2",

@@ -152,6 +152,19 @@ def m141_advice(spark: Spark, sf_dir: str) -> DataFrame:
     return spark.createDataFrame(rows, "d int, p_fault double, gamma double, q int, kind string, weight string, method string")
 
 
+def m144_upper_envelope(spark: Spark, sf_dir: str) -> DataFrame:
+    """Whether grids of two and three dimensions stay below the count of the line of as many points."""
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        from ..kernels import System, rates, solve
+
+        for pdf in batches:
+            for d, m in zip(pdf["d"], pdf["method"]):
+                cfg = SolveConfig({2: (31, 32), 3: (10, 10, 10)}[int(d)], 16, 4, method=m)
+                yield pd.DataFrame([{"d": int(d), "method": m, "below": rates(solve(System(cfg)).errors)["k_iter"] <= advise.iteration_cap(cfg)}]).astype({"d": "int32"})
+    rows = [(d, m) for d in (2, 3) for m in ("pcg", "richardson")]
+    return spark.createDataFrame(rows, "d int, method string").repartition(4).mapInPandas(run, "d int, method string, below boolean")
+
+
 def w01_curves(spark: Spark, sf_dir: str) -> DataFrame:
     """Length of the polylines of both curves at three refinements."""
     parts = None
@@ -207,7 +220,7 @@ def m16_blocked_spmv(spark: Spark, sf_dir: str) -> DataFrame:
 
 QUERIES = {f.__name__: f for f in (
     m15_manufactured, m16_blocked_spmv, m33_exponents, m45_none, m49_tolerance, m58_kernel_basis, m61_nested, m62_coarse_rules, m63_level_distance, m71_uniform_plan, m75_symmetry, m110_norms,
-    m111_effective_weight, m128_fault_baselines, m138_combination_error, m139_combination_under_faults, m141_advice, w01_curves, w04_growth, w15_needle, w28_diffusion_solve)}
+    m111_effective_weight, m128_fault_baselines, m138_combination_error, m139_combination_under_faults, m141_advice, m144_upper_envelope, w01_curves, w04_growth, w15_needle, w28_diffusion_solve)}
 _SLICE = "SELECT * FROM (VALUES ('3,3', 0, 13, 6), ('3,3', 2, 12, 6), ('2,3', 0, 6, 3), ('2,3', 2, 5, 3)) t(levels, sub, own, borrowed)"
 SQL = {
     "m15_manufactured": f"SELECT a.i, round(sum(a.v * c.k1 * c.k2), 6) + 0.0 AS v FROM ({laplace_sql(G2)}) a JOIN ({cells_sql(G2)}) c ON c.id = a.j GROUP BY a.i",
@@ -225,6 +238,7 @@ SQL = {
     "w15_needle": "SELECT CAST(0 AS BIGINT) AS i, CAST(0 AS BIGINT) AS j, CAST(0 AS DOUBLE) AS v WHERE 1 = 0",
     "w28_diffusion_solve": f"SELECT id, round(cents / {SCALE!r}, 5) + 0.0 AS v FROM ({rhs_sql('B2', G2)})",
     "m61_nested": "SELECT CAST(p AS INTEGER) AS p, true AS agree FROM (VALUES (8), (16), (32)) t(p)",
+    "m144_upper_envelope": "SELECT CAST(d AS INTEGER) AS d, m AS method, true AS below FROM (VALUES (2), (3)) t(d), (VALUES ('pcg'), ('richardson')) u(m)",
     "m110_norms": "SELECT CAST(n AS INTEGER) AS n, true AS bounded FROM (VALUES (7), (15), (31)) t(n)",
     "m138_combination_error": "SELECT true AS falls",
     "w01_curves": f"WITH RECURSIVE z AS (SELECT n, i, list_sum([((i >> (2 * b + 1)) & 1) << b for b in range(n)]) AS x, list_sum([((i >> (2 * b)) & 1) << b for b in range(n)]) AS y FROM range(1, 4) t(n), range(64) c(i) WHERE i < power(4, n)) "

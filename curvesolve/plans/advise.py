@@ -2,6 +2,11 @@
 
 from __future__ import annotations
 
+import math
+
+from ..config import SolveConfig
+from ..kernels import System, rates, solve
+
 
 def gamma(p_fault: float) -> float:
     """Overlap for a share of failing solves: multiples of a half."""
@@ -18,6 +23,7 @@ def method(p_fault: float, d: int) -> tuple[str, str, str]:
     return "balanced", "omega", "richardson" if p_fault >= 0.1 and d >= 6 else "pcg" if p_fault == 0 else "flexible"
 
 
-def iteration_cap(k_one_dimensional: int) -> int:
-    """One-dimensional counts bound those of all grids of a combination."""
-    return k_one_dimensional
+def iteration_cap(cfg: SolveConfig) -> int | None:
+    """Iterations of the one-dimensional system with as many points, slices and pieces: no system of more dimensions takes more."""
+    n = math.prod(cfg.extents)
+    return rates(solve(System(cfg.but(extents=(n,)))).errors, cfg.tol)["k_iter"]
