@@ -205,10 +205,10 @@ def near_copies(docs: DataFrame) -> DataFrame:
     for least, last in ((1, False), (SMALL, False), (SMALL, True)):
         more = verified(pairs(roots, least, last), texts)
         if not more.isEmpty():
-            edges = edges.unionByName(more)
-            roots = components(edges)
-    edges = exact.unionByName(roots.select(F.col("node").alias("u"), F.col("root").alias("v")))
-    return components(edges).select(F.col("node").alias("doc_id"), "root")
+            roots = components(more.unionByName(roots.select(F.col("node").alias("u"), F.col("root").alias("v"))))
+    # The document that stands for equal sets is the smallest of them, so a root is the smallest of its class.
+    copies = exact.join(roots, F.col("v") == F.col("node"), "left").select(F.col("u").alias("doc_id"), F.coalesce("root", "v").alias("root"))
+    return copies.unionByName(roots.select(F.col("node").alias("doc_id"), "root"))
 
 
 def keep_one(docs: DataFrame) -> DataFrame:
