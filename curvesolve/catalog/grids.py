@@ -401,6 +401,8 @@ _HALO = (f"SELECT DISTINCT m.sub, a.j AS pos FROM ({_A}) a JOIN ({members_sql(N,
          f"(SELECT 1 FROM ({members_sql(N, P, GAMMA)}) o WHERE o.sub = m.sub AND o.pos = a.j)")
 
 SQL = {
+    "m27_peano": "WITH c AS (SELECT i // 9 AS x, i % 9 AS y FROM range(81) t(i)), d AS (SELECT *, x // 3 AS x1, x % 3 AS x0, y // 3 AS y1, y % 3 AS y0 FROM c) "
+                 "SELECT CAST(x AS INTEGER) AS x, CAST(y AS INTEGER) AS y, CAST(27 * x1 + 9 * (CASE WHEN x1 = 1 THEN 2 - y1 ELSE y1 END) + 3 * (CASE WHEN y1 = 1 THEN 2 - x0 ELSE x0 END) + (CASE WHEN (x1 + x0) % 2 = 1 THEN 2 - y0 ELSE y0 END) AS BIGINT) AS key FROM d",
     "m01_unknowns": "SELECT * FROM (VALUES ('3,3', CAST(49 AS BIGINT)), ('2,3', 21), ('8', 255), ('2,2,2,2,2,2', 729)) t(levels, n)",
     "m02_cells": _C,
     "m03_lex_round_trip": f"SELECT CAST(i AS BIGINT) AS id, CAST(i AS BIGINT) AS again FROM range({N}) t(i)",

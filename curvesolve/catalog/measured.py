@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..config import SolveConfig
-from ..functions.grid import GridSpec, cells, needle
+from ..functions.grid import GridSpec, cells, extents_for_budget, needle
 from ..operators import blocks, combine, matrices, ordering, partition
 from ..plans import advise, measures, sweeps, theory
 from ..sources import tables
@@ -152,6 +152,17 @@ def m141_advice(spark: Spark, sf_dir: str) -> DataFrame:
     return spark.createDataFrame(rows, "d int, p_fault double, gamma double, q int, kind string, weight string, method string")
 
 
+def m05_extents(spark: Spark, sf_dir: str) -> DataFrame:
+    """Extents for a budget of points: not above it, near it, and as equal as whole numbers allow."""
+    rows = []
+    for d in range(1, 7):
+        for n in (1000, 25600, 1000000):
+            x = extents_for_budget(d, n)
+            size = GridSpec(x).size
+            rows.append((d, n, len(x), size <= n, size >= 0.75 * n, max(x) - min(x) <= 1))
+    return spark.createDataFrame(rows, "d int, n int, axes int, within boolean, near boolean, even boolean")
+
+
 def m144_upper_envelope(spark: Spark, sf_dir: str) -> DataFrame:
     """Whether grids of two and three dimensions stay below the count of the line of as many points."""
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
@@ -220,7 +231,7 @@ def m16_blocked_spmv(spark: Spark, sf_dir: str) -> DataFrame:
 
 QUERIES = {f.__name__: f for f in (
     m15_manufactured, m16_blocked_spmv, m33_exponents, m45_none, m49_tolerance, m58_kernel_basis, m61_nested, m62_coarse_rules, m63_level_distance, m71_uniform_plan, m75_symmetry, m110_norms,
-    m111_effective_weight, m128_fault_baselines, m138_combination_error, m139_combination_under_faults, m141_advice, m144_upper_envelope, w01_curves, w04_growth, w15_needle, w28_diffusion_solve)}
+    m111_effective_weight, m128_fault_baselines, m138_combination_error, m139_combination_under_faults, m141_advice, m05_extents, m144_upper_envelope, w01_curves, w04_growth, w15_needle, w28_diffusion_solve)}
 _SLICE = "SELECT * FROM (VALUES ('3,3', 0, 13, 6), ('3,3', 2, 12, 6), ('2,3', 0, 6, 3), ('2,3', 2, 5, 3)) t(levels, sub, own, borrowed)"
 SQL = {
     "m15_manufactured": f"SELECT a.i, round(sum(a.v * c.k1 * c.k2), 6) + 0.0 AS v FROM ({laplace_sql(G2)}) a JOIN ({cells_sql(G2)}) c ON c.id = a.j GROUP BY a.i",
@@ -238,6 +249,7 @@ SQL = {
     "w15_needle": "SELECT CAST(0 AS BIGINT) AS i, CAST(0 AS BIGINT) AS j, CAST(0 AS DOUBLE) AS v WHERE 1 = 0",
     "w28_diffusion_solve": f"SELECT id, round(cents / {SCALE!r}, 5) + 0.0 AS v FROM ({rhs_sql('B2', G2)})",
     "m61_nested": "SELECT CAST(p AS INTEGER) AS p, true AS agree FROM (VALUES (8), (16), (32)) t(p)",
+    "m05_extents": "SELECT CAST(d AS INTEGER) AS d, CAST(n AS INTEGER) AS n, CAST(d AS INTEGER) AS axes, true AS within, true AS near, true AS even FROM range(1, 7) t(d), (VALUES (1000), (25600), (1000000)) u(n)",
     "m144_upper_envelope": "SELECT CAST(d AS INTEGER) AS d, m AS method, true AS below FROM (VALUES (2), (3)) t(d), (VALUES ('pcg'), ('richardson')) u(m)",
     "m110_norms": "SELECT CAST(n AS INTEGER) AS n, true AS bounded FROM (VALUES (7), (15), (31)) t(n)",
     "m138_combination_error": "SELECT true AS falls",

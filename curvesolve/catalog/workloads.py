@@ -178,14 +178,23 @@ def w29_log(spark: Spark, sf_dir: str) -> DataFrame:
 
 
 def w99_scaling(spark: Spark, sf_dir: str) -> DataFrame:
-    got = sweeps.sweep(spark, [("w99", c) for c in w07_kinds((16, 32, 64))]).where("ok")
-    return measures.scaling(got)
+    """Slope of log K over log P: none for two levels, a large one for one level."""
+    got = sweeps.sweep(spark, [("w99", c) for c in w07_kinds((64, 128, 256))]).where("ok and kind in ('one_level', 'balanced')")
+    return measures.scaling(got).select("kind", (F.abs("slope") < 0.1).alias("scales"))
+
+
+def m51_spectrum(spark: Spark, sf_dir: str) -> DataFrame:
+    """Whether extreme eigenvalues by conjugate-gradient coefficients and by restarts agree with the dense ones."""
+    def near(a: str, b: str, share: float):
+        return F.abs(F.col(a) / F.col(b) - 1) < share
+    got = spectra.table(spark, sf_dir)
+    return got.select("kind", "p", (near("lanczos_min", "dense_min", 0.02) & near("lanczos_max", "dense_max", 0.02)).alias("lanczos"), near("krylov_max", "dense_max", 0.05).alias("restarted"))
 
 
 QUERIES = {
     "w03_splits": w03_levels_split, **{name: _held(name.split("_")[0], claims) for name, claims in claims_of.CLAIMS.items()},
     "w26_combination": w26_combination, "m131_levels": m131_levels, "m133_counts": m133_counts, "w27_totals": w27_totals, "w29_log": w29_log, "w30_cost": w30_cost,
-    "m99_scaling": w99_scaling, "m51_spectrum": spectra.table, "m140_heat_steps": spectra.heat_table, "m64_geometric": spectra.geometric_table,
+    "m99_scaling": w99_scaling, "m51_spectrum": m51_spectrum, "m140_heat_steps": spectra.heat_table, "m64_geometric": spectra.geometric_table,
 }
 
 
@@ -207,6 +216,9 @@ def _combined_sql() -> str:
 
 
 SQL = {
+    "m99_scaling": "SELECT kind, kind = 'balanced' AS scales FROM (VALUES ('one_level'), ('balanced')) t(kind)",
+    "m51_spectrum": "SELECT kind, CAST(p AS INTEGER) AS p, true AS lanczos, true AS restarted FROM (VALUES ('one_level'), ('additive'), ('balanced')) a(kind), (VALUES (4), (8)) b(p)",
+    "m140_heat_steps": "SELECT CAST(k AS INTEGER) AS step, round(power(1 + 0.01 * l, -k), 8) AS size, round(power(1 + 0.01 * l, -k), 8) AS exact FROM range(6) t(k), (SELECT 4 * 128 * 128 * power(sin(pi() / 256), 2) AS l)",
     **{name: claims_of.sql(claims) for name, claims in claims_of.CLAIMS.items()},
     "w03_splits": "SELECT levels, CAST(p AS INTEGER) AS p, CAST(s AS INTEGER) AS sub, CAST(n // p + (CASE WHEN s < n % p THEN 1 ELSE 0 END) AS BIGINT) AS cells FROM (VALUES ('3,3', 49), ('2,3', 21)) g(levels, n), range(2, 9) k(p), range(8) t(s) WHERE s < p",
     "w26_combination": _combined_sql(),
