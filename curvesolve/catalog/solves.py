@@ -139,7 +139,7 @@ def _steps(cfg: SolveConfig) -> int:
 
 QUERIES = {
     "m70_balanced_pcg": _solved(DAYS),
-    "m67_additive_pcg_distributed": _solved(DAYS.but(extents=(250,), p=16, kind="additive")),
+    "m67_additive_pcg_distributed": _solved(DAYS.but(extents=(96,), p=8, kind="additive")),
     "m125_ft_solved": _solved(FT.but(method="flexible"), failed=FAILS),
     "m68_kernel": _solved(BASE1.but(kind="kernel", tol=1e-10)),
     "m74_inexact_local": _solved(BASE2.but(inner_sweeps=30, method="flexible"), "B2"),
@@ -160,7 +160,7 @@ SQL = {
     **{name: exact2_sql(G2S) for name in _TWO},
     **{name: exact1_sql(G1) for name in ("m125_ft_solved", "m68_kernel", "m92_direct", "m120_lost_slices")},
     "m70_balanced_pcg": exact1_sql(GridSpec(DAYS.extents)),
-    "m67_additive_pcg_distributed": exact1_sql(GridSpec((250,))),
+    "m67_additive_pcg_distributed": exact1_sql(GridSpec((96,))),
     "b1_solution_extremes": f"SELECT * FROM ({exact1_sql(G1)}) ORDER BY u DESC, id LIMIT 5",
     "m118_copies_agree": f"SELECT pos, CAST(count(*) AS BIGINT) AS holders, true AS agree FROM ({members_sql(_N, _P, 1.0)}) GROUP BY pos",
     "m119_rebuilt_rows": f"SELECT m.sub, CAST(count(*) AS BIGINT) AS entries, CAST(0 AS BIGINT) AS differing FROM ({members_sql(_N, _P, 1.0)}) m JOIN {_LINE} a ON a.i = m.pos WHERE m.sub IN (1, 4) GROUP BY m.sub",

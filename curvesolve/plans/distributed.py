@@ -31,7 +31,7 @@ from ..functions.grid import GridSpec, cells
 from ..functions.uniform import uniform
 from ..kernels import extremes
 from ..operators import matrices, ordering, partition
-from ..runtime import checkpoint, keep, release
+from ..runtime import checkpoint, flat, keep, release
 from . import blocks
 from .banded import Factor
 from .blocks import Layout, Step
@@ -116,7 +116,8 @@ def _dealt(parts: DataFrame, layout: Layout) -> Parts:
     grown = (2 * layout.gamma + 1) * layout.n / layout.p
     per = max(1, min(int(TOGETHER // grown), -(-layout.p // (2 * width))))
     bundled = parts.select(F.floor(F.col("sub") / F.lit(per)).cast("int").alias("bundle"), "sub", "block")
-    return Parts(keep(bundled.repartition(min(width, -(-layout.p // per)), "bundle")), per)
+    kept = keep(bundled.repartition(min(width, -(-layout.p // per)), "bundle"))
+    return Parts(kept, per)
 
 
 def coarse_entries(s: Setup) -> DataFrame:
@@ -267,7 +268,7 @@ def _exchange(s: Setup, rows: DataFrame, step: Step) -> tuple[DataFrame, dict]:
     # The action above has made the rows: those before are needed no more, and come from lineage if a machine is lost.
     release(*s.held[:-1])
     del s.held[:-1]
-    return out.where(F.col("kind") == STATE), total
+    return flat(out.where(F.col("kind") == STATE)), total
 
 
 @dataclass

@@ -27,6 +27,12 @@ def checkpoint(df: DataFrame) -> DataFrame:
     return DataFrame(spark._jsparkSession.internalCreateDataFrame(done.queryExecution().toRdd(), done.schema(), False), spark)
 
 
+def flat(df: DataFrame) -> DataFrame:
+    """The same rows under a plan of one step; lost ones are still computed again from lineage. For kept frames of long loops."""
+    spark, made = df.sparkSession, df.select("*")._jdf
+    return DataFrame(spark._jsparkSession.internalCreateDataFrame(made.queryExecution().toRdd(), made.schema(), False), spark)
+
+
 def keep(df: DataFrame) -> DataFrame:
     """Cached with spilling; lost blocks are computed again from their lineage."""
     return df.persist(StorageLevel.MEMORY_AND_DISK)
