@@ -60,17 +60,21 @@ def weight_of(name: str, weights: dict[str, float]) -> Column:
     return w.cast("decimal(38,0)")
 
 
-def pour(nodes: DataFrame, parent: list[str], name: str, weights: dict[str, float]) -> DataFrame:
+def pour(nodes: DataFrame, parent: list[str], name: str, weights: dict[str, float], few: bool = False) -> DataFrame:
     """Share each parent's ``budget`` among its children: by weight, none beyond its supply ``cap``.
 
     Children whose supply is no more than their share are filled; what they leave is shared among the
     rest, until none is filled any more. Each round is one sum by parent, pre-aggregated before its
-    exchange, so a parent may have any number of children. Adds the column ``given``; shares are whole
-    tokens, rounded down.
+    exchange, so a parent may have any number of children; ``few`` nodes go through one task without
+    exchanges. Adds the column ``given``; shares are whole tokens, rounded down.
     """
-    rows = cut(nodes.withColumn("_w", weight_of(name, weights)).withColumn("_full", F.col("_w") < 0).withColumn("_all", F.lit(0)))
+    def together(df: DataFrame) -> DataFrame:
+        return df.coalesce(1) if few else df
+
+    rows = cut(together(nodes.withColumn("_w", weight_of(name, weights)).withColumn("_full", F.col("_w") < 0).withColumn("_all", F.lit(0))))
     keys = [*parent, "_all"]
     while True:
+        rows = together(rows)
         sums = rows.groupBy(*[F.col(p).alias(f"_of{p}") for p in keys]).agg(
             F.sum(F.when(F.col("_full"), F.col("cap")).otherwise(0)).cast("decimal(38,0)").alias("_used"),
             F.sum(F.when(~F.col("_full"), F.col("_w")).otherwise(0)).cast("decimal(38,0)").alias("_left"))
@@ -85,10 +89,10 @@ def pour(nodes: DataFrame, parent: list[str], name: str, weights: dict[str, floa
         rows = shared.withColumn("_full", F.col("_full") | F.col("_fills")).select(*rows.columns)
 
 
-def budgets(sums: DataFrame, total: Column, weights: dict[str, dict[str, float]], epochs: int, path: tuple[str, ...]) -> DataFrame:
+def budgets(sums: DataFrame, total: Column, weights: dict[str, dict[str, float]], epochs: int, path: tuple[str, ...], few: bool = False) -> DataFrame:
     """(leaf names, tokens, given) of leaf token sums; ``total`` is an expression over ``tokens``, all tokens."""
     cols = [f"_{p}" for p in path]
-    nodes = sums.withColumn("cap", F.col("tokens") * epochs)
+    nodes = (sums.coalesce(1) if few else sums).withColumn("cap", F.col("tokens") * epochs)
     whole = nodes.agg(F.coalesce(F.sum("tokens"), F.lit(0)).alias("tokens"), F.coalesce(F.sum("cap"), F.lit(0)).alias("cap")).select(
         F.least(total.cast("long"), F.col("cap")).alias("budget")).first()["budget"]
     above = None
@@ -96,7 +100,7 @@ def budgets(sums: DataFrame, total: Column, weights: dict[str, dict[str, float]]
         parent = cols[:depth]
         level = nodes.groupBy(*cols[:depth + 1]).agg(F.sum("cap").alias("cap"))
         level = level.withColumn("budget", F.lit(whole)) if above is None else level.join(above, parent)
-        above = pour(level, parent, name, weights.get(path[depth], {})).select(*cols[:depth + 1], F.col("given").alias("budget"))
+        above = pour(level, parent, name, weights.get(path[depth], {}), few).select(*cols[:depth + 1], F.col("given").alias("budget"))
     return nodes.join(above.withColumnRenamed("budget", "given"), cols).select(*cols, "tokens", "given")
 
 
@@ -109,7 +113,7 @@ def leaf_cutoffs(docs: DataFrame, share: float = 0.8, weights: dict[str, dict[st
     sums = cut(narrow.groupBy(*cols).agg(F.sum("n").alias("tokens"), F.count("*").alias("docs")))
     size = sums.agg(F.max("docs").alias("most"), F.count("*").alias("n")).first()
     most, small = size["most"] or 0, F.broadcast if size["n"] <= FEW else (lambda df: df)
-    given = cut(budgets(sums.drop("docs"), F.col("tokens") * F.lit(float(share)), weights or {}, epochs, path).select(
+    given = cut(budgets(sums.drop("docs"), F.col("tokens") * F.lit(float(share)), weights or {}, epochs, path, size["n"] <= FEW).select(
         *cols, "tokens", "given", F.when(F.col("tokens") > 0, F.call_function("div", F.col("given"), F.col("tokens"))).otherwise(0).cast("int").alias("full")))
     at = given.select(*cols, "full", (F.col("given") - F.col("full") * F.col("tokens")).alias("room"), F.lit(0).cast("long").alias("prefix"), F.lit(None).cast("long").alias("cutoff"))
     levels = 1 + max(0, math.ceil(math.log2(max(1, most) / BUCKET) / 8))
