@@ -8,6 +8,7 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -16,6 +17,9 @@ from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
 from ..runtime import shared_folder
 from ..sources.tables import SCHEMAS
 
+#: Rows of an answer that a stateful processor hands on together.
+CHUNK = 10_000
+
 
 def stream(spark: SparkSession, path: str, files_per_trigger: int = 1) -> DataFrame:
     """Heartbeats of a folder or glob of Parquet files, as they arrive."""
@@ -67,21 +71,23 @@ class SliceStates(StatefulProcessor):
         self.last = handle.getValueState("last", "failed boolean")
 
     def handleInputRows(self, key, rows: Iterator[pd.DataFrame], timerValues) -> Iterator[pd.DataFrame]:  # noqa: N802, N803
-        before = self.last.get()[0] if self.last.exists() else False
-        out = []
-        for pdf in rows:
-            for r in pdf.sort_values(["ts", "event_id"]).itertuples():
-                out.append((key[0], r.event_id, "failed" if r.failed else "returning" if before else "active"))
-                before = bool(r.failed)
-        self.last.update((before,))
-        yield pd.DataFrame(out, columns=["sub", "event_id", "state"])
+        # A slice's rows come in several batches, of no order between them: all are put in order before any state is told.
+        every = pd.concat([pdf[["ts", "event_id", "failed"]].assign(failed=pdf["failed"].fillna(False).astype(bool)) for pdf in rows], ignore_index=True).sort_values(["ts", "event_id"])
+        failed = every["failed"].to_numpy()
+        before = np.r_[bool(self.last.get()[0]) if self.last.exists() else False, failed[:-1]]
+        state = np.where(failed, "failed", np.where(before, "returning", "active"))
+        self.last.update((bool(failed[-1]),))
+        ids = every["event_id"].to_numpy()
+        for at in range(0, len(ids), CHUNK):
+            part = slice(at, at + CHUNK)
+            yield pd.DataFrame({"sub": [key[0]] * len(ids[part]), "event_id": ids[part], "state": state[part]})
 
     def close(self) -> None:
         pass
 
 
 def slice_states(beats: DataFrame) -> DataFrame:
-    """(sub, event_id, state) of a stream; rows of one trigger are taken in time order."""
+    """(sub, event_id, state) of a stream; all rows of one trigger are taken in time order, for which a task holds a slice's three columns of it."""
     return beats.groupBy("sub").transformWithStateInPandas(
         statefulProcessor=SliceStates(), outputStructType="sub int, event_id long, state string", outputMode="Append", timeMode="None")
 
