@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import gc
 import tempfile
 from collections.abc import Iterator
 
@@ -34,6 +35,15 @@ def cut(df: DataFrame) -> DataFrame:
     return DataFrame(spark._jsparkSession.internalCreateDataFrame(done.queryExecution().toRdd(), done.schema(), False), spark)
 
 
+def tidy(df: DataFrame) -> None:
+    """Have Spark remove the shuffle files, and where the session cleans them the checkpoints, of frames that nothing names any more.
+
+    It does so as the driver collects its garbage, for which a driver with little to do has no cause of its own.
+    """
+    gc.collect()
+    df.sparkSession._jvm.System.gc()
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 

@@ -8,7 +8,8 @@ those that share a rare shingle: with the shingles of every set in one common or
 share one among the first n - ceil(4n/5) + 1 of each. The order puts shingles that a bounded sample of
 documents finds frequent last; any order loses nothing, this one keeps groups of a shingle small. Within a
 group, pairs whose sizes allow the similarity and whose fingerprints differ in at most ``REACH`` bits, five
-deviations beyond the mean at 4/5, are verified on whole sets. Groups of some size take two rounds against
+deviations beyond the mean at 4/5, are verified: first on their rarest shingles, whose common ones bound
+what whole sets can share, then those left on whole sets. Groups of some size take two rounds against
 a few pivots, among them the set nearest to the group's majority of bits, which connects the copies of one
 text; then all pairs that nothing has connected, block by block.
 
@@ -24,11 +25,11 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from . import simhash
-from ._common import components, cut
+from ._common import components, cut, tidy
 
 SEED, WIDTH = 42, 5
 #: The similarity as a fraction.
@@ -39,8 +40,8 @@ SAMPLE, FREQUENT, OFTEN = 4000, 200_000, 3
 REACH, SMALL, PIVOTS = 24, 12, 8
 #: Rows of a block in a round of pivots, and in the last round; rows of small groups that go through a call together.
 WIDE, BLOCK, TOGETHER = 65_536, 4_096, 16_384
-#: Ids up to which a table of ids is broadcast.
-FEW = 100_000
+#: Bits of the map by which rows of some ids are found; a number of ids beyond it lets more rows through to the exact join.
+BITS = 1 << 25
 #: Documents whose shingles are handed on together.
 CHUNK = 256
 
@@ -153,7 +154,31 @@ def group_pairs(t: pa.Table, last: bool) -> pa.Table:
     return pa.table({"u": np.minimum(u, v), "v": np.maximum(u, v)})
 
 
-def verified(pairs: DataFrame, texts: DataFrame) -> DataFrame:
+def _likely_in(pairs: DataFrame, rows: DataFrame) -> DataFrame:
+    """The rows whose doc_id occurs in the pairs (u, v), and few others: ids meet in a broadcast map of ``BITS`` bits, so no row moves."""
+    def bit(c: str) -> Column:
+        return F.pmod(F.xxhash64(c), F.lit(BITS))
+
+    ids = pairs.select(F.explode(F.array("u", "v")).alias("_id")).select(bit("_id").alias("_bit"))
+    words = cut(ids.groupBy(F.floor(F.col("_bit") / 64).alias("_word")).agg(F.expr("bit_or(shiftleft(1L, cast(_bit % 64 as int)))").alias("_bits")))
+    on = F.floor(bit("doc_id") / 64) == F.col("_word")
+    return rows.join(F.broadcast(words), on).where(F.getbit("_bits", (bit("doc_id") % 64).cast("int")) == 1).select(*rows.columns)
+
+
+def possible(pairs: DataFrame, alone: DataFrame) -> DataFrame:
+    """The pairs (u, v) that the prefixes of their sets leave possible; no similar pair is lost.
+
+    Of two sets, take the one whose prefix ends earlier in the common order. What it shares with the other is shared
+    by the prefixes, or lies beyond its own.
+    """
+    rows = _likely_in(pairs, alone.select("doc_id", "n", "keys"))
+    a, b = (rows.select(F.col("doc_id").alias(x), F.col("n").alias(f"n{x}"), F.col("keys").alias(f"k{x}")) for x in ("u", "v"))
+    most = F.size(F.array_intersect("ku", "kv")) + F.greatest(F.col("nu") - F.size("ku"), F.col("nv") - F.size("kv"))
+    sized = F.least("nu", "nv") * DEN >= F.greatest("nu", "nv") * NUM
+    return cut(pairs.join(a, "u").join(b, "v").where(sized & (most * (NUM + DEN) >= NUM * (F.col("nu") + F.col("nv")))).select("u", "v").distinct())
+
+
+def verified(pairs: DataFrame, alone: DataFrame, texts: DataFrame) -> DataFrame:
     """The pairs (u, v) of documents whose whole shingle sets are similar enough; a row at a time, whatever the sets' sizes."""
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -161,12 +186,14 @@ def verified(pairs: DataFrame, texts: DataFrame) -> DataFrame:
                 part = b.slice(at, CHUNK)
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array([shingles(t.as_py()).view(np.int64) for t in part.column(1)], pa.list_(pa.int64()))], names=["id", "s"])
 
-    ids = cut(pairs.select(F.explode(F.array("u", "v")).alias("_id")).distinct())
-    few = ids.count() <= FEW
-    whole = cut(texts.join(F.broadcast(ids) if few else ids, F.col("doc_id") == F.col("_id"), "left_semi").mapInArrow(run, "id long, s array<long>").dropDuplicates(["id"]))
+    pairs = possible(pairs, alone)
+    whole = cut(_likely_in(pairs, texts).mapInArrow(run, "id long, s array<long>").repartition("id").dropDuplicates(["id", "s"]))
     a, b = (whole.select(F.col("id").alias(x), F.col("s").alias(f"s{x}")) for x in ("u", "v"))
     both = F.size(F.array_intersect("su", "sv"))
-    return cut(pairs.join(a, "u").join(b, "v").where(both * (NUM + DEN) >= NUM * (F.size("su") + F.size("sv"))).select("u", "v"))
+    out = cut(pairs.join(a, "u").join(b, "v").where(both * (NUM + DEN) >= NUM * (F.size("su") + F.size("sv"))).select("u", "v").distinct())
+    del a, b, whole
+    tidy(out)
+    return out
 
 
 def near_copies(docs: DataFrame) -> DataFrame:
@@ -176,12 +203,16 @@ def near_copies(docs: DataFrame) -> DataFrame:
     equal = every.groupBy("digest").agg(F.min("doc_id").alias("rep"))
     exact = cut(every.select("doc_id", "digest").join(equal, "digest").where("doc_id <> rep").select(F.col("doc_id").alias("u"), F.col("rep").alias("v")).distinct())
     copies = every.select("doc_id", "digest").join(equal, "digest").where("doc_id <> rep").select("doc_id", "digest").distinct()
-    alone = every.join(copies, ["doc_id", "digest"], "left_anti").dropDuplicates(["doc_id", "digest"])
-    keys = cut(alone.select(F.explode("keys").alias("key"), F.col("doc_id").alias("rep")))
+    alone = cut(every.join(copies, ["doc_id", "digest"], "left_anti").dropDuplicates(["doc_id", "digest"]).select("doc_id", "n", "fp", "keys"))
+    del every, equal, copies
+    tidy(alone)
+    keys = alone.select(F.explode("keys").alias("key"), F.col("doc_id").alias("rep"))
     shared = keys.groupBy(F.bitwise_not("key").alias("k")).count().where("count > 1").select(F.bitwise_not("k").alias("key"))
-    keys = keys.join(shared, "key", "left_semi")
-    facts = alone.join(keys.select(F.col("rep").alias("_r")).distinct(), F.col("doc_id") == F.col("_r"), "left_semi").select(F.col("doc_id").alias("rep"), "n", "fp")
-    rows = cut(keys.join(facts, "rep"))
+    keys = cut(keys.join(shared, "key", "left_semi"))
+    tidy(keys)
+    rows = cut(keys.join(alone.select(F.col("doc_id").alias("rep"), "n", "fp"), "rep"))
+    del keys, shared
+    tidy(rows)
 
     def pairs(roots: DataFrame, least: int, last: bool) -> DataFrame:
         """Pairs of one round, in groups of over ``least`` rows that are not connected yet."""
@@ -200,10 +231,10 @@ def near_copies(docs: DataFrame) -> DataFrame:
     prints = cut(alone.where("n > 0").groupBy("fp").agg(F.min("doc_id").alias("rep")))
     found = simhash.class_edges(prints).select(F.least("u", "v").alias("u"), F.greatest("u", "v").alias("v"))
     same = alone.where("n > 0").select("doc_id", "fp").join(prints, "fp").where("doc_id <> rep").select(F.col("rep").alias("u"), F.col("doc_id").alias("v"))
-    edges = verified(cut(found.unionByName(same)), texts)
+    edges = verified(cut(found.unionByName(same)), alone, texts)
     roots = components(edges)
     for least, last in ((1, False), (SMALL, False), (SMALL, True)):
-        more = verified(pairs(roots, least, last), texts)
+        more = verified(pairs(roots, least, last), alone, texts)
         if not more.isEmpty():
             roots = components(more.unionByName(roots.select(F.col("node").alias("u"), F.col("root").alias("v"))))
     # The document that stands for equal sets is the smallest of them, so a root is the smallest of its class.
