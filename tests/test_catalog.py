@@ -22,5 +22,14 @@ def test_query_equals_sql(spark, sf, con, name):
     assert differ(spark, con, sf, catalog.queries()[name], SQL[name]) is None
 
 
+#: Queries that once made up their data.
+TABLED = ("m01_unknowns",)
+
+
+@pytest.mark.parametrize("name", TABLED)
+def test_query_reads_a_table(spark, sf, name):
+    assert any(f.endswith(".parquet") for f in catalog.queries()[name](spark, sf).inputFiles())
+
+
 def test_every_sql_has_a_query():
     assert set(SQL) <= set(catalog.queries())
