@@ -23,7 +23,7 @@ def test_query_equals_sql(spark, sf, con, name):
 
 
 #: Queries that once made up their data.
-TABLED = ("m01_unknowns", "m02_cells")
+TABLED = ("m01_unknowns", "m02_cells", "m03_lex_round_trip")
 
 
 @pytest.mark.parametrize("name", TABLED)
