@@ -4,8 +4,10 @@ import os
 
 import pytest
 from compare import connect, differ
+from pyspark.sql import functions as F
 
 from curvesolve import catalog
+from curvesolve.functions import grid
 
 #: Experiments at full size and the flagship solve take up to a minute each; RUN_SLOW=1 holds them against their SQL here too.
 SLOW = {f"w{k}" for k in ("05", "08", "09", "10", "13", "18", "19", "20", "21", "22", "24", "25")} | {"m70_balanced_pcg"}
@@ -23,7 +25,7 @@ def test_query_equals_sql(spark, sf, con, name):
 
 
 #: Queries that once made up their data.
-TABLED = ("m01_unknowns", "m02_cells", "m03_lex_round_trip")
+TABLED = ("m01_unknowns", "m02_cells", "m03_lex_round_trip", "m04_levels")
 
 
 @pytest.mark.parametrize("name", TABLED)
@@ -31,5 +33,10 @@ def test_query_reads_a_table(spark, sf, name):
     assert any(f.endswith(".parquet") for f in catalog.queries()[name](spark, sf).inputFiles())
 
 
+def test_level_column_agrees(spark):
+    every = spark.range(1, 300).selectExpr("id AS p", "explode(array(1, 2, 3, 6)) AS d").withColumn("level", grid.level_column(F.col("d"), 8, F.col("p")))
+    assert all(grid.levels_for(r["d"], 8, r["p"]) == (r["level"],) * r["d"] for r in every.collect())
+
+
 def test_every_sql_has_a_query():
     assert set(SQL) <= set(catalog.queries())
