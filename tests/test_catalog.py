@@ -25,7 +25,7 @@ def test_query_equals_sql(spark, sf, con, name):
 
 
 #: Queries that once made up their data.
-TABLED = ("m01_unknowns", "m02_cells", "m03_lex_round_trip", "m04_levels", "m05_extents")
+TABLED = ("m01_unknowns", "m02_cells", "m03_lex_round_trip", "m04_levels", "m05_extents", "m06_needle")
 
 
 @pytest.mark.parametrize("name", TABLED)
