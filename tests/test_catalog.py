@@ -25,7 +25,7 @@ def test_query_equals_sql(spark, sf, con, name):
 
 
 #: Queries that once made up their data.
-TABLED = ("m01_unknowns", "m02_cells", "m03_lex_round_trip", "m04_levels", "m05_extents", "m06_needle", "m07_laplace", "m08_fem", "m100_expected_bound", "m101_mean_rate", "m102_one_step")
+TABLED = ("m01_unknowns", "m02_cells", "m03_lex_round_trip", "m04_levels", "m05_extents", "m06_needle", "m07_laplace", "m08_fem", "m100_expected_bound", "m101_mean_rate", "m102_one_step", "m103_fault_bound")
 
 
 @pytest.mark.parametrize("name", TABLED)
